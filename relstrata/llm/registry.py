@@ -6,7 +6,7 @@ from collections.abc import Callable
 
 from pyspark.sql import DataFrame, SparkSession
 
-from . import html_main, mixing, quality, secret_scan, simhash, url_filter
+from . import decontaminate, html_main, line_dedup, mixing, quality, secret_scan, simhash, url_filter
 
 
 def queries() -> dict[str, Callable[[SparkSession, str], DataFrame]]:
@@ -15,6 +15,8 @@ def queries() -> dict[str, Callable[[SparkSession, str], DataFrame]]:
         quality.op3_quality_rules,
         secret_scan.op4_secret_scan,
         mixing.op5_mixing,
+        decontaminate.op6_decontamination,
+        line_dedup.op7_line_dedup,
         url_filter.op8_url_filter,
         html_main.op9_html_extraction,
     ]
@@ -22,4 +24,9 @@ def queries() -> dict[str, Callable[[SparkSession, str], DataFrame]]:
 
 
 def oracle_sql() -> dict[str, str]:
-    return {"op5_mixing": mixing.ORACLE, "op8_url_filter": url_filter.ORACLE}
+    return {
+        "op5_mixing": mixing.ORACLE,
+        "op6_decontamination": decontaminate.ORACLE,
+        "op7_line_dedup": line_dedup.ORACLE,
+        "op8_url_filter": url_filter.ORACLE,
+    }
