@@ -19,7 +19,8 @@ import zlib
 import numpy as np
 
 MAGIC = b"IDCM"
-HEAD = struct.Struct("<4sIII")
+HEAD = "<4sIII"
+HEAD_SIZE = struct.calcsize(HEAD)
 #: Contexts kept a block for order 2 and order 1.
 SLOTS2, SLOTS1 = 4096, 2048
 #: Order-0 digit contexts: none, first digit, first two, third digit under a fold of the first two.
@@ -197,7 +198,7 @@ def encode(blocks: list[np.ndarray]) -> list[bytes]:
     for lane, k in enumerate(order):
         code = writer.close(lane)
         crc = zlib.crc32(np.asarray(blocks[k]).astype("<u4").tobytes())
-        out[k] = HEAD.pack(MAGIC, len(blocks[k]), len(code) // 2, crc) + code
+        out[k] = struct.pack(HEAD, MAGIC, len(blocks[k]), len(code) // 2, crc) + code
     return out
 
 
@@ -205,8 +206,8 @@ def decode(blobs: list[bytes]) -> list[np.ndarray]:
     """The ids of each block, as uint16; raises ValueError where a checksum or head is wrong."""
     heads = []
     for b in blobs:
-        magic, n, words, crc = HEAD.unpack_from(b)
-        if magic != MAGIC or len(b) != HEAD.size + 2 * words:
+        magic, n, words, crc = struct.unpack_from(HEAD, b)
+        if magic != MAGIC or len(b) != HEAD_SIZE + 2 * words:
             raise ValueError("not a token block, or cut off")
         heads.append((n, crc))
     order = sorted(range(len(blobs)), key=lambda k: -heads[k][0])
@@ -214,7 +215,7 @@ def decode(blobs: list[bytes]) -> list[np.ndarray]:
     steps = int(sizes.max(initial=0))
     ids = np.zeros((steps, len(order)), np.uint16)
     if steps:
-        reader, model = Reader([np.frombuffer(blobs[k], "<u2", offset=HEAD.size) for k in order]), Model(len(order))
+        reader, model = Reader([np.frombuffer(blobs[k], "<u2", offset=HEAD_SIZE) for k in order]), Model(len(order))
     every = slice(0, len(order))
     for t in range(steps):
         live = int(np.searchsorted(-sizes, -t, side="left"))

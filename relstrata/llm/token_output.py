@@ -14,6 +14,7 @@ from __future__ import annotations
 
 import zlib
 from collections.abc import Iterator
+from itertools import chain
 
 import numpy as np
 import pyarrow as pa
@@ -64,39 +65,38 @@ class Encoder:
     def reset(self) -> None:
         self.known: dict[str, int] = {}
         self.flat = np.zeros(1 << 16, np.uint16)
-        self.begin = np.zeros(1, np.int64)
+        self.begin = np.zeros(1 << 14, np.int64)  # where the ids of each known pre-token begin
 
     def _add(self, words: list[str]) -> None:
         ids = [e.ids for e in self.tok.encode_batch_fast(words, add_special_tokens=False)]
-        sizes = np.fromiter(map(len, ids), np.int64, len(ids))
-        at = int(self.begin[-1])
-        begin = at + np.cumsum(sizes)
-        if begin[-1] > len(self.flat):
-            self.flat = np.resize(self.flat, int(begin[-1]) * 2)
-        self.flat[at : begin[-1]] = np.concatenate([np.array(x, np.uint16) for x in ids])
         base = len(self.known)
-        self.known.update((w, base + k) for k, w in enumerate(words))
-        self.begin = np.concatenate((self.begin, begin))
-
-    def encode(self, text: str) -> np.ndarray:
-        """The text's ids and the end id, as uint16."""
-        words = self.split(text)
-        known = self.known
-        new = [w for w in dict.fromkeys(words) if w not in known]
+        at = int(self.begin[base])
+        begin = at + np.cumsum(np.fromiter(map(len, ids), np.int64, len(ids)))
+        end = int(begin[-1])
+        if end > len(self.flat):
+            self.flat = np.resize(self.flat, 2 * end)
+        if base + len(ids) >= len(self.begin):
+            self.begin = np.resize(self.begin, 2 * (base + len(ids)) + 2)
+        self.flat[at:end] = np.fromiter(chain.from_iterable(ids), np.uint16, end - at)
+        self.begin[base + 1 : base + 1 + len(ids)] = begin
+        self.known.update(zip(words, range(base, base + len(words)), strict=True))
+
+    def encode_all(self, texts: list[str]) -> list[np.ndarray]:
+        """Each text's ids and the end id, as uint16."""
+        parts = [self.split(t) for t in texts]
+        words = list(chain.from_iterable(parts))
+        new = [w for w in dict.fromkeys(words) if w not in self.known]
+        if len(self.known) + len(new) > REMEMBER and self.known:
+            self.reset()
+            new = list(dict.fromkeys(words))
         if new:
-            if len(known) > REMEMBER:
-                self.reset()
-                known, new = self.known, list(dict.fromkeys(words))
             self._add(new)
-        k = np.fromiter(map(known.__getitem__, words), np.int64, len(words))
-        first = self.begin[k]
-        size = self.begin[k + 1] - first
-        total = int(size.sum())
-        out = np.empty(total + 1, np.uint16)
-        ends = np.cumsum(size)
-        out[:-1] = self.flat[np.repeat(first - ends + size, size) + np.arange(total)]
-        out[-1] = END_ID
-        return out
+        k = np.fromiter(map(self.known.__getitem__, words), np.int64, len(words))
+        size = self.begin[k + 1] - self.begin[k]
+        ends = np.concatenate(([0], np.cumsum(size)))
+        ids = self.flat[np.repeat(self.begin[k] - ends[:-1], size) + np.arange(ends[-1])]
+        cuts = ends[np.concatenate(([0], np.cumsum([len(p) for p in parts])))]
+        return [np.append(ids[a:b], np.uint16(END_ID)) for a, b in zip(cuts, cuts[1:], strict=False)]
 
 
 def _group_rows(part: int, block: int, before: int, docs: list, ids: np.ndarray, opened: bool) -> pa.RecordBatch:
@@ -138,9 +138,9 @@ def coded_blocks(docs: DataFrame, tokenizer: str | None = None, id_col: str = "d
         docs: list[tuple[int | None, int]] = []
         n = block = before = 0
         opened = False
-        for b in slices(batches, 200):
-            for doc_id, text in zip(column(b, "doc_id").to_pylist(), column(b, "text").to_pylist(), strict=True):
-                ids = enc.encode(text or "")
+        for b in slices(batches, 100):
+            texts = [t or "" for t in column(b, "text").to_pylist()]
+            for doc_id, ids in zip(column(b, "doc_id").to_pylist(), enc.encode_all(texts), strict=True):
                 first = True
                 while n + len(ids) >= GROUP:  # a group is full; a document may go on in the next one
                     take = GROUP - n
