@@ -4,6 +4,7 @@ from __future__ import annotations
 
 from collections.abc import Callable
 
+import corpus_pipeline
 from pyspark.sql import DataFrame, SparkSession
 
 from . import decontaminate, html_main, line_dedup, mixing, quality, secret_scan, simhash, suffix_dedup, token_output, url_filter
@@ -22,7 +23,7 @@ def queries() -> dict[str, Callable[[SparkSession, str], DataFrame]]:
         html_main.op9_html_extraction,
         suffix_dedup.op10_suffix_array_dedup,
     ]
-    return {f.__name__: f for f in ops}
+    return {f.__name__: f for f in ops} | {"pipeline": corpus_pipeline.run}
 
 
 def oracle_sql() -> dict[str, str]:

@@ -199,8 +199,7 @@ def near_duplicates(docs: DataFrame, id_col: str = "doc_id", text_col: str = "te
     """
     prints = written(fingerprints(docs, id_col, text_col, width), "fingerprints")
     distinct = written(prints.groupBy("fp").agg(F.min("doc_id").alias("first")), "distinct-fp")
-    # A representative is an id; fingerprints without one are named below every id by their own value.
-    distinct = distinct.withColumn("rep", F.coalesce("first", F.lit(None).cast("long")))
+    distinct = distinct.withColumnRenamed("first", "rep")  # null where no row of the fingerprint has an id
     linked = components(written(fingerprint_links(distinct.where("rep is not null").select("fp", "rep")), "fp-links"))
     named = distinct.join(linked, distinct["rep"] == linked["node"], "left").select(
         "fp", F.coalesce("component", "rep").alias("component_id")
@@ -210,15 +209,17 @@ def near_duplicates(docs: DataFrame, id_col: str = "doc_id", text_col: str = "te
     )
 
 
-def dedup(docs: DataFrame, width: int = 5, id_col: str = "doc_id") -> DataFrame:
+def dedup(docs: DataFrame, width: int = WORDS, id_col: str = "doc_id") -> DataFrame:
     """``docs`` less all but the smallest id of each group; rows without an id stay.
 
     Of repeated rows with the same id one is kept.
     """
     classes = near_duplicates(docs, id_col, width=width)
-    keep = classes.where(F.col("doc_id") == F.col("component_id")).select(F.col("doc_id").alias("_keep")).distinct()
-    with_id = docs.where(F.col(id_col).isNotNull()).join(keep, F.col(id_col) == F.col("_keep"), "left_semi").dropDuplicates([id_col])
-    return with_id.unionByName(docs.where(F.col(id_col).isNull()))
+    keep = classes.where(F.col("doc_id") == F.col("component_id")).groupBy(F.col("doc_id").alias("_keep")).agg(F.count(F.lit(1)).alias("_n"))
+    kept = docs.join(keep.select("_keep"), F.col(id_col) == F.col("_keep"), "left_semi")
+    if keep.where("_n > 1").limit(1).count():
+        kept = kept.dropDuplicates([id_col])
+    return kept.unionByName(docs.where(F.col(id_col).isNull()))
 
 
 def op1_simhash_near_dedup(spark: SparkSession, sf_dir: str) -> DataFrame:
