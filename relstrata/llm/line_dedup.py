@@ -22,7 +22,7 @@ an empty table gives an empty result; columns named like the added ones are repl
 
 from __future__ import annotations
 
-from pyspark.sql import Column, DataFrame, SparkSession
+from pyspark.sql import Column, DataFrame, SparkSession, Window
 from pyspark.sql import functions as F
 
 from .common import load, written
@@ -44,8 +44,9 @@ def line_rows(docs: DataFrame) -> DataFrame:
     return (
         docs.select(F.col("doc_id").cast("long").alias("doc_id"), F.split("text", "\n").alias("lines"))
         .select("doc_id", F.posexplode("lines").alias("line_no", "line"))
+        # Tested on the line: a filter on the words would split every line twice.
+        .where(F.col("line").rlike(r"[^\x20\x09-\x0D]"))
         .select(F.struct("doc_id", "line_no").alias("at"), words_of(F.col("line")).alias("words"))
-        .where(F.size("words") > 0)
     )
 
 
@@ -63,15 +64,12 @@ def half_keys(words: Column, n: Column) -> Column:
     return F.concat(F.array(*of(n)), shorter)
 
 
-def earliest_near(lines: DataFrame) -> tuple[DataFrame, DataFrame]:
-    """(distinct lines with ``first``, and per near one (h, near_at): an earlier line's place).
-
-    ``lines``: (at, h, n, halves) rows in the shared folder.
-    """
-    distinct = written(lines.groupBy("h", "n").agg(F.min("at").alias("first")), "distinct-lines")
+def sharing_a_half(lines: DataFrame) -> DataFrame:
+    """Hashes of lines that share a half with a different line: one shuffle of narrow rows."""
     half = lines.where(F.col("n") >= MIN_WORDS).select("h", F.explode("halves").alias("k"))
-    shared = half.groupBy("k").agg(F.min("h").alias("lo"), F.max("h").alias("hi")).where("lo <> hi").select("k")
-    return distinct, half.join(shared, "k", "left_semi").select("h").distinct()
+    group = Window.partitionBy("k")
+    alone = (F.min("h.x").over(group) == F.max("h.x").over(group)) & (F.min("h.y").over(group) == F.max("h.y").over(group))
+    return half.withColumn("alone", alone).where("not alone").select("h").distinct()
 
 
 def near_lines(docs: DataFrame) -> tuple[DataFrame, DataFrame]:
@@ -82,18 +80,16 @@ def near_lines(docs: DataFrame) -> tuple[DataFrame, DataFrame]:
         rows.select("at", two_hashes(F.col("words")).alias("h"), n.alias("n"), F.when(n >= MIN_WORDS, half_keys(F.col("words"), n)).alias("halves")),
         "lines",
     )
-    distinct, candidates = earliest_near(lines)
-    # Words of the candidates' first places only: their places go to the lines, not the lines to all keys.
-    places = distinct.join(candidates, "h").select("h", "first", F.col("first.doc_id").alias("doc_id"), F.col("first.line_no").alias("line_no"))
-    places = places.groupBy("doc_id").agg(F.map_from_entries(F.collect_list(F.struct("line_no", F.struct("h", "first")))).alias("wanted"))
+    distinct = written(lines.groupBy("h").agg(F.min("at").alias("first")), "distinct-lines")
+    # The candidates' first places go to their documents; only those lines' words are kept.
+    places = distinct.join(sharing_a_half(lines), "h").select(F.col("first.doc_id").alias("doc_id"), F.struct("first.line_no", "h", "first").alias("w"))
+    places = places.groupBy("doc_id").agg(F.collect_list("w").alias("wanted"))
     texts = (
-        docs.select(F.col("doc_id").cast("long").alias("_d"), F.split("text", "\n").alias("lines"))
-        .dropDuplicates(["_d", "lines"])
+        docs.select(F.col("doc_id").cast("long").alias("_d"), "text")
         .join(places, F.col("_d").eqNullSafe(F.col("doc_id")))
-        .select("wanted", F.posexplode("lines").alias("line_no", "line"))
-        .withColumn("w", F.element_at("wanted", F.col("line_no")))
-        .where("w is not null")
-        .select("w.h", "w.first", words_of(F.col("line")).alias("words"))
+        .select(F.split("text", "\n").alias("lines"), "wanted")
+        .select("lines", F.explode("wanted").alias("w"))
+        .select("w.h", "w.first", words_of(F.get("lines", F.col("w.line_no"))).alias("words"))
         .where(two_hashes(F.col("words")) == F.col("h"))
         .dropDuplicates(["h"])
     )
