@@ -93,8 +93,14 @@ def refine(rank: np.ndarray, key: np.ndarray) -> np.ndarray:
     idx = np.flatnonzero(size[rank] > 1)
     if not len(idx):
         return rank
-    order = idx[np.lexsort((key[idx], rank[idx]))]
-    r, k = rank[order], key[order]
+    r, k = rank[idx], key[idx]
+    if len(idx) == len(rank) and not r.any():
+        by = np.argsort(k)
+    elif k.dtype != np.uint64 and len(rank) < 2**31:  # ranks as keys: both fit one integer
+        by = np.argsort(r * (len(rank) + 1) + k)
+    else:
+        by = np.lexsort((k, r))
+    order, r, k = idx[by], r[by], k[by]
     at = np.arange(len(order))
     new_r = np.concatenate(([True], r[1:] != r[:-1]))
     new_k = new_r | np.concatenate(([True], k[1:] != k[:-1]))

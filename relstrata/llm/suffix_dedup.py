@@ -24,18 +24,21 @@ from __future__ import annotations
 
 import hashlib
 from collections.abc import Iterator
+from itertools import islice
 
 import numpy as np
 import pyarrow as pa
 from pyspark.sql import DataFrame, SparkSession, Window
 from pyspark.sql import functions as F
 
-from .common import column, keyed, load, written
+from .common import column, keyed, load, slices, written
 from .induced_sort import same_prefix, suffix_order
 
 LENGTH, GRAM = 50, 16
 #: Bytes of one work buffer; longer documents are read in overlapping buffers.
 CHUNK_BITS = 20
+#: Bytes that a shard has on average.
+SHARD = 1_500_000
 CHUNK = 1 << CHUNK_BITS
 NO_ID = -(2**63)
 
@@ -213,18 +216,22 @@ def _settle(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
 def _segment_texts(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
     """Texts of the wanted segments of each document."""
     for batch in batches:
-        text = column(batch, "text")
-        for i in range(batch.num_rows):
-            raw = (text[i].as_py() or "").encode()
-            want = column(batch, "wanted")[i].values
-            place = want.field(0).to_numpy()
+        for b in slices([batch], 500):
+            if not b.num_rows:
+                continue
+            want = column(b, "wanted")
+            sizes = np.diff(want.offsets.to_numpy())
+            flat = want.flatten()
+            place, anchor = flat.field(0).to_numpy(), flat.field(1)
             start = (place >> 8) & ((1 << 40) - 1)
-            end = start + (place & 255) + LENGTH - 1
-            out = [raw[s:e] for s, e in zip(start.tolist(), end.tolist(), strict=True)]
-            yield pa.RecordBatch.from_arrays(
-                [want.field(1), pa.array(np.full(len(place), column(batch, "doc")[i].as_py())), pa.array(place), pa.array(out, pa.binary())],
-                ["anchor", "doc", "place", "bytes"],
-            )
+            ends = (start + (place & 255) + LENGTH - 1).tolist()
+            spans = iter(zip(start.tolist(), ends, strict=True))
+            out: list[bytes] = []
+            for text, n in zip(column(b, "text").to_pylist(), sizes.tolist(), strict=True):
+                raw = (text or "").encode()
+                out += [raw[s:e] for s, e in islice(spans, n)]
+            doc = np.repeat(column(b, "doc").to_numpy(), sizes)
+            yield pa.RecordBatch.from_arrays([anchor, pa.array(doc), pa.array(place), pa.array(out, pa.binary())], ["anchor", "doc", "place", "bytes"])
 
 
 def _compare(doc: np.ndarray, place: np.ndarray, raw: list[bytes]) -> tuple[np.ndarray, np.ndarray]:
@@ -237,7 +244,7 @@ def _compare(doc: np.ndarray, place: np.ndarray, raw: list[bytes]) -> tuple[np.n
     seg = np.repeat(np.arange(len(raw)), lens + 1)
     inside = np.arange(len(joined)) - begins[seg]
     window = inside <= lens[seg] - LENGTH
-    order = suffix_order(text)
+    order = suffix_order(text, LENGTH)
     order = order[order < len(joined)]
     order = order[window[order]]
     if len(order) < 2:
@@ -270,7 +277,7 @@ def _shard_stream(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]
 
 
 def _cut(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-    for batch in batches:
+    for batch in slices(batches, 1000):
         text = column(batch, "text").to_pylist()
         gone = column(batch, "gone")
         rows = []
@@ -317,7 +324,10 @@ def dedup_substrings(docs: DataFrame, id_col: str = "doc_id", text_col: str = "t
     )
     texts = base.select("doc", "part", "text").dropDuplicates(["doc", "part"]) if repeats else base.select("doc", "part", "text")
     contested = texts.join(wanted, ["doc", "part"]).select("doc", "text", "wanted").mapInArrow(_segment_texts, "anchor long, doc long, place long, bytes binary")
-    windows = contested.repartition("anchor").mapInArrow(_shard_stream, "doc long, place long")
+    # Shards of about SHARD bytes; one that a common anchor makes larger sorts with its queues on disk.
+    size = settled.where("contested").agg(F.sum(F.col("place").bitwiseAND(255) + (LENGTH - 1))).first()[0] or 0
+    shards = max(int(base.sparkSession.conf.get("spark.sql.shuffle.partitions")), -(-size // SHARD))
+    windows = written(contested.repartition(shards, "anchor").mapInArrow(_shard_stream, "doc long, place long"), "windows")
     gone = (
         settled.where("not contested").select("doc", "place").union(windows)
         .groupBy("doc", F.shiftright("place", 48).alias("part"))
