@@ -39,6 +39,7 @@ def mix(x: np.ndarray) -> np.ndarray:
 def uniform_np(*parts) -> np.ndarray:
     """Vector form for kernels; parts are integers or integer arrays that broadcast."""
     h = np.zeros((), np.uint64)
-    for p in parts:
-        h = mix((h + np.uint64(0x9E3779B97F4A7C15)) ^ np.asarray(p).astype(np.int64).view(np.uint64) * np.uint64(0xD6E8FEB86659FD93))
+    with np.errstate(over="ignore"):
+        for p in parts:
+            h = mix((h + np.uint64(0x9E3779B97F4A7C15)) ^ np.asarray(p).astype(np.int64).view(np.uint64) * np.uint64(0xD6E8FEB86659FD93))
     return (h >> np.uint64(11)).astype(float) / 2.0**53
