@@ -117,12 +117,12 @@ class FlowBelow(Performance):
     """Fails if the maximum flow from s to t is below a demand."""
 
     def __init__(self, net: Network, s: int, t: int, demand: float):
-        self.net, self.s, self.t, self.demand = net, s, t, demand
-
-    def loss(self, failed):
         from .istar import max_flow
 
-        return np.array([max_flow(self.net, self.s, self.t, alive=~f, capacity=self.net.capacity) < self.demand for f in failed.T], float)
+        self.net, self.s, self.t, self.demand, self.flow = net, s, t, demand, max_flow
+
+    def loss(self, failed):
+        return np.array([self.flow(self.net, self.s, self.t, alive=~f, capacity=self.net.capacity) < self.demand for f in failed.T], float)
 
 
 class DcCascade(Performance):
