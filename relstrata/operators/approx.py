@@ -16,7 +16,8 @@ from pyspark.sql import functions as F
 from ..functions import bernoulli, bits
 from .refine import Refinement, SplitTree, Stratum
 
-MAX_TERMS = 20_000
+#: ``auto`` takes the exact union while at most this many sets meet a stratum.
+UNION_SETS = 5
 
 
 class Overlap:
@@ -53,17 +54,17 @@ def approx_pf(tree: SplitTree, strata: list[Stratum], cuts: list, mode: str = "a
 
     ``union``: exact probability of the union of the cuts' events (inclusion and exclusion, branches end
     where a union no longer fits the counts). ``capped_sum``: sum of the single terms, at most 1.
-    ``auto``: union until a stratum needs more than MAX_TERMS terms. ``normalise=False`` leaves the
-    joint probability undivided.
+    ``auto``: union where at most UNION_SETS sets meet a stratum, else the capped sum.
+    ``normalise=False`` leaves the joint probability undivided.
     """
     over = Overlap(tree)
     sets = [frozenset(c) for c in cuts]
 
     def total(s: Stratum) -> float:
         single = [(c, m) for c in sets if (m := over.mass(s, c)) > 0]
-        if mode == "capped_sum" or len(single) <= 1:
+        if mode == "capped_sum" or len(single) <= 1 or mode == "auto" and len(single) > UNION_SETS:
             return sum(m for _, m in single)
-        out, terms, live = 0.0, 0, [(c, k) for k, (c, _) in enumerate(single)]
+        live = [(c, k) for k, (c, _) in enumerate(single)]
         out = sum(m for _, m in single)
         sign = -1.0
         while live:
@@ -72,9 +73,6 @@ def approx_pf(tree: SplitTree, strata: list[Stratum], cuts: list, mode: str = "a
                 for j in range(k + 1, len(single)):
                     u = c | single[j][0]
                     m = over.mass(s, u)
-                    terms += 1
-                    if mode == "auto" and terms > MAX_TERMS:
-                        return sum(m for _, m in single)
                     if m > 0:
                         out += sign * m
                         nxt.append((u, j))

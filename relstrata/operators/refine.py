@@ -257,7 +257,8 @@ def ratio_trace(ref_p, tree: SplitTree, steps: int, i_star: int, every: int = 1)
     out: list[dict] = []
 
     def note(step: int) -> None:
-        out.append({"step": step, "n_strata": acc["n"], "r_prop": acc["w"] / mass / v, "r_opt": (acc["s"] / mass) ** 2 / v, "r_uni": acc["n"] * acc["u"] / mass**2 / v})
+        ratios = {"r_prop": acc["w"] / mass / v, "r_opt": (acc["s"] / mass) ** 2 / v, "r_uni": acc["n"] * acc["u"] / mass**2 / v}
+        out.append({"step": step, "n_strata": acc["n"]} | {k: float(x) for k, x in ratios.items()})
 
     note(0)
 

@@ -6,9 +6,10 @@ from collections.abc import Callable
 
 from pyspark.sql import DataFrame, SparkSession
 
-from . import catalogue, n10
+from ..streaming import queries as streams
+from . import catalogue, n10, workloads
 
-MODULES = [n10, catalogue]
+MODULES = [n10, catalogue, workloads, streams]
 
 
 def queries() -> dict[str, Callable[[SparkSession, str], DataFrame]]:
@@ -16,4 +17,4 @@ def queries() -> dict[str, Callable[[SparkSession, str], DataFrame]]:
 
 
 def oracle_sql() -> dict[str, str]:
-    return {k: q for m in MODULES for k, q in m.O.items()}
+    return {k: q for m in MODULES for k, q in getattr(m, "O", {}).items()}
