@@ -2,13 +2,15 @@
 
 A line is the sequence of its words. Two lines of MIN_WORDS words or more are near if
 one word inserted, deleted or replaced turns one into the other; shorter lines must be
-equal. Every line emits the hash of each of its one-word deletions:
+equal. Every line emits a key for each of its one-word deletions (the place, and hashes of
+what stands before and after) and one for each of its gaps, where another line may have a word more:
 
-* lines with the same variant *at the same place* differ by a replacement there;
-* a line that equals another one's variant lacks one word of it.
+* lines with the same deletion at the same place differ by a replacement there;
+* a line whose gap equals another one's deletion lacks one word of it.
 
-So each line's earliest near line is a minimum over equal keys: no pairs are made, and a
-line that a third of all documents repeat is one row after the first aggregation.
+All lines of a key are near each other, so each line's earliest near line is a minimum
+over equal keys: no pairs are made, and a line that a third of all documents repeat is one
+row after the first aggregation.
 Before variants are emitted, lines are dropped that share neither half with another
 one: a single edit leaves one half untouched, so no near pair is lost.
 
@@ -94,29 +96,39 @@ def near_lines(docs: DataFrame) -> tuple[DataFrame, DataFrame]:
         .dropDuplicates(["h"])
     )
     cand = written(texts, "near-candidates")
-    i = F.col("i")
-    without = F.concat(F.slice("words", F.lit(1), i - 1), F.slice("words", i + 1, F.size("words") - i))
-    variants = written(
-        cand.withColumn("i", F.explode(F.sequence(F.lit(1), F.size("words")))).select("h", "first", "i", two_hashes(without).alias("v"), (F.size("words") - 1).alias("m")),
-        "variants",
-    )
-    # Replacements: same variant at the same place; the earliest of the group is a near line of all others.
-    group = variants.groupBy("v", "i").agg(F.min("first").alias("e"), F.max("first").alias("l")).where("e <> l").select("v", "i", "e")
-    replaced = variants.join(group, ["v", "i"]).where("e < first").select("h", "e")
-    # Deletions: the variant is another line, which may come before or after.
-    short = cand.select(F.col("h").alias("v"), F.col("first").alias("short_first"))
-    longer = variants.where(F.col("m") >= MIN_WORDS).groupBy("v", "h").agg(F.min("first").alias("first")).join(short, "v")
-    lacking = longer.where("short_first < first").select("h", F.col("short_first").alias("e"))
-    added = longer.where("first < short_first").select(F.col("v").alias("h"), F.col("first").alias("e"))
-    best = replaced.union(lacking).union(added).groupBy("h").agg(F.min("e").alias("e"))
+    hashed = cand.select("first", F.size("words").alias("n"), running_hashes(F.col("words")).alias("before"), running_hashes(F.reverse("words")).alias("after"))
+    parts = [F.col(c) for c in ("n", "before", "after")]
+    keys = hashed.select("first", F.explode(F.concat(deletions(*parts), gaps(*parts))).alias("k"))
+    # All lines of a group are within one edit of each other; the earliest is a near line of the rest.
+    group = Window.partitionBy("k.at", "k.before", "k.after")
+    best = keys.withColumn("e", F.min("first").over(group)).where("e < first").groupBy("first").agg(F.min("e").alias("e"))
     # Verify the word edit distance against the witness itself, one row per line.
-    own = cand.select("h", F.col("words").alias("a"))
+    own = cand.select("first", "h", F.col("words").alias("a"))
     other = cand.select(F.col("first").alias("e"), F.col("words").alias("b"))
-    near = best.join(own, "h").join(other, "e").where(within_one_edit(F.col("a"), F.col("b"))).select("h", F.lit(True).alias("near"))
-    verdicts = distinct.select("h", "first").join(near, "h", "left").select("h", "first", F.coalesce("near", F.lit(False)).alias("near"))
+    near = best.join(own, "first").join(other, "e").where(within_one_edit(F.col("a"), F.col("b"))).select("h", F.lit(True).alias("near"))
+    verdicts = distinct.join(near, "h", "left").select("h", "first", F.coalesce("near", F.lit(False)).alias("near"))
     return lines, verdicts
 
 
+def running_hashes(words: Column) -> Column:
+    """Hashes of the first 0, 1, ... n words, each from the one before."""
+    return F.aggregate(words, F.array(F.lit(17).cast("bigint")), lambda acc, w: F.concat(acc, F.array(F.xxhash64(F.element_at(acc, -1), w))))
+
+
+def deletions(n: Column, before: Column, after: Column) -> Column:
+    """One key per one-word deletion: its place and the hashes of what stands before and after."""
+    return F.transform(F.sequence(F.lit(1), n), lambda i: _key(i, F.get(before, i - 1), F.get(after, n - i)))
+
+
+def gaps(n: Column, before: Column, after: Column) -> Column:
+    """One key per place where a word may be missing; equals that of the longer line's deletion there."""
+    return F.transform(F.sequence(F.lit(1), n + 1), lambda i: _key(i, F.get(before, i - 1), F.get(after, n + 1 - i)))
+
+
+def _key(at: Column, before: Column, after: Column) -> Column:
+    return F.struct(at.alias("at"), before.alias("before"), after.alias("after"))
+
+
 def within_one_edit(a: Column, b: Column) -> Column:
     """Word edit distance of at most one, from the common ends of both sequences."""
 
