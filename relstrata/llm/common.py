@@ -9,7 +9,7 @@ import uuid
 from collections.abc import Iterator
 
 import pyarrow as pa
-from pyspark.sql import DataFrame, SparkSession
+from pyspark.sql import Column, DataFrame, SparkSession
 from pyspark.sql import functions as F
 from pyspark.sql import types as T
 
@@ -76,3 +76,11 @@ def column(batch: pa.RecordBatch, name: str) -> pa.Array:
 def with_fields(df: DataFrame, fields: str) -> T.StructType:
     """The schema of ``df`` with further fields; ``df.schema`` itself stays as it is."""
     return T.StructType([*df.schema.fields, *T._parse_datatype_string(fields).fields])
+
+
+def hash_sample(df: DataFrame, key: Column, size: int, seed: int, total: int) -> DataFrame:
+    """The ``size`` rows of the smallest hashes, of ``total``; about twice that many are moved, whatever the input."""
+    span = 1 << 40
+    h = F.pmod(F.xxhash64(key, F.lit(seed)), F.lit(span))
+    bound = span if total <= 2 * size else span * 2 * size // total
+    return df.withColumn("_hash", h).where(F.col("_hash") < bound).orderBy("_hash", key).limit(size).drop("_hash")

@@ -24,12 +24,13 @@ import pyarrow as pa
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
-from .common import column, load, slices, with_fields
+from .common import column, hash_sample, load, slices, with_fields
 
 #: Labelled pages that weights are fitted on, at most; taken by hash, so any run takes the same.
 FIT_PAGES = 2_000
 #: Contexts whose weights are kept; a rarer one falls back to its element, then to the default.
 FIT_CONTEXTS = 1_000
+BOILER_COST = 1.0
 TAG_COSTS = (0.05, 0.1, 0.2, 0.4, 0.8, 1.6)
 
 # Element names by their role in HTML, and words that name boilerplate in class and id.
@@ -162,12 +163,18 @@ def word_weight(weights: dict[str, float], context: str) -> float:
     return weights.get(context.split(".")[0], -1.0 if context.startswith("!") else 1.0)
 
 
+def block_score(weights: dict[str, float], context: str, words: int) -> float:
+    """Summed word scores; a boilerplate element costs at most BOILER_COST, so that one inside an article doesn't cut it."""
+    total = word_weight(weights, context) * words
+    return max(total, -BOILER_COST) if context.startswith("!") else total
+
+
 def main_text(page: str | None, weights: dict[str, float], tag_cost: float) -> str:
     """The main text of one page: blocks of the best region, boilerplate inside it left out."""
     if not page:
         return ""
     found = [(b, t) for b in blocks(page)[0] if (t := b.text())]
-    scored = [(tag_cost * b.tags, word_weight(weights, b.context) * (t.count(" ") + 1)) for b, t in found]
+    scored = [(tag_cost * b.tags, block_score(weights, b.context, t.count(" ") + 1)) for b, t in found]
     lo, hi = best_region(scored)
     return "\n".join(t for (b, t), (_, gain) in zip(found[lo:hi], scored[lo:hi], strict=True) if gain > 0)
 
@@ -182,15 +189,8 @@ def labelled_text(page: str) -> str | None:
 
 def fit(pages: DataFrame, html_col: str = "html") -> tuple[dict[str, float], float]:
     """Weights per context and the tag cost, from at most FIT_PAGES labelled pages."""
-    sample = (
-        pages.select(F.col(html_col).alias("html"))
-        .where(F.col("html").contains("<article"))
-        .withColumn("_h", F.xxhash64("html"))
-        .orderBy("_h")
-        .limit(FIT_PAGES)
-        .select("html")
-        .repartition(6)
-    )
+    marked = pages.select(F.col(html_col).alias("html")).where(F.col("html").contains("<article"))
+    sample = hash_sample(marked, F.col("html"), FIT_PAGES, 5, pages.count()).repartition(6)
 
     def count(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         inside: Counter[str] = Counter()

@@ -77,16 +77,17 @@ def replicate(
     """
     rates = source_rates(docs, alpha, weights)
     base = docs.drop("copy_no", "order_key")
-    r = rates.select(F.col("source").alias("_s"), "rate")
     # Null source is its own group: compare by a key that never is null.
     key = lambda c: F.coalesce(F.concat(F.lit("="), F.col(c)), F.lit("null"))
-    with_rate = base.withColumn("_k", key("source")).join(r.withColumn("_k", key("_s")).drop("_s"), "_k").drop("_k")
-    drawn = with_rate.withColumn(
-        "_n", poisson_inverse(uniform(F.lit(str(seed)), F.coalesce(F.col("doc_id").cast("string"), F.lit("null"))), F.col("rate"))
-    ).where("_n > 0")
-    copies = drawn.withColumn("copy_no", F.explode(F.sequence(F.lit(0), F.col("_n") - 1)))
-    order = F.md5(F.concat_ws("|", F.lit(f"order{seed}"), F.coalesce(F.col("doc_id").cast("string"), F.lit("null")), F.col("copy_no").cast("string")))
-    return copies.withColumn("order_key", order).drop("_n", "rate").orderBy("order_key", "doc_id", "copy_no")
+    text_id = lambda c: F.coalesce(F.col(c).cast("string"), F.lit("null"))
+    # Rows travel as one struct, so that their columns can't clash with the ones used here.
+    rows = base.select(key("source").alias("k"), text_id("doc_id").alias("id"), F.struct(*[F.col(f"`{c}`") for c in base.columns]).alias("row"))
+    joined = rows.join(rates.select(key("source").alias("k"), "rate"), "k")
+    drawn = joined.withColumn("n", poisson_inverse(uniform(F.lit(str(seed)), F.col("id")), F.col("rate"))).where("n > 0")
+    copies = drawn.select("id", "row", F.explode(F.sequence(F.lit(0), F.col("n") - 1)).alias("copy_no"))
+    order = F.md5(F.concat_ws("|", F.lit(f"order{seed}"), "id", F.col("copy_no").cast("string")))
+    ranked = copies.select("row", "copy_no", order.alias("order_key"))
+    return ranked.orderBy("order_key", "row.doc_id", "copy_no").select("row.*", "copy_no", "order_key")
 
 
 def op5_mixing(spark: SparkSession, sf_dir: str) -> DataFrame:

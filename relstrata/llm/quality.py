@@ -23,7 +23,7 @@ import pyarrow as pa
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
-from .common import column, keyed, load, slices, with_fields, written
+from .common import column, hash_sample, keyed, load, slices, with_fields, written
 
 WORD = re.compile(r"[^\x20\x09-\x0D]+")
 SYMBOLS = "#*$%&|<>"
@@ -168,15 +168,8 @@ class IsolationForest:
 
 def fit_forest(stats: DataFrame) -> IsolationForest:
     """On at most SAMPLE rows that pass the base rules, taken by hash."""
-    rows = (
-        stats.where(~F.col("base_failed"))
-        .select("doc_id", *FEATURES)
-        .withColumn("_h", F.xxhash64("doc_id", F.lit(SEED)))
-        .orderBy("_h", "doc_id")
-        .limit(SAMPLE)
-        .select(*FEATURES)
-        .toPandas()
-    )
+    passed = stats.where(~F.col("base_failed")).select("doc_id", *FEATURES)
+    rows = hash_sample(passed, F.col("doc_id"), SAMPLE, SEED, passed.count()).select(*FEATURES).toPandas()
     return IsolationForest(rows.to_numpy(float))
 
 
