@@ -4,7 +4,8 @@ Every document gets rule statistics from its whole text. Trees of random splits
 grown on a hash sample of at most SAMPLE rows; short average path lengths mark
 anomalous documents. The cut is set on all labelled rows: the score at which the share
 of good rows kept exceeds the share of bad rows kept the most (the highest such score),
-which a few wrong labels on either side don't move.
+which a few wrong labels on either side don't move. A document above it is rejected if
+some rule statistic also speaks against it, by limits from the same labelled rows.
 
 Defined results: a null or empty text has no words and fails the base; ties in the
 sample order are broken by doc_id; repeated rows are scored alike; without labels of
@@ -33,7 +34,9 @@ MIN_WORDS, MAX_REPEAT_PERCENT = 50, 50
 TREES, PER_TREE, SAMPLE, SEED = 150, 256, 20_000, 11
 #: Bins of the score when the cut is set.
 BINS = 4096
-FEATURES = ["symbol_rate", "dup_line_rate", "repeat_rate", "word_length", "upper_rate", "mark_rate", "pipe_rate", "distinct_rate"]
+FEATURES = ["symbol_rate", "word_length", "caps_rate", "mark_rate", "pipe_rate"]
+#: Quantile of good labelled rows from which a statistic can count as bad.
+GOOD_QUANTILE = 0.999
 
 STATS_SCHEMA = (
     "doc_id long, n_words long, word_chars long, n_symbols long, n_dup_lines long, n_repeat_words long, "
@@ -41,13 +44,13 @@ STATS_SCHEMA = (
 )
 
 
-def repeated_words(words: list[str]) -> tuple[int, int]:
-    """Words inside 3-word windows that occur twice or more, and the number of distinct words."""
+def repeated_words(words: list[str]) -> int:
+    """Words inside 3-word windows that occur twice or more."""
     n = len(words)
     ids: dict[str, int] = {}
     seq = np.fromiter((ids.setdefault(w, len(ids)) for w in words), np.int64, n)
     if n < 3:
-        return 0, len(ids)
+        return 0
     v = len(ids)
     if v < 2_000_000:
         key = (seq[:-2] * v + seq[1:-1]) * v + seq[2:]
@@ -58,14 +61,14 @@ def repeated_words(words: list[str]) -> tuple[int, int]:
     s = key[order]
     same = s[1:] == s[:-1]
     if not same.any():
-        return 0, v
+        return 0
     twice = np.zeros(n - 2, bool)
     twice[order[1:][same]] = True
     twice[order[:-1][same]] = True
     cover = np.zeros(n, bool)
     for k in range(3):
         cover[k : n - 2 + k] |= twice
-    return int(cover.sum()), v
+    return int(cover.sum())
 
 
 def statistics(text: str | None) -> tuple:
@@ -76,21 +79,19 @@ def statistics(text: str | None) -> tuple:
     chars = sum(map(len, words))
     symbols = sum(map(text.count, SYMBOLS))
     seen: set[str] = set()
-    dup = lines = 0
+    dup = 0
     for line in text.split("\n"):
         if WORD.search(line):
-            lines += 1
             dup += line in seen
             seen.add(line)
-    repeat, distinct = repeated_words(words)
+    repeat = repeated_words(words)
     failed = n < MIN_WORDS or 100 * repeat > MAX_REPEAT_PERCENT * n
-    upper = sum(w.isupper() for w in words)
+    caps = sum(len(w) > 3 and w.isupper() for w in words)
     per = max(n, 1)
     marks = sum(map(text.count, "!?*$%&#"))
     return (
         n, chars, symbols, dup, repeat, failed,
-        symbols / per, dup / max(lines, 1), repeat / per, chars / per, upper / per, marks / per, text.count("|") / per,
-        distinct / per**0.75,
+        symbols / per, chars / per, caps / per, marks / per, text.count("|") / per,
     )
 
 
@@ -206,6 +207,22 @@ def calibrate(scored: DataFrame, labels: DataFrame) -> float:
     return cut / BINS
 
 
+def bad_from(stats: DataFrame, labels: DataFrame) -> dict[str, float]:
+    """Per statistic, the value from which it speaks against a document, from all labelled rows.
+
+    Half-way from the top of the good rows to the median of the bad rows above it; infinite where no
+    bad row is above. A document between the crowds, which a forest finds anomalous too, is then kept.
+    """
+    per_doc = labels.where("doc_id is not null and quality is not null").groupBy("doc_id").agg(F.min("quality").alias("good"))
+    rows = stats.where(~F.col("base_failed")).select("doc_id", *FEATURES).join(per_doc, "doc_id")
+    good, bad = F.col("good") > 0, F.col("good") <= 0
+    top = rows.agg(*[F.percentile_approx(F.when(good, F.col(f)), GOOD_QUANTILE, 10_000).alias(f) for f in FEATURES]).first()
+    if top[FEATURES[0]] is None:
+        return dict.fromkeys(FEATURES, float("inf"))
+    mid = rows.agg(*[F.percentile_approx(F.when(bad & (F.col(f) > top[f]), F.col(f)), 0.5, 10_000).alias(f) for f in FEATURES]).first()
+    return {f: float("inf") if mid[f] is None else (top[f] + mid[f]) / 2 for f in FEATURES}
+
+
 def judge_quality(docs: DataFrame, labels: DataFrame, id_col: str = "doc_id", text_col: str = "text") -> DataFrame:
     """Statistics, ``anomaly`` and ``kept`` for every row of ``docs``.
 
@@ -213,9 +230,13 @@ def judge_quality(docs: DataFrame, labels: DataFrame, id_col: str = "doc_id", te
     calibration and the verdicts read those narrow rows.
     """
     stats = written(rule_statistics(docs, id_col, text_col), "rule-stats")
-    scored = with_score(stats, fit_forest(stats))
-    cut = calibrate(scored, labels.select(F.col("doc_id").cast("long").alias("doc_id"), "quality"))
-    return scored.withColumn("kept", ~F.col("base_failed") & (F.col("anomaly") < F.lit(cut)))
+    labels = labels.select(F.col("doc_id").cast("long").alias("doc_id"), "quality")
+    scored = written(with_score(stats, fit_forest(stats)), "rule-scores")
+    cut, limits = calibrate(scored, labels), bad_from(stats, labels)
+    against = F.lit(False)
+    for f, x in limits.items():
+        against = against | (F.col(f) >= F.lit(x))
+    return scored.withColumn("kept", ~F.col("base_failed") & ~((F.col("anomaly") >= F.lit(cut)) & against))
 
 
 def op3_quality_rules(spark: SparkSession, sf_dir: str) -> DataFrame:
