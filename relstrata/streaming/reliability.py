@@ -20,12 +20,14 @@ EVENTS = "event_id bigint, ts timestamp, user_id bigint, event_type string, valu
 
 def as_instant(ts: str = "ts"):
     """A timestamp without zone as the UTC instant, whatever the session's zone; watermarks need instants."""
-    return F.expr(f"timestamp_micros(timestampdiff(MICROSECOND, timestamp_ntz'1970-01-01 00:00:00', {ts}))")
+    return F.expr(f"cast(concat(cast(cast({ts} as timestamp_ntz) as string), '+00:00') as timestamp)")
 
 
 def as_wall(instant: str):
-    """The way back, as text."""
-    return F.expr(f"cast(timestampadd(SECOND, unix_seconds({instant}), timestamp_ntz'1970-01-01 00:00:00') as string)")
+    """The way back, as text; from the seconds alone, so that no zone's clock changes come in."""
+    day = f"cast(date_from_unix_date(cast(floor(unix_seconds({instant}) / 86400) as int)) as string)"
+    part = lambda unit, top: f"lpad(cast(pmod(floor(unix_seconds({instant}) / {unit}), {top}) as string), 2, '0')"
+    return F.expr(f"concat({day}, ' ', {part(3600, 24)}, ':', {part(60, 60)}, ':', {part(1, 60)})")
 
 
 def component_rates(events: DataFrame, n: int, window: str = "1 day", slide: str | None = None, scale: float = 0.05, watermark: str | None = None) -> DataFrame:
