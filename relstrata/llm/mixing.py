@@ -22,6 +22,8 @@ ALPHA = 0.5
 SEED = 20
 #: Inversion runs until the upper tail is below 2**-53; for a mean up to 8 that is 60 terms.
 TERMS, MAX_RATE = 60, 8.0
+#: Sources whose rates are broadcast, at most; more meet by shuffle.
+MAX_BROADCAST = 100_000
 
 
 def uniform(*parts: Column) -> Column:
@@ -71,9 +73,8 @@ def replicate(
 ) -> DataFrame:
     """Copies of ``docs`` with ``copy_no`` (0-based) and ``order_key``, sorted by the latter.
 
-    The rate table has a row per source. It is joined by its key; Spark broadcasts it
-    when its measured size allows and otherwise splits a hot source's rows. The count
-    is drawn before the explode and only survivors go into the one shuffle of texts.
+    The rate table has a row per source and is broadcast behind a check of its size.
+    The count is drawn before the explode, and only survivors go into the one shuffle of texts.
     """
     rates = source_rates(docs, alpha, weights)
     base = docs.drop("copy_no", "order_key")
@@ -82,7 +83,10 @@ def replicate(
     text_id = lambda c: F.coalesce(F.col(c).cast("string"), F.lit("null"))
     # Rows travel as one struct, so that their columns can't clash with the ones used here.
     rows = base.select(key("source").alias("k"), text_id("doc_id").alias("id"), F.struct(*[F.col(f"`{c}`") for c in base.columns]).alias("row"))
-    joined = rows.join(rates.select(key("source").alias("k"), "rate"), "k")
+    rates = rates.select(key("source").alias("k"), "rate")
+    # A row a source: broadcast while there are few, so that texts aren't dealt out by a key that a hot source fills.
+    few = rates.limit(MAX_BROADCAST + 1).count() <= MAX_BROADCAST
+    joined = rows.join(F.broadcast(rates) if few else rates, "k")
     drawn = joined.withColumn("n", poisson_inverse(uniform(F.lit(str(seed)), F.col("id")), F.col("rate"))).where("n > 0")
     copies = drawn.select("id", "row", F.explode(F.sequence(F.lit(0), F.col("n") - 1)).alias("copy_no"))
     order = F.md5(F.concat_ws("|", F.lit(f"order{seed}"), "id", F.col("copy_no").cast("string")))
