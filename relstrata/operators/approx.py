@@ -7,6 +7,7 @@ chance that the rest of the cluster has the failures that remain.
 
 from __future__ import annotations
 
+import zlib
 from functools import lru_cache
 
 import numpy as np
@@ -15,9 +16,11 @@ from pyspark.sql import functions as F
 
 from ..functions import bernoulli, bits
 from .refine import Refinement, SplitTree, Stratum
+from .sample import draw_refined
 
 #: ``auto`` takes the exact union while at most this many sets meet a stratum.
 UNION_SETS = 5
+PROBES = 128
 
 
 class Overlap:
@@ -54,16 +57,29 @@ def approx_pf(tree: SplitTree, strata: list[Stratum], cuts: list, mode: str = "a
 
     ``union``: exact probability of the union of the cuts' events (inclusion and exclusion, branches end
     where a union no longer fits the counts). ``capped_sum``: sum of the single terms, at most 1.
-    ``auto``: union where at most UNION_SETS sets meet a stratum, else the capped sum.
+    ``auto``: union where at most UNION_SETS sets meet a stratum; with more, the sum while it is small, and
+    otherwise the share of PROBES states drawn in the stratum that contain a set (no evaluation of the
+    performance function), kept off 0 and 1: a capped sum of 1 would leave the stratum a single draw.
     ``normalise=False`` leaves the joint probability undivided.
     """
     over = Overlap(tree)
     sets = [frozenset(c) for c in cuts]
+    rows = [np.array(sorted(c)) for c in sets]
+
+    def probed(s: Stratum) -> float:
+        x = draw_refined(tree, s.clusters, PROBES, (11, zlib.crc32(s.stratum_id.encode()), np.arange(PROBES)))
+        hit = np.zeros(PROBES, bool)
+        for c in rows:
+            hit |= x[c].all(0)
+        return s.lam * float(np.clip(hit.mean(), 0.5 / PROBES, 1 - 0.5 / PROBES))
 
     def total(s: Stratum) -> float:
         single = [(c, m) for c in sets if (m := over.mass(s, c)) > 0]
-        if mode == "capped_sum" or len(single) <= 1 or mode == "auto" and len(single) > UNION_SETS:
+        if mode == "capped_sum" or len(single) <= 1:
             return sum(m for _, m in single)
+        if mode == "auto" and len(single) > UNION_SETS:
+            upper = sum(m for _, m in single)
+            return upper if upper < 0.1 * s.lam else probed(s)
         live = [(c, k) for k, (c, _) in enumerate(single)]
         out = sum(m for _, m in single)
         sign = -1.0
