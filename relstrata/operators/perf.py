@@ -235,6 +235,13 @@ def evaluate(states, perf: Performance, n: int):
     return states.mapInArrow(run, schema)
 
 
+def by_expression(states, text: str):
+    """A performance function given as SQL over the state's columns, for example ``bit_count(words[0]) >= 3``."""
+    from pyspark.sql import functions as F
+
+    return states.withColumn("fail", F.expr(text).cast("boolean"))
+
+
 def check_coherence(states, n: int):
     """Failing states (rows words, k, fail) with a failing state whose one-more-failure state is safe: violations.
 

@@ -500,6 +500,21 @@ def _(spark, sf):
     return judged(spark, CutUnion(STAR)).select("x", "fail")
 
 
+@query("perf_expression", "SELECT x, (x & 7) = 7 OR bit_count(x) >= 6 AS fail FROM range(1024) t(x)")
+def _(spark, sf):
+    from ..operators.perf import by_expression
+
+    df = by_expression(state_space(spark, N, 0, N), "(words[0] & 7) = 7 OR bit_count(words[0]) >= 6")
+    return df.select(F.element_at("words", 1).alias("x"), "fail")
+
+
+@query("perf_predicate", "SELECT x, bit_count(x & 170) = 4 AS fail FROM range(1024) t(x)")
+def _(spark, sf):
+    from ..operators.perf import Predicate
+
+    return judged(spark, Predicate(lambda failed: failed[[1, 3, 5, 7]].all(0))).select("x", "fail")
+
+
 @query("perf_lost_capacity", sql("SELECT x, round(coalesce(sum(capacity) FILTER (WHERE (x >> d) & 1 = 1), 0) / sum(capacity), 9) AS loss FROM range(1024) t(x), e GROUP BY x"))
 def _(spark, sf):
     return judged(spark, LostCapacity(network(spark, sf), 0.4)).select("x", r("loss", 9).alias("loss"))

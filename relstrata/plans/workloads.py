@@ -447,9 +447,11 @@ def w15_w16_water_efficiency(spark, sf, steps: int = 300, budget: int = 4000, ru
     for cut, target in sorted(targets(spark, sf).items()):
         perf = Connected(net, PLANTS, target)
         for model in ("0.005", "rate 0.1"):
+            ps = water_p(net, model)
+            p_leaf = water_leaf(spark, net, perf)(refine(SplitTree(ps), steps, cut))  # the same strata for every set of cuts
             for more in (0, 10, 40):
                 cuts = water_cuts(net, target, more)
-                rows.append(efficiency_row(spark, "water", model, f"node {target}, {len(cuts)} cuts", water_p(net, model), perf, cuts, cut, water_leaf(spark, net, perf), 0, budget, steps, runs))
+                rows.append(efficiency_row(spark, "water", model, f"node {target}, {len(cuts)} cuts", ps, perf, cuts, cut, lambda _, p=p_leaf: p, 0, budget, steps, runs))
     return spark.createDataFrame(rows, EFF)
 
 
