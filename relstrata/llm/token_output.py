@@ -29,7 +29,7 @@ END_ID = 2
 #: Ids coded together, blocks at most and ids at least in each.
 GROUP, LANES, MIN_BLOCK = 1 << 21, 1024, 1024
 #: Pre-tokens whose ids are remembered; beyond it the memory starts afresh.
-REMEMBER = 400_000
+REMEMBER = 250_000
 PRETOKEN = r"'s|'t|'re|'ve|'m|'ll|'d| ?\p{L}+| ?\p{N}+| ?[^\s\p{L}\p{N}]+|\s+(?!\S)|\s+"
 
 BLOCKS = "part int, block int, before long, n_ids long, doc_ids array<long>, piece_ids array<long>, begins array<boolean>, payload binary"
@@ -99,6 +99,17 @@ class Encoder:
         return [np.append(ids[a:b], np.uint16(END_ID)) for a, b in zip(cuts, cuts[1:], strict=False)]
 
 
+def worker_encoder(path: str) -> Encoder:
+    """One encoder a worker process: this module comes with each task anew, the library's module stays."""
+    import tokenizers
+
+    held = tokenizers.__dict__.setdefault("_held_encoders", {})
+    if path not in held:
+        held.clear()
+        held[path] = Encoder(path)
+    return held[path]
+
+
 def _group_rows(part: int, block: int, before: int, docs: list, ids: np.ndarray, opened: bool) -> pa.RecordBatch:
     """Blocks of one group. docs: (doc_id, ids) pieces; opened: did the first piece's document begin earlier?"""
     lanes = max(1, min(LANES, len(ids) // MIN_BLOCK))
@@ -133,7 +144,7 @@ def coded_blocks(docs: DataFrame, tokenizer: str | None = None, id_col: str = "d
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         part = TaskContext.get().partitionId()
-        enc = Encoder(path)
+        enc = worker_encoder(path)
         held: list[np.ndarray] = []
         docs: list[tuple[int | None, int]] = []
         n = block = before = 0
