@@ -8,7 +8,6 @@ kept in the shared folder.
 from __future__ import annotations
 
 from collections.abc import Callable
-from math import comb
 
 import numpy as np
 import pyarrow as pa
@@ -527,5 +526,3 @@ def bounds_and_levels_n10(spark, sf):
     rows.append(("cross-entropy", *ce_is(net.p, perf, 4000, 1)))
     return spark.createDataFrame(rows, "method string, p double, evaluations int")
 
-
-__all__ = ["Q", "comb"]
