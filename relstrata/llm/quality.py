@@ -16,7 +16,6 @@ repeated or contradicting labels of a document count as bad.
 from __future__ import annotations
 
 import re
-from collections import Counter
 from collections.abc import Iterator
 
 import numpy as np
