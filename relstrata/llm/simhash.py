@@ -210,11 +210,15 @@ def near_duplicates(docs: DataFrame, id_col: str = "doc_id", text_col: str = "te
 
 
 def dedup(docs: DataFrame, width: int = WORDS, id_col: str = "doc_id") -> DataFrame:
-    """``docs`` less all but the smallest id of each group; rows without an id stay.
+    """``docs`` less all but the smallest id of each group; rows without an id stay."""
+    return keep_first(docs, near_duplicates(docs, id_col, width=width), id_col)
+
+
+def keep_first(docs: DataFrame, classes: DataFrame, id_col: str = "doc_id") -> DataFrame:
+    """Rows of ``docs`` whose id names its class in ``classes`` (doc_id, component_id), and rows without an id.
 
     Of repeated rows with the same id one is kept.
     """
-    classes = near_duplicates(docs, id_col, width=width)
     keep = classes.where(F.col("doc_id") == F.col("component_id")).groupBy(F.col("doc_id").alias("_keep")).agg(F.count(F.lit(1)).alias("_n"))
     kept = docs.join(keep.select("_keep"), F.col(id_col) == F.col("_keep"), "left_semi")
     if keep.where("_n > 1").limit(1).count():
