@@ -21,6 +21,7 @@ from pyspark.sql import functions as F
 ALPHA = 0.5
 SEED = 20
 #: Inversion runs until the upper tail is below 2**-53; for a mean up to 8 that is 60 terms.
+#: A larger mean is a sum of draws of equal means of at most 8, each with its own uniform.
 TERMS, MAX_RATE = 60, 8.0
 #: Sources whose rates are broadcast, at most; more meet by shuffle.
 MAX_BROADCAST = 100_000
@@ -46,13 +47,24 @@ def poisson_inverse(u: Column, rate: Column) -> Column:
     return F.aggregate(F.sequence(F.lit(1), F.lit(TERMS)), start, step, lambda s: s["k"])
 
 
-def source_rates(docs: DataFrame, alpha: float = ALPHA, weights: DataFrame | None = None) -> DataFrame:
+def poisson_copies(seed: Column, key: Column, rate: Column) -> Column:
+    """A Poisson number of any mean, from hashes of (seed, key) and, beyond MAX_RATE, of the part's number."""
+    parts = F.ceil(rate / MAX_RATE)
+    part = lambda j: poisson_inverse(uniform(seed, key, j.cast("string")), rate / parts)
+    many = F.aggregate(F.sequence(F.lit(1), parts.cast("int")), F.lit(0), lambda n, j: n + part(j))
+    return F.when(rate <= MAX_RATE, poisson_inverse(uniform(seed, key), rate)).otherwise(many)
+
+
+def source_rates(docs: DataFrame, alpha: float = ALPHA, weights: DataFrame | None = None, max_rate: float | None = None) -> DataFrame:
     """(source, rate): target share of all rows over the source's own rows.
 
     Without ``weights`` (source, weight) the target share is the source's share to the
-    power ``alpha``, normalised. A rate above MAX_RATE is an error in the weights and
-    raises when evaluated, rather than being cut silently.
+    power ``alpha``, normalised, and any rate holds. Weights that a caller gives are checked:
+    a rate above ``max_rate`` (MAX_RATE unless given; infinity for none) raises when
+    evaluated, rather than being cut silently.
     """
+    if max_rate is None:
+        max_rate = float("inf") if weights is None else MAX_RATE
     sizes = docs.groupBy("source").agg(F.count(F.lit(1)).alias("n"))
     if weights is None:
         raw = sizes.withColumn("w", F.pow(F.col("n").cast("double"), F.lit(alpha)))
@@ -61,7 +73,7 @@ def source_rates(docs: DataFrame, alpha: float = ALPHA, weights: DataFrame | Non
         raw = sizes.join(wt, F.col("source").eqNullSafe(F.col("_s")), "left").fillna({"w": 0.0}).drop("_s")
     total = raw.agg(F.sum("n").alias("all_n"), F.sum("w").alias("all_w"))
     rate = F.col("w") / F.col("all_w") * F.col("all_n") / F.col("n")
-    checked = F.when(rate <= MAX_RATE, rate).otherwise(F.raise_error(F.lit("a target rate is above MAX_RATE")))
+    checked = F.when(rate <= max_rate, rate).otherwise(F.raise_error(F.lit("a target rate is above MAX_RATE")))
     return raw.join(F.broadcast(total), how="cross").select("source", checked.cast("double").alias("rate"))
 
 
@@ -70,13 +82,14 @@ def replicate(
     alpha: float = ALPHA,
     weights: DataFrame | None = None,
     seed: int = SEED,
+    max_rate: float | None = None,
 ) -> DataFrame:
     """Copies of ``docs`` with ``copy_no`` (0-based) and ``order_key``, sorted by the latter.
 
     The rate table has a row per source and is broadcast behind a check of its size.
     The count is drawn before the explode, and only survivors go into the one shuffle of texts.
     """
-    rates = source_rates(docs, alpha, weights)
+    rates = source_rates(docs, alpha, weights, max_rate)
     base = docs.drop("copy_no", "order_key")
     # Null source is its own group: compare by a key that never is null.
     key = lambda c: F.coalesce(F.concat(F.lit("="), F.col(c)), F.lit("null"))
@@ -87,7 +100,7 @@ def replicate(
     # A row a source: broadcast while there are few, so that texts aren't dealt out by a key that a hot source fills.
     few = rates.limit(MAX_BROADCAST + 1).count() <= MAX_BROADCAST
     joined = rows.join(F.broadcast(rates) if few else rates, "k")
-    drawn = joined.withColumn("n", poisson_inverse(uniform(F.lit(str(seed)), F.col("id")), F.col("rate"))).where("n > 0")
+    drawn = joined.withColumn("n", poisson_copies(F.lit(str(seed)), F.col("id"), F.col("rate"))).where("n > 0")
     copies = drawn.select("id", "row", F.explode(F.sequence(F.lit(0), F.col("n") - 1)).alias("copy_no"))
     order = F.md5(F.concat_ws("|", F.lit(f"order{seed}"), "id", F.col("copy_no").cast("string")))
     ranked = copies.select("row", "copy_no", order.alias("order_key"))
