@@ -1,10 +1,11 @@
 """Secret scans: fixed patterns, then a token-efficiency test for random strings.
 
 Ordinary words and names become few tokens of many characters under a byte-level
-vocabulary; random strings become many tokens of few. A run of key characters that
-mixes kinds of characters and averages at most MAX_RATIO characters a token is
-reported, unless it is a known digest (a hash with its name before it, or listed),
-a UUID, part of a url, path or mail address, or overlaps a pattern's span.
+vocabulary; random strings become many tokens of few. A run of key characters of any
+alphabet with letters that averages few characters a token (KEY_RATIO, or WORD_RATIO
+where it could be words) is reported, unless it is a known digest (a hash with its name
+before it, or listed), a UUID, part of a url, path or mail address, or overlaps a
+pattern's span.
 
 Defined results: a null text is an empty one and gives zero counts and an empty
 span list; repeated rows are reported alike; an empty table gives an empty result.
@@ -29,12 +30,20 @@ HEX = re.compile(r"(?<![0-9a-f])[0-9a-f]{32,}")
 ASSIGN_MIN, ACCESS_MIN = 8, 16
 KINDS = ("assign", "access", "hex", "random")
 
-#: The method's own limits: shortest run, longest average of characters a token, kinds of characters.
-MIN_RUN, MAX_RATIO, MIN_KINDS = 20, 2.0, 3
-RUN = re.compile(r"[A-Za-z0-9+/_=-]{20,}")
+#: The method's own limits: shortest run, and the longest average of characters a token by what a run looks like.
+#: (short runs, runs of LONG_RUN or more); words of the given texts are above those of WORD_RATIO.
+MIN_RUN, LONG_RUN = 16, 20
+KEY_RATIO, WORD_RATIO = (1.8, 2.0), (1.55, 1.9)
+RUN = re.compile(r"[A-Za-z0-9+/_=-]{16,}")
+#: Letters of one case or capitalised, as words are, with or without separators.
+WORD_LIKE = re.compile(r"[+/_=-]*(?:[A-Z]?[a-z]*[+/_=-]+)*[A-Z]?[a-z]*|[A-Z+/_=-]+")
 UUID = re.compile(r"[0-9a-fA-F]{8}-[0-9a-fA-F]{4}-[0-9a-fA-F]{4}-[0-9a-fA-F]{4}-[0-9a-fA-F]{12}")
 DIGEST_NAME = re.compile(r"(?:md5|sha-?1|sha-?224|sha-?256|sha-?384|sha-?512|blake2[bs]|integrity|checksum|etag|commit)[\"'\s:=_-]*$", re.I)
-IDENTIFIER_BEFORE = re.compile(r"(?:[a-z][a-z0-9+.-]*://\S*|www\.\S*|[\w.]+@?[\w.]*[@/.\\])$", re.I)
+#: Urls, mail addresses and paths up to the run; a dot alone doesn't make one (tokens of dotted parts).
+IDENTIFIER_BEFORE = re.compile(r"(?:[a-z][a-z0-9+.-]*://\S*|www\.\S*|[\w.+-]+@[\w.-]*|(?:^|[\"'(=])(?:[a-z]:|[~.]+)?[/\\]\S*|[\w.]+[/\\])$", re.I)
+
+#: After a dot: the rest of a host's name, or of a relative path, and a slash.
+PLACE = re.compile(r"[a-z-]*/")
 
 
 def vocabulary(path: str | None = None) -> str:
@@ -65,10 +74,11 @@ def pattern_spans(text: str) -> list[tuple[int, int, int]]:
 
 
 def is_random(run: str, enc) -> bool:
-    kinds = sum(bool(re.search(k, run)) for k in ("[a-z]", "[A-Z]", "[0-9]", "[+/_=-]"))
-    if kinds < MIN_KINDS or not re.search("[0-9]", run):
+    """Whether the vocabulary finds too little in ``run``; numbers look the same either way, so a letter is needed."""
+    if not re.search("[A-Za-z]", run):
         return False
-    return len(run) <= MAX_RATIO * len(enc.encode_ordinary(run))
+    limit = (WORD_RATIO if WORD_LIKE.fullmatch(run) else KEY_RATIO)[len(run) >= LONG_RUN]
+    return len(run) <= limit * len(enc.encode_ordinary(run))
 
 
 def random_spans(text: str, taken: list[tuple[int, int, int]], enc, known: frozenset[str]) -> list[tuple[int, int, int]]:
@@ -85,6 +95,8 @@ def random_spans(text: str, taken: list[tuple[int, int, int]], enc, known: froze
         before = text[max(0, a - 200) : a]
         if UUID.search(run) or DIGEST_NAME.search(before[-40:]) or IDENTIFIER_BEFORE.search(before.rsplit(None, 1)[-1] if before and not before[-1].isspace() else ""):
             continue
+        if before[-1:] in (".", "~") and PLACE.match(run):
+            continue
         if hashlib.sha256(run.encode()).hexdigest() in known:
             continue
         if is_random(run, enc):
