@@ -262,6 +262,7 @@ def w9b_istar_bias(spark, sf):
 
 
 EFF = "system string, model string, target string, steps int, runs long, mean double, cost double, over_cmc double, over_mc double, alpha double, alpha_bound double, r_opt double, opt_over_cmc double"
+EFF_COLUMNS = [c.split()[0] for c in EFF.split(", ")]
 
 
 def efficiency_row(spark, system: str, model: str, target: str, ps, perf, cuts, i_star: int, p_leaf_of, pilot: int, budget: int, steps: int, runs: int, seed: int = 3) -> tuple:
@@ -305,19 +306,22 @@ def w10_w11_w17_grid_efficiency(spark, sf, steps: int = 1000, budget: int = 5000
 
 
 @query
-def w12_steps_against_cost(spark, sf):
-    """Evaluations by refinement steps and initial size; no evaluation is made for it."""
+def w12_steps_against_cost(spark, sf, budgets: tuple = (1000, 2000, 5000, 10000), steps: tuple = (0, 100, 300, 1000), runs: int = 10):
+    """Relative efficiency over conditional Monte Carlo, and evaluations, by refinement steps and initial size."""
     net = grid(spark, sf)
     i_star = true_istar(spark, sf, 0.4)
     _, pilot, cuts = ga_states(spark, sf, 0.4)
+    ps, perf = np.full(net.n, 0.01), DcCascade(net, 0.4)
     rows = []
-    for t in (0, 100, 300, 1000):
-        ref = refine(SplitTree(np.full(net.n, 0.01)), t, i_star)
+    for t in steps:
+        ref = refine(SplitTree(ps), t, i_star)
         p = approx_pf(ref.tree, ref.strata, cuts)
-        for n in (1000, 2000, 5000, 10000):
+        p_leaf = leaf_reference(spark, sf, ref, perf)  # the same strata for every size
+        for n in budgets:
             sizes = est.integer_sizes(est.real_sizes(ref.lam, n, "approx_optimal", p), uniform_np(3, 101, 0, np.arange(len(p))))
-            rows.append((n, t, len(p), int(sizes.sum()), pilot))
-    return spark.createDataFrame(rows, "budget int, steps int, n_strata int, cost_sampling int, cost_pilot int")
+            run = dict(zip(EFF_COLUMNS, efficiency_row(spark, "grid", "0.01", "thr 0.4", ps, perf, cuts, i_star, lambda _, x=p_leaf: x, pilot, n, t, runs), strict=True))
+            rows.append((n, t, len(p), int(sizes.sum()), pilot, runs, run["mean"], run["over_cmc"]))
+    return spark.createDataFrame(rows, "budget int, steps int, n_strata int, cost_sampling int, cost_pilot int, runs int, mean double, over_cmc double")
 
 
 @query
