@@ -324,7 +324,7 @@ def dedup_substrings(docs: DataFrame, id_col: str = "doc_id", text_col: str = "t
     )
     texts = base.select("doc", "part", "text").dropDuplicates(["doc", "part"]) if repeats else base.select("doc", "part", "text")
     contested = texts.join(wanted, ["doc", "part"]).select("doc", "text", "wanted").mapInArrow(_segment_texts, "anchor long, doc long, place long, bytes binary")
-    # Shards of about SHARD bytes; one that a common anchor makes larger sorts with its queues on disk.
+    # Shards of about SHARD bytes, sorted in memory; a common anchor makes its shard larger, and only the sort's queues can spill.
     size = settled.where("contested").agg(F.sum(F.col("place").bitwiseAND(255) + (LENGTH - 1))).first()[0] or 0
     shards = max(int(base.sparkSession.conf.get("spark.sql.shuffle.partitions")), -(-size // SHARD))
     windows = written(contested.repartition(shards, "anchor").mapInArrow(_shard_stream, "doc long, place long"), "windows")
