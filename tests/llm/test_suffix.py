@@ -1,6 +1,7 @@
 import hashlib
 
 import numpy as np
+import pyarrow as pa
 import pytest
 
 from relstrata.llm import induced_sort, suffix_dedup
@@ -64,22 +65,99 @@ def test_empty(no_docs):
     assert found(no_docs) == []
 
 
-@pytest.mark.parametrize("limit", [0, 1 << 30])
-def test_suffix_order(limit):
+def common(a, b, depth):
+    k = 0
+    while k < min(len(a), len(b), depth) and a[k] == b[k]:
+        k += 1
+    return k
+
+
+#: (names a range, records a block, names that end the recursion): small ones make every path run.
+SIZES = [(1 << 15, 1 << 17, 1 << 19), (2, 16, 0), (5, 64, 20), (3, 1000, 0)]
+
+
+@pytest.mark.parametrize("memory", [0, 1 << 30])
+@pytest.mark.parametrize("names,block,small", SIZES)
+def test_suffix_order_and_prefixes(names, block, small, memory, monkeypatch):
+    for name, x in (("RANGE", names), ("BLOCK", block), ("SMALL", small)):
+        monkeypatch.setattr(induced_sort, name, x)
     rng = np.random.default_rng(4)
-    for _ in range(120):
-        t = np.append(rng.integers(1, 1 + rng.integers(1, 6), rng.integers(1, 300)), 0).astype(np.uint8)
+    cases = [rng.integers(1, 1 + rng.integers(1, 6), rng.integers(0, 300)) for _ in range(60)]
+    cases += [np.tile([3, 3, 1, 2], 100), np.full(200, 7), np.tile(np.arange(1, 90), 6)]
+    for t in cases:
+        t = np.append(t, 0).astype(np.uint8)
         raw = t.tobytes()
-        got = induced_sort.suffix_order(t, limit=limit)
-        assert sorted(got.tolist()) == list(range(len(raw)))
-        assert [raw[i : i + 64] for i in got] == sorted(raw[i : i + 64] for i in range(len(raw)))
+        places, prefixes = induced_sort.suffix_order(t, 64, memory)
+        want = sorted(range(len(raw)), key=lambda i: raw[i:])
+        assert places.tolist() == want
+        assert prefixes.tolist() == [0] + [common(raw[a:], raw[b:], 64) for a, b in zip(want, want[1:], strict=False)]
 
 
 def test_queues_spill_and_keep_order():
-    q = induced_sort.BucketQueues(limit=100)
+    q = induced_sort.RangeQueue(np.array([0, 10, 20]), limit=100, block=4)
     for k in range(50):
-        q.put(np.array([1, 2, 1], np.uint8), np.array([3 * k, 3 * k + 1, 3 * k + 2]))
+        t = np.zeros(3, induced_sort.TUPLE)
+        t["symbol"], t["place"] = (3, 15, 3), (3 * k, 3 * k + 1, 3 * k + 2)
+        q.put(t)
     assert q.file is not None
-    assert q.take(1).tolist() == [x for x in range(150) if x % 3 != 1] and q.take(1) is None
-    assert q.take(2).tolist() == list(range(1, 150, 3))
+    assert q.take_all(0)["place"].tolist() == [x for x in range(150) if x % 3 != 1] and q.take(0) is None
+    assert q.take_all(1)["place"].tolist() == list(range(1, 150, 3)) and not len(q.take_all(2))
     q.close()
+
+
+def test_runs_merge():
+    runs = induced_sort.Runs(block=100)
+    rng = np.random.default_rng(1)
+    key = rng.integers(0, 50, 5000).astype(np.uint64)
+    for a in range(0, 5000, 37):
+        runs.add(key[a : a + 37], np.arange(a, min(a + 37, 5000)))
+    got = list(runs)
+    assert np.array_equal(np.concatenate([k for k, _ in got]), np.sort(key))
+    assert np.array_equal(key[np.concatenate([v for _, v in got])], np.sort(key))
+
+
+def shard_rows(texts, per=1):
+    """Batches as a shard reads them: whole texts of 50 to 84 bytes with an anchor in the middle."""
+    out = [(1, d, 0, (d << 12) | (t.index(b"ANCHORANCHORABCD") << 6) | (len(t) - 49), t) for d, t in enumerate(texts)]
+    for a in range(0, len(out), per):
+        yield pa.RecordBatch.from_arrays([pa.array(c, k) for c, k in zip(zip(*out[a : a + per], strict=True), [pa.int64()] * 4 + [pa.binary()], strict=True)], suffix_dedup.TEXTS)
+
+
+def brute_shard(texts):
+    low = {}
+    for d, t in enumerate(texts):
+        for i in range(len(t) - 49):
+            low.setdefault(t[i : i + 50], d)
+    return sorted((d, i) for d, t in enumerate(texts) for i in range(len(t) - 49) if low[t[i : i + 50]] < d)
+
+
+@pytest.mark.parametrize("memory", [1 << 26, 1 << 12])
+def test_a_shard_many_times_the_memory(memory, monkeypatch):
+    monkeypatch.setattr(induced_sort, "SMALL", 50)
+    rng = np.random.default_rng(6)
+    half = lambda n: rng.choice(list(b"ab"), 6).astype(np.uint8).tobytes() + b"x" * (n - 6)
+    texts = [half(int(rng.integers(17, 35))) + b"ANCHORANCHORABCD" + half(int(rng.integers(17, 35))) for _ in range(1500)]
+    got = []
+    for b in suffix_dedup._shard_stream(shard_rows(texts, 100), memory):
+        for d, place in zip(b.column(0).to_pylist(), b.column(2).to_pylist(), strict=True):
+            got += [(d, (place >> 12) - d + k) for k in range(place & 63)]
+    assert sorted(got) == brute_shard(texts) and sum(map(len, texts)) > 20 * (1 << 12)
+
+
+def test_frequent_anchors_in_pieces(spark, monkeypatch):
+    monkeypatch.setattr(suffix_dedup, "SHARD", 500)
+    rng = np.random.default_rng(8)
+    side = lambda n: "".join(rng.choice(list("abc"), n))
+    middles = [side(40), side(25), side(18)]
+    rows = []
+    for d in range(150):
+        m = middles[d % 3]
+        rows.append((d, side(int(rng.integers(0, 9))) + "tail of words " * (d % 2) + m + "next words are " * (d % 4 > 1) + side(int(rng.integers(0, 9)))))
+    df = spark.createDataFrame(rows, "doc_id long, text string").repartition(5)
+    assert found(df) == brute([(0, d, t) for d, t in rows])
+
+
+def test_many_null_ids(spark, corpus):
+    rows = [(None, t) for t in corpus[:8]] + [(1, t) for t in corpus[:8]] + [(1, corpus[0] + "x")]
+    df = spark.createDataFrame(rows, "doc_id long, text string").repartition(3)
+    assert found(df) == brute([(0, *r) for r in rows])
