@@ -32,7 +32,7 @@ PAD = 255  # never occurs in UTF-8 moved up by two; above every symbol
 MEMORY = 64 << 20
 #: Records sorted, merged or popped at once, and names in a range of symbols.
 BLOCK, RANGE = 1 << 17, 1 << 15
-SMALL = 1 << 19
+SMALL = 1 << 20
 NAME = np.uint32
 NO_NAME = np.iinfo(NAME).max
 TUPLE = np.dtype([("symbol", np.uint32), ("place", np.uint32), ("prefix", np.uint8)])
@@ -345,7 +345,7 @@ class Scan:
         self.since, self.when = space.array(level.top + 1, np.uint8), space.array(level.top + 1, np.uint32)
         self.since[:], self.when[:] = level.base.depth, 0
         self.least, self.batches = np.full(1024, level.base.depth, np.uint8), 0
-        self.at = 0
+        self.at, self.ahead = 0, (np.zeros(0, np.int64),) * 3  # known suffixes that were read and not popped yet
         self.last: tuple[int, int] | None = None  # key and place of the last one popped
 
     def symbol(self, place: np.ndarray) -> np.ndarray:
@@ -362,13 +362,15 @@ class Scan:
 
     def _next_known(self, hi: int) -> tuple[np.ndarray, np.ndarray, np.ndarray] | None:
         """Symbols, places and prefixes of the next known suffixes below symbol ``hi``."""
-        places, prefixes = self.known(self.at, min(self.at + BLOCK, self.n_known))
-        if not len(places):
-            return None
-        symbols = self.symbol(places)
-        n = int(np.searchsorted(symbols, hi))
-        self.at += n
-        return (symbols[:n], places[:n], prefixes[:n]) if n else None
+        if not len(self.ahead[0]):
+            if self.at == self.n_known:
+                return None
+            end = min(self.at + BLOCK, self.n_known)
+            places, prefixes = self.known(self.at, end)
+            self.at, self.ahead = end, (self.symbol(places), places, prefixes)
+        n = int(np.searchsorted(self.ahead[0], hi))
+        now, self.ahead = tuple(x[:n] for x in self.ahead), tuple(x[n:] for x in self.ahead)
+        return now if n else None
 
     def _one_symbol(self, k: int, symbol: int) -> None:
         while (part := self.queue.take(k)) is not None:

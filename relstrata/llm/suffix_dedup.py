@@ -11,11 +11,11 @@ smaller doc_id. Strings are judged on the input, matches never cross documents.
    Before they are dealt out, each work buffer settles its own repeats and sends an anchor
    with several segments as one mark, its segments to places of their own: a frequent
    anchor is a row a buffer.
-3. A shard lies in files of its task. Halves of segments whose anchor and neighbouring bytes
-   occur once can't repeat and are left out; the rest is put in suffix order by external
-   induced sorting, and neighbours that share LENGTH bytes are equal windows, of which the
-   smallest doc_id stays. Segments of an anchor that would fill a shard are dealt out in
-   pieces, by the bytes that all windows of a piece share.
+3. A shard lies in files of its task. Pieces of segments (windows at neighbouring distances to
+   the anchor) can't repeat if the bytes that all their windows share occur once, and are left
+   out; the rest is put in suffix order by external induced sorting, and neighbours that share
+   LENGTH bytes are equal windows, of which the smallest doc_id stays. Segments of an anchor
+   that would fill a shard are dealt out in pieces, by those shared bytes.
 4. Removed windows go back to their documents.
 
 Only narrow rows about anchors and the texts of contested segments are shuffled, besides
@@ -42,12 +42,13 @@ from .common import column, keyed, load, slices, written
 from .induced_sort import MEMORY, Runs, Space, suffix_blocks
 
 LENGTH, GRAM = 50, 16
-#: A window has at least SIDE bytes before its anchor or after it; pieces of a frequent anchor hold PIECE windows.
-SIDE, PIECE = (LENGTH - GRAM) // 2, 7
+#: Windows of a segment by their distance to the anchor: PIECE neighbouring ones share all but PIECE - 1 bytes.
+PIECE = 7
+PIECES = -(-(LENGTH - GRAM + 1) // PIECE)
 #: Bytes of one work buffer; longer documents are read in overlapping buffers.
 CHUNK_BITS = 20
 #: Bytes that a shard has on average; an anchor with more is dealt out in pieces.
-SHARD = 4_000_000
+SHARD = 8_000_000
 CHUNK = 1 << CHUNK_BITS
 NO_ID = -(2**63)
 #: Kinds of segment rows, above the 48 bits of an anchor: to meet by anchor, known as contested, settled.
@@ -329,21 +330,35 @@ class Spool:
         return np.frombuffer(self.file.read(), self.kind)
 
 
-def side_keys(word: np.ndarray, begin: np.ndarray, place: np.ndarray) -> np.ndarray:
-    """Two hashes a segment: of the anchor with SIDE bytes before it, and with SIDE bytes after it; 0 without such windows.
+def piece_keys(word: np.ndarray, begin: np.ndarray, place: np.ndarray) -> np.ndarray:
+    """A hash per piece of each segment, of the bytes that its windows share; 0 for a piece without windows.
 
     ``word``: the eight bytes from each place of the shard.
     """
     to, n = place >> TO_BIT & LOW, place & LOW
-    left = np.clip(to - SIDE + 1, 0, n)  # windows with at least SIDE bytes before the anchor
-    out = np.zeros((2, len(begin)), np.uint64)
-    for side, (has, at) in enumerate(((left > 0, begin + to - SIDE), (left < n, begin + to))):
-        p = at[has]
-        h = np.full(len(p), np.uint64(side + 1))
-        for k in (0, 8, 16, 24, SIDE + GRAM - 8):
+    out = np.zeros((len(begin), PIECES), np.uint64)
+    size = LENGTH - PIECE + 1
+    for q in range(PIECES):
+        far = q * PIECE
+        has = np.flatnonzero((far <= to) & (far + PIECE > to - n + 1))
+        p = begin[has] + to[has] - far
+        h = np.full(len(p), np.uint64(q + 1))
+        for k in (*range(0, size - 8, 8), size - 8):
             h = _mix((h ^ word[p + k].astype(np.uint64)) * _A) + _B
-        out[side, has] = h
-    return out.T.ravel()
+        out[has, q] = h
+    return out.ravel()
+
+
+def kept_windows(twice: np.ndarray, place: np.ndarray) -> tuple[np.ndarray, np.ndarray, np.ndarray]:
+    """(segment, first window, past the last one) of neighbouring pieces that are to be compared."""
+    flag = np.zeros((len(place), PIECES + 2), bool)
+    flag[:, 1:-1] = twice.reshape(-1, PIECES)[:, ::-1]  # the furthest windows come first
+    of, hi = np.nonzero(flag[:, 1:-1] & ~flag[:, :-2])
+    _, lo = np.nonzero(flag[:, 1:-1] & ~flag[:, 2:])
+    to, n = place[of] >> TO_BIT & LOW, place[of] & LOW
+    first = to - (PIECES - hi) * PIECE + 1
+    last = to - (PIECES - 1 - lo) * PIECE + 1
+    return of, np.maximum(first, 0), np.minimum(last, n)
 
 
 def repeated(keys: np.ndarray, space: Space) -> np.ndarray:
@@ -439,20 +454,14 @@ def _shard_stream(batches: Iterator[pa.RecordBatch], memory: int = MEMORY) -> It
     m = len(doc)
     begin = space.array(m, np.int64)
     begin[:] = np.cumsum(size, dtype=np.int64) - size
-    keys = space.array(2 * m, np.uint64)
+    keys = space.array(PIECES * m, np.uint64)
     word = np.ndarray((len(raw) - 7,), "<u8", raw, 0, (1,))
-    for a in range(0, m, 1 << 16):
-        keys[2 * a : 2 * (a + (1 << 16))] = side_keys(word, begin[a : a + (1 << 16)], place[a : a + (1 << 16)])
-    twice = repeated(keys, space)
-    # A segment stays as its repeated halves: from its first window of those to the last.
-    n, to = place & LOW, place >> TO_BIT & LOW
-    left = np.clip(to - SIDE + 1, 0, n)
-    first = np.where(twice[0::2], 0, left)
-    last = np.where(twice[1::2], n, left)
-    of = np.flatnonzero(last > first)
+    step = 1 << 16
+    for a in range(0, m, step):
+        keys[PIECES * a : PIECES * (a + step)] = piece_keys(word, begin[a : a + step], place[a : a + step])
+    of, first, last = kept_windows(repeated(keys, space), place)
     if len(of) < 2:
         return
-    first, last = first[of], last[of]
     length = last - first + LENGTH - 1
     total = int(length.sum()) + len(of) + 1
     text = space.array(total + 8, np.uint8)
@@ -469,6 +478,8 @@ def _shard_stream(batches: Iterator[pa.RecordBatch], memory: int = MEMORY) -> It
         hit = hit.astype(np.int64)
         k = np.searchsorted(at, hit, side="right") - 1
         hit = hit[hit - at[k] <= length[k] - LENGTH]  # the last 49 bytes of a segment with its end are no window
+        if not len(hit):
+            continue
         # Neighbouring windows of a segment become one interval; segments are further apart than that.
         cut = np.flatnonzero(np.append(True, np.diff(hit) != 1))
         count = np.diff(np.append(cut, len(hit)))
