@@ -3,8 +3,12 @@
 Documents go to range partitions by doc_id; each partition writes its ids as one run,
 cut into blocks that can each be read alone (see ``mixing_coder``). A row of the files is
 a block: its partition and number, how many ids come before it in the partition, the
-pieces of documents in it, and the coded bytes. Spark's commit protocol writes the
-files, so a lost executor's part is written again and never twice.
+pieces of documents in it, where its first document began, and the coded bytes. Spark's commit
+protocol writes the files, so a lost executor's part is written again and never twice. Files are
+read where they lie; of a document whose blocks two tasks read, the checksums are put together.
+
+Ids are the tokenizers library's for the file that is given, whatever its pre-tokenizer, special tokens
+and size (ids below 2**32 - 1).
 
 Defined results: a null or empty text is the end id alone; documents with the same id
 follow each other in text order; null doc_ids come first; an empty table writes no block.
@@ -14,7 +18,6 @@ from __future__ import annotations
 
 import zlib
 from collections.abc import Iterator
-from itertools import chain
 
 import numpy as np
 import pyarrow as pa
@@ -28,11 +31,9 @@ from .common import column, keyed, load, slices, written
 END_ID = 2
 #: Ids coded together, blocks at most and ids at least in each.
 GROUP, LANES, MIN_BLOCK = 1 << 21, 1024, 1024
-#: Pre-tokens whose ids are remembered; beyond it the memory starts afresh.
-REMEMBER = 250_000
-PRETOKEN = r"'s|'t|'re|'ve|'m|'ll|'d| ?\p{L}+| ?\p{N}+| ?[^\s\p{L}\p{N}]+|\s+(?!\S)|\s+"
-
-BLOCKS = "part int, block int, before long, n_ids long, doc_ids array<long>, piece_ids array<long>, begins array<boolean>, payload binary"
+BLOCKS = "part int, block int, before long, n_ids long, first_begin long, doc_ids array<long>, piece_ids array<long>, begins array<boolean>, payload binary"
+#: Pieces of documents as read: where the document begins and the piece lies in its partition, size and checksum.
+PIECES = "part int, begin long, doc_id long, at long, n long, crc long"
 
 
 def tokenizer_file(path: str | None = None) -> str:
@@ -44,80 +45,33 @@ def tokenizer_file(path: str | None = None) -> str:
     return public_tokenizers.path("byte_bpe_50k.json")
 
 
-class Encoder:
-    """Ids of whole texts by the tokenizers library, which sees every distinct pre-token once.
-
-    Byte-level BPE works inside pre-tokens, so a text's ids are those of its pre-tokens in order.
-    """
+def worker_encoder(path: str):
+    """One tokenizer a worker process: this module comes with each task anew, the library's module stays."""
+    import os
 
-    def __init__(self, path: str):
-        import os
-
-        os.environ["TOKENIZERS_PARALLELISM"] = "false"
-        import regex
-        from tokenizers import Tokenizer
-
-        self.tok = Tokenizer.from_file(path)
-        self.tok.encode_special_tokens = True
-        self.split = regex.compile(PRETOKEN).findall
-        self.reset()
-
-    def reset(self) -> None:
-        self.known: dict[str, int] = {}
-        self.flat = np.zeros(1 << 16, np.uint16)
-        self.begin = np.zeros(1 << 14, np.int64)  # where the ids of each known pre-token begin
-
-    def _add(self, words: list[str]) -> None:
-        ids = [e.ids for e in self.tok.encode_batch_fast(words, add_special_tokens=False)]
-        base = len(self.known)
-        at = int(self.begin[base])
-        begin = at + np.cumsum(np.fromiter(map(len, ids), np.int64, len(ids)))
-        end = int(begin[-1])
-        if end > len(self.flat):
-            self.flat = np.resize(self.flat, 2 * end)
-        if base + len(ids) >= len(self.begin):
-            self.begin = np.resize(self.begin, 2 * (base + len(ids)) + 2)
-        self.flat[at:end] = np.fromiter(chain.from_iterable(ids), np.uint16, end - at)
-        self.begin[base + 1 : base + 1 + len(ids)] = begin
-        self.known.update(zip(words, range(base, base + len(words)), strict=True))
-
-    def encode_all(self, texts: list[str]) -> list[np.ndarray]:
-        """Each text's ids and the end id, as uint16."""
-        parts = [self.split(t) for t in texts]
-        words = list(chain.from_iterable(parts))
-        new = [w for w in dict.fromkeys(words) if w not in self.known]
-        if len(self.known) + len(new) > REMEMBER and self.known:
-            self.reset()
-            new = list(dict.fromkeys(words))
-        if new:
-            self._add(new)
-        k = np.fromiter(map(self.known.__getitem__, words), np.int64, len(words))
-        size = self.begin[k + 1] - self.begin[k]
-        ends = np.concatenate(([0], np.cumsum(size)))
-        ids = self.flat[np.repeat(self.begin[k] - ends[:-1], size) + np.arange(ends[-1])]
-        cuts = ends[np.concatenate(([0], np.cumsum([len(p) for p in parts])))]
-        return [np.append(ids[a:b], np.uint16(END_ID)) for a, b in zip(cuts, cuts[1:], strict=False)]
-
-
-def worker_encoder(path: str) -> Encoder:
-    """One encoder a worker process: this module comes with each task anew, the library's module stays."""
+    os.environ["TOKENIZERS_PARALLELISM"] = "false"
     import tokenizers
 
     held = tokenizers.__dict__.setdefault("_held_encoders", {})
     if path not in held:
         held.clear()
-        held[path] = Encoder(path)
+        held[path] = tokenizers.Tokenizer.from_file(path)
     return held[path]
 
 
-def _group_rows(part: int, block: int, before: int, docs: list, ids: np.ndarray, opened: bool) -> pa.RecordBatch:
-    """Blocks of one group. docs: (doc_id, ids) pieces; opened: did the first piece's document begin earlier?"""
+def encode_all(tok, texts: list[str]) -> list[np.ndarray]:
+    """Each text's ids and the end id."""
+    return [np.array([*e.ids, END_ID], np.uint32) for e in tok.encode_batch_fast(texts, add_special_tokens=False)]
+
+
+def _group_rows(part: int, block: int, before: int, docs: list, ids: np.ndarray, opened: int | None) -> pa.RecordBatch:
+    """Blocks of one group. docs: (doc_id, ids) pieces; opened: where the first piece's document began, if earlier."""
     lanes = max(1, min(LANES, len(ids) // MIN_BLOCK))
     size = -(-len(ids) // lanes)
     cuts = list(range(0, len(ids), size))
     blobs = mixing_coder.encode([ids[a : a + size] for a in cuts])
     ends = np.cumsum([n for _, n in docs])
-    doc_ids, pieces, begins = [], [], []
+    doc_ids, pieces, begins, first = [], [], [], []
     for a in cuts:
         b = min(a + size, len(ids))
         lo, hi = int(np.searchsorted(ends, a, side="right")), int(np.searchsorted(ends, b, side="left"))
@@ -125,16 +79,17 @@ def _group_rows(part: int, block: int, before: int, docs: list, ids: np.ndarray,
         starts = [int(ends[k] - docs[k][1]) for k in own]
         doc_ids.append([docs[k][0] for k in own])
         pieces.append([min(b, int(ends[k])) - max(a, s) for k, s in zip(own, starts, strict=True)])
-        begins.append([s >= a and not (opened and k == 0) for k, s in zip(own, starts, strict=True)])
+        begins.append([s >= a and not (opened is not None and k == 0) for k, s in zip(own, starts, strict=True)])
+        first.append(opened if opened is not None and lo == 0 else before + starts[0])
     n = len(cuts)
     return pa.RecordBatch.from_arrays(
         [
             pa.array([part] * n, pa.int32()), pa.array(range(block, block + n), pa.int32()),
             pa.array([before + a for a in cuts], pa.int64()), pa.array([min(size, len(ids) - a) for a in cuts], pa.int64()),
-            pa.array(doc_ids, pa.list_(pa.int64())), pa.array(pieces, pa.list_(pa.int64())),
+            pa.array(first, pa.int64()), pa.array(doc_ids, pa.list_(pa.int64())), pa.array(pieces, pa.list_(pa.int64())),
             pa.array(begins, pa.list_(pa.bool_())), pa.array(blobs, pa.binary()),
         ],
-        ["part", "block", "before", "n_ids", "doc_ids", "piece_ids", "begins", "payload"],
+        ["part", "block", "before", "n_ids", "first_begin", "doc_ids", "piece_ids", "begins", "payload"],
     )
 
 
@@ -144,60 +99,105 @@ def coded_blocks(docs: DataFrame, tokenizer: str | None = None, id_col: str = "d
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         part = TaskContext.get().partitionId()
-        enc = worker_encoder(path)
+        tok = worker_encoder(path)
         held: list[np.ndarray] = []
         docs: list[tuple[int | None, int]] = []
         n = block = before = 0
-        opened = False
+        opened: int | None = None
         for b in slices(batches, 100):
             texts = [t or "" for t in column(b, "text").to_pylist()]
-            for doc_id, ids in zip(column(b, "doc_id").to_pylist(), enc.encode_all(texts), strict=True):
-                first = True
+            for doc_id, ids in zip(column(b, "doc_id").to_pylist(), encode_all(tok, texts), strict=True):
+                begin = before + n
                 while n + len(ids) >= GROUP:  # a group is full; a document may go on in the next one
                     take = GROUP - n
                     out = _group_rows(part, block, before, [*docs, (doc_id, take)], np.concatenate([*held, ids[:take]]), opened)
                     block, before = block + out.num_rows, before + GROUP
                     yield out
                     held, docs, n, ids = [], [], 0, ids[take:]
-                    first = not len(ids)
-                    opened = bool(len(ids))
-                if len(ids) or first and not n and not docs:
-                    if len(ids):
-                        held.append(ids)
-                        docs.append((doc_id, len(ids)))
-                        n += len(ids)
+                    opened = begin if len(ids) else None
+                if len(ids):
+                    held.append(ids)
+                    docs.append((doc_id, len(ids)))
+                    n += len(ids)
         if n:
             yield _group_rows(part, block, before, docs, np.concatenate(held), opened)
 
     base = keyed(docs, id_col, text_col)
     n = int(base.sparkSession.conf.get("spark.sql.shuffle.partitions"))
-    return base.repartitionByRange(n, "doc_id").sortWithinPartitions("doc_id", "text").mapInArrow(run, BLOCKS)
+    # The head of the text tells apart the rows that share an id (or have none), in the order of the files.
+    head = F.substring("text", 1, 32)
+    return base.repartitionByRange(n, "doc_id", head).sortWithinPartitions("doc_id", "text").mapInArrow(run, BLOCKS)
 
 
 def _read(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-    """Blocks in (part, block) order to documents; a document may span blocks."""
-    names = ["part", "doc_id", "before", "n_tokens", "ids_crc32"]
-    open_: list | None = None  # part, doc_id, before, ids, crc
+    """Blocks in the order of their files to pieces of documents; pieces that follow each other are one."""
+    names = [c.split()[0] for c in PIECES.split(", ")]
+    kinds = (pa.int32(), *[pa.int64()] * 5)
+
+    def rows(pieces: list) -> pa.RecordBatch:
+        return pa.RecordBatch.from_arrays([pa.array(c, t) for c, t in zip(zip(*pieces, strict=True), kinds, strict=True)], names)
 
+    open_: list | None = None
     for b in slices(batches, LANES):
-        rows = []
+        done = []
         ids = mixing_coder.decode(column(b, "payload").to_pylist()) if b.num_rows else []
-        for i, block in enumerate(ids):
-            part, at = column(b, "part")[i].as_py(), column(b, "before")[i].as_py()
+        cols = [column(b, c).to_pylist() for c in ("part", "before", "first_begin", "doc_ids", "piece_ids", "begins")]
+        for block, part, at, begin, docs, sizes, begins in zip(ids, *cols, strict=True):
             raw = block.astype("<u4")
             lo = 0
-            for doc_id, n, begins in zip(column(b, "doc_ids")[i].as_py(), column(b, "piece_ids")[i].as_py(), column(b, "begins")[i].as_py(), strict=True):
-                if begins:
-                    if open_:
-                        rows.append(open_)
-                    open_ = [part, doc_id, at + lo, 0, 0]
-                open_[3] += n
-                open_[4] = zlib.crc32(raw[lo : lo + n].data, open_[4])
+            for doc_id, n, new in zip(docs, sizes, begins, strict=True):
+                begin = at + lo if new else begin
+                piece = raw[lo : lo + n].data
+                if open_ is not None and open_[:2] == [part, begin] and open_[3] + open_[4] == at + lo:
+                    open_[4] += n
+                    open_[5] = zlib.crc32(piece, open_[5])
+                else:
+                    if open_ is not None:
+                        done.append(open_)
+                    open_ = [part, begin, doc_id, at + lo, n, zlib.crc32(piece)]
                 lo += n
-        if rows:
-            yield pa.RecordBatch.from_arrays([pa.array(c, t) for c, t in zip(zip(*rows, strict=True), (pa.int32(), *[pa.int64()] * 4), strict=True)], names)
-    if open_:
-        yield pa.RecordBatch.from_arrays([pa.array([x], t) for x, t in zip(open_, (pa.int32(), *[pa.int64()] * 4), strict=True)], names)
+        if done:
+            yield rows(done)
+    if open_ is not None:
+        yield rows([open_])
+
+
+def joined_crc(a: int, b: int, n: int) -> int:
+    """crc32 of x + y from those of x and y, where y has n bytes: a shift by n zero bytes is linear over bits."""
+
+    def apply(m: list[int], v: int) -> int:
+        out = k = 0
+        while v:
+            if v & 1:
+                out ^= m[k]
+            v, k = v >> 1, k + 1
+        return out
+
+    square = lambda m: [apply(m, x) for x in m]
+    step = [0xEDB88320, *(1 << k for k in range(31))]  # one zero bit
+    for _ in range(3):
+        step = square(step)
+    while n:
+        if n & 1:
+            a = apply(step, a)
+        n >>= 1
+        if n:
+            step = square(step)
+    return a ^ b
+
+
+def _whole(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+    """(part, doc_id, before, n_tokens, ids_crc32) of documents from their pieces in order."""
+    names = ["part", "doc_id", "before", "n_tokens", "ids_crc32"]
+    for b in batches:
+        crc, n = [], []
+        for pieces in column(b, "pieces").to_pylist():
+            c = pieces[0]["crc"]
+            for p in pieces[1:]:
+                c = joined_crc(c, p["crc"], 4 * p["n"])
+            crc.append(c)
+            n.append(sum(p["n"] for p in pieces))
+        yield pa.RecordBatch.from_arrays([*(column(b, c) for c in ("part", "doc_id", "begin")), pa.array(n, pa.int64()), pa.array(crc, pa.int64())], names)
 
 
 def documents_of(blocks: DataFrame) -> DataFrame:
@@ -207,11 +207,13 @@ def documents_of(blocks: DataFrame) -> DataFrame:
     """
     sizes = blocks.groupBy("part").agg(F.sum("n_ids").alias("n"))
     offsets = sizes.select("part", (F.sum("n").over(Window.orderBy("part").rowsBetween(Window.unboundedPreceding, 0)) - F.col("n")).alias("offset"))
-    rows = (
-        blocks.repartition("part").sortWithinPartitions("part", "block")
-        .mapInArrow(_read, "part int, doc_id long, before long, n_tokens long, ids_crc32 long")
+    pieces = blocks.select("part", "before", "first_begin", "doc_ids", "piece_ids", "begins", "payload").mapInArrow(_read, PIECES)
+    docs = (
+        pieces.groupBy("part", "begin", "doc_id")
+        .agg(F.sort_array(F.collect_list(F.struct("at", "n", "crc"))).alias("pieces"))
+        .mapInArrow(_whole, "part int, doc_id long, before long, n_tokens long, ids_crc32 long")
     )
-    return rows.join(F.broadcast(offsets), "part").select("doc_id", (F.col("offset") + F.col("before")).alias("start"), "n_tokens", "ids_crc32")
+    return docs.join(F.broadcast(offsets), "part").select("doc_id", (F.col("offset") + F.col("before")).alias("start"), "n_tokens", "ids_crc32")
 
 
 def ids_of(blocks: DataFrame) -> DataFrame:
@@ -220,9 +222,9 @@ def ids_of(blocks: DataFrame) -> DataFrame:
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         for b in slices(batches, LANES):
             ids = mixing_coder.decode(column(b, "payload").to_pylist()) if b.num_rows else []
-            yield pa.RecordBatch.from_arrays([column(b, "part"), column(b, "block"), pa.array([x.astype(np.int32) for x in ids], pa.list_(pa.int32()))], ["part", "block", "ids"])
+            yield pa.RecordBatch.from_arrays([column(b, "part"), column(b, "block"), pa.array([x.astype(np.int64) for x in ids], pa.list_(pa.int64()))], ["part", "block", "ids"])
 
-    return blocks.select("part", "block", "payload").mapInArrow(run, "part int, block int, ids array<int>")
+    return blocks.select("part", "block", "payload").mapInArrow(run, "part int, block int, ids array<long>")
 
 
 def write_tokens(docs: DataFrame, tokenizer: str | None = None) -> DataFrame:

@@ -37,7 +37,6 @@ def reference(rows):
     from tokenizers import Tokenizer
 
     tok = Tokenizer.from_file(token_output.tokenizer_file())
-    tok.encode_special_tokens = True
     start, out = 0, []
     for d, t in rows:
         ids = tok.encode(t or "", add_special_tokens=False).ids + [2]
@@ -66,9 +65,41 @@ def test_empty(no_docs):
     assert token_output.documents_of(token_output.write_tokens(no_docs)).count() == 0
 
 
-def test_pretokens_give_the_same_ids(corpus):
-    enc = token_output.Encoder(token_output.tokenizer_file())
-    odd = ["it's we'll 'sab", "  two  spaces\n\n\nlines ", "<|endoftext|> x", "中文 123abc !!??", "\x00\x01 z", "a\u00a0b\u2003c"]
-    for text in [*odd, *(t for t in corpus if t)]:
-        want = enc.tok.encode(text, add_special_tokens=False).ids
-        assert enc.encode_all([text])[0][:-1].tolist() == want
+ODD = ["it's we'll 'sab", "  two  spaces\n\n\nlines ", "a <|endoftext|> b", "<|endoftext|><|endoftext|>", "中文 123abc !!??", "\x00\x01 z", "a\u00a0b\u2003c", None, ""]
+
+
+def test_ids_are_the_librarys_with_its_defaults(spark):
+    from tokenizers import Tokenizer
+
+    assert Tokenizer.from_file(token_output.tokenizer_file()).encode("a <|endoftext|> b", add_special_tokens=False).ids == [64, 220, 50256, 275]
+    df = spark.createDataFrame(list(enumerate(ODD)), "doc_id long, text string").repartition(3)
+    got = sorted(map(tuple, token_output.documents_of(token_output.write_tokens(df)).collect()), key=lambda r: r[1])
+    assert got == reference(list(enumerate(ODD)))
+
+
+def test_ids_of_a_large_vocabulary():
+    rng = np.random.default_rng(5)
+    blocks = [rng.integers(0, 2**32 - 1, 300).astype(np.uint32), np.array([2**32 - 2, 0, 70_000] * 30, np.uint32), rng.integers(0, 200_000, 500).astype(np.uint32)]
+    assert all(np.array_equal(a, b) for a, b in zip(blocks, mixing_coder.decode(mixing_coder.encode(blocks)), strict=True))
+
+
+@pytest.mark.parametrize("a,b", [(b"", b"x"), (b"abc", b""), (b"abc", b"defg" * 1000), (b"\x00" * 7, b"\x00" * 9)])
+def test_joined_checksums(a, b):
+    assert token_output.joined_crc(zlib.crc32(a), zlib.crc32(b), len(b)) == zlib.crc32(a + b)
+
+
+def test_blocks_read_by_several_tasks(docs, monkeypatch):
+    """Documents over several blocks, and blocks dealt out in another order."""
+    monkeypatch.setattr(token_output, "GROUP", 900)
+    monkeypatch.setattr(token_output, "MIN_BLOCK", 64)
+    blocks = token_output.write_tokens(docs)
+    want = sorted(map(tuple, token_output.documents_of(blocks).collect()))
+    assert sorted(map(tuple, token_output.documents_of(blocks.repartition(7)).collect())) == want
+
+
+def test_many_rows_under_one_id(spark, corpus):
+    rows = [(None if k % 3 else 5, t) for k, t in enumerate([*corpus[:12], *ODD])]
+    df = spark.createDataFrame(rows, "doc_id long, text string").repartition(3)
+    rows = sorted(rows, key=lambda r: (r[0] is not None, r[0] or 0, r[1] is not None, (r[1] or "").encode()))
+    got = sorted(map(tuple, token_output.documents_of(token_output.write_tokens(df)).collect()), key=lambda r: r[1])
+    assert got == reference(rows)
