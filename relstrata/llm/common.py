@@ -19,13 +19,16 @@ def load(spark: SparkSession, sf_dir: str, table: str) -> DataFrame:
     return spark.read.parquet(f"{sf_dir}/{table}.parquet")
 
 
+#: Rows of (id, text key) that are broadcast, at most: 50 bytes each as a hashed relation.
+MAX_BROADCAST = 500_000
+
+
 def shared_dir(spark: SparkSession) -> str:
-    """The folder that the cluster shares; a temporary one only where none is set (tests)."""
-    base = spark.conf.get("spark.checkpoint.dir", None)
-    if base:
-        return base
-    base = spark.sparkContext.getCheckpointDir()
+    """The folder that the cluster shares. Only a local master, whose executors are the driver, gets a temporary one."""
+    base = spark.conf.get("spark.checkpoint.dir", None) or spark.sparkContext.getCheckpointDir()
     if not base:
+        if not spark.sparkContext.master.startswith("local") or spark.sparkContext.master.startswith("local-cluster"):
+            raise ValueError("set spark.checkpoint.dir to a folder that the driver and the executors share")
         spark.sparkContext.setCheckpointDir(tempfile.mkdtemp(prefix="relstrata-"))
         base = spark.sparkContext.getCheckpointDir()
     return base
@@ -50,10 +53,14 @@ def written(df: DataFrame, name: str) -> DataFrame:
 
 
 def release(spark: SparkSession) -> None:
-    """Let Spark delete shuffle files of plans that nothing refers to any more, instead of at some later collection."""
-    for _ in range(2):  # the listener bus holds the last job a little longer
+    """Let Spark delete shuffle files of plans that nothing refers to any more, instead of at some later collection.
+
+    A hint only: where the session has no JVM of its own, Spark's cleaner works when it does.
+    """
+    jvm = getattr(spark.sparkContext, "_jvm", None)
+    for _ in range(2 if jvm else 0):  # the listener bus holds the last job a little longer
         gc.collect()
-        spark.sparkContext._jvm.System.gc()
+        jvm.System.gc()
         time.sleep(0.2)
 
 
@@ -62,6 +69,22 @@ def keyed(df: DataFrame, id_col: str, text_col: str) -> DataFrame:
     return df.select(F.col(id_col).cast("long").alias("doc_id"), F.col(text_col).cast("string").alias("text"))
 
 
+def text_key(text_col: str = "text") -> Column:
+    """A hash that tells apart the texts of rows which share an id."""
+    return F.xxhash64(F.col(text_col).cast("string"))
+
+
+def without(docs: DataFrame, gone: DataFrame, id_col: str = "doc_id", text_col: str = "text") -> DataFrame:
+    """``docs`` less the rows named in ``gone`` (doc_id, text_key), a written table; null ids are compared like any other.
+
+    Texts stay where they are while the narrow side is small enough to be sent to them, else both meet by key.
+    """
+    side = gone.select(F.col("doc_id").alias("_gone_id"), F.col("text_key").alias("_gone_key")).distinct()
+    few = gone.limit(MAX_BROADCAST + 1).count() <= MAX_BROADCAST
+    same = F.col(id_col).cast("long").eqNullSafe(F.col("_gone_id")) & (text_key(text_col) == F.col("_gone_key"))
+    return docs.join(F.broadcast(side) if few else side, same, "left_anti")
+
+
 def slices(batches: Iterator[pa.RecordBatch], rows: int) -> Iterator[pa.RecordBatch]:
     """Smaller Arrow batches: bounds what a worker holds when texts are long."""
     for b in batches:

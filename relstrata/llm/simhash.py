@@ -8,12 +8,11 @@ fingerprint): no pair with five shared bytes is missed. Inside a posting the sha
 bytes of candidates are tallied, pairs below five are dropped, and the rest verified
 bit by bit.
 
-Postings are streams in a sorted partition, so a hot one never has to fit as rows: a
-posting holds distinct fingerprints only (copies were folded before), and one with
-more than SMALL of them is not compared pair by pair but by probing: all fingerprints
-within three bits of a member are looked up, which is linear in the posting. Only
-links that join two parts of a posting leave it (fewer than its members), never all
-pairs.
+A posting with more than SMALL members is split by two further positional bytes, in every
+choice of two of the five that are left: pairs of five shared bytes meet in one of these, and
+are counted there like in any other. Copies were folded before, so members are distinct
+fingerprints (16 bytes each); a task holds one posting or part of one, compares its members in
+blocks, and only links that join two parts of it leave the task, never all pairs.
 
 Defined results: null and empty texts have fingerprint zero and are linked like any
 other; rows without doc_id get a component but never name one; repeated rows stay;
@@ -27,17 +26,20 @@ from itertools import combinations
 
 import numpy as np
 import pyarrow as pa
-from pyspark.sql import DataFrame, SparkSession
+from pyspark.sql import Column, DataFrame, SparkSession
 from pyspark.sql import functions as F
 
-from .common import column, keyed, load, slices, written
+from .common import column, keyed, load, slices, text_key, without, written
 from .components import components
 
 WORDS, SEED, BITS, MAX_DIFF, MIN_SHARED = 3, 42, 64, 3, 5
 #: Positions of each posting key: every five of eight positions contain one of these.
 KEYS = [c for half in (range(4), range(4, 8)) for c in combinations(half, 3)]
-#: Postings up to this size are compared pair by pair.
+#: Postings above this size are split by two further bytes; members compared at once.
 SMALL = 2_000
+ROWS_AT_ONCE, COLUMNS_AT_ONCE = 256, 4096
+#: The choices of two of the five positions that a posting's key leaves.
+FURTHER = list(combinations(range(5), 2))
 
 
 def fingerprint(text: str | None, width: int = WORDS) -> int:
@@ -62,14 +64,14 @@ def fingerprint(text: str | None, width: int = WORDS) -> int:
 
 
 def fingerprints(docs: DataFrame, id_col: str = "doc_id", text_col: str = "text", width: int = WORDS) -> DataFrame:
-    """(doc_id, fp) per row of ``docs``; fp is the signed form of the 64 bits."""
+    """(doc_id, text_key, fp) per row of ``docs``; fp is the signed form of the 64 bits."""
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         for b in slices(batches, 500):
             fp = np.array([fingerprint(t, width) for t in column(b, "text").to_pylist()], np.uint64).view(np.int64)
-            yield pa.RecordBatch.from_arrays([column(b, "doc_id"), pa.array(fp)], ["doc_id", "fp"])
+            yield pa.RecordBatch.from_arrays([column(b, "doc_id"), column(b, "text_key"), pa.array(fp)], ["doc_id", "text_key", "fp"])
 
-    return keyed(docs, id_col, text_col).mapInArrow(run, "doc_id long, fp long")
+    return keyed(docs, id_col, text_col).withColumn("text_key", text_key()).mapInArrow(run, "doc_id long, text_key long, fp long")
 
 
 def shared_bytes(a: np.ndarray, b: np.ndarray) -> np.ndarray:
@@ -85,114 +87,83 @@ def _root(parent: np.ndarray, i: int) -> int:
     return int(i)
 
 
-def _flips() -> np.ndarray:
-    """All masks of one to three bits."""
-    one = [1 << k for k in range(BITS)]
-    return np.array([sum(c) for n in (1, 2, 3) for c in combinations(one, n)], np.uint64)
-
-
-def posting_links(fps: np.ndarray, fixed: np.uint64) -> list[tuple[int, int]]:
-    """Index pairs that connect the members of one posting that are within three bits.
-
-    ``fixed``: mask of the bytes that all members share, which probes need not flip.
-    """
+def posting_links(fps: np.ndarray) -> list[tuple[int, int]]:
+    """Index pairs that connect the members of one posting that are within three bits."""
     m = len(fps)
     parent = np.arange(m)
     links: list[tuple[int, int]] = []
-
-    def link(i: int, j: int) -> None:
-        a, b = _root(parent, i), _root(parent, j)
-        if a != b:
-            parent[max(a, b)] = min(a, b)
-            links.append((i, j))
-
-    if m <= SMALL:
-        for i in range(m - 1):
-            rest = fps[i + 1 :]
-            near = np.flatnonzero(shared_bytes(fps[i : i + 1], rest) >= MIN_SHARED)
-            if len(near):
-                near = near[np.bitwise_count(fps[i] ^ rest[near]) <= MAX_DIFF]
-                for j in near.tolist():
-                    link(i, i + 1 + j)
-        return links
-    masks = _flips()
-    masks = masks[(masks & fixed) == 0]
-    order = np.argsort(fps, kind="stable")
-    ranked = fps[order]
-    for at in range(0, len(masks), 64):
-        probe = fps[None, :] ^ masks[at : at + 64, None]
-        place = np.searchsorted(ranked, probe)
-        hit = (place < m) & (ranked[np.minimum(place, m - 1)] == probe)
-        _, i = np.nonzero(hit)
-        j = order[place[hit]]
-        for x, y in zip(i[i < j].tolist(), j[i < j].tolist(), strict=True):
-            link(x, y)
+    for i0 in range(0, m, ROWS_AT_ONCE):
+        for j0 in range(i0, m, COLUMNS_AT_ONCE):
+            x, y = fps[i0 : i0 + ROWS_AT_ONCE, None], fps[None, j0 : j0 + COLUMNS_AT_ONCE]
+            i, j = np.nonzero(shared_bytes(x, y) >= MIN_SHARED)
+            i, j = i + i0, j + j0
+            near = (i < j) & (np.bitwise_count(fps[i] ^ fps[j]) <= MAX_DIFF)
+            for a, b in zip(i[near].tolist(), j[near].tolist(), strict=True):
+                u, v = _root(parent, a), _root(parent, b)
+                if u != v:
+                    parent[max(u, v)] = min(u, v)
+                    links.append((a, b))
     return links
 
 
 def _link_stream(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-    """Postings out of rows sorted by (slot, bytes); links out."""
-    key: tuple[int, int] | None = None
+    """Postings out of rows sorted by (slot, bytes, further); links out."""
+    key: tuple[int, int, int] | None = None
     fps: list[np.ndarray] = []
     reps: list[np.ndarray] = []
 
-    def flush() -> pa.RecordBatch | None:
-        if key is None:
-            return None
+    def flush() -> Iterator[pa.RecordBatch]:
+        if key is None or sum(map(len, fps)) < 2:
+            return
         f, r = np.concatenate(fps), np.concatenate(reps)
-        if len(f) < 2:
-            return None
-        fixed = sum(0xFF << 8 * p for p in KEYS[key[0]])
-        pairs = posting_links(f, np.uint64(fixed))
-        if not pairs:
-            return None
-        i, j = np.array(pairs).T
-        return pa.RecordBatch.from_arrays([pa.array(r[i]), pa.array(r[j])], ["a", "b"])
+        if pairs := posting_links(f):
+            i, j = np.array(pairs).T
+            yield pa.RecordBatch.from_arrays([pa.array(r[i]), pa.array(r[j])], ["a", "b"])
 
     for batch in batches:
-        slot = column(batch, "slot").to_numpy()
-        part = column(batch, "part").to_numpy()
+        parts = [column(batch, c).to_numpy() for c in ("slot", "part", "further")]
         fp = column(batch, "fp").to_numpy().view(np.uint64)
         rep = column(batch, "rep").to_numpy()
-        if not len(slot):
+        if not len(fp):
             continue
-        cuts = np.flatnonzero((slot[1:] != slot[:-1]) | (part[1:] != part[:-1])) + 1
-        at = [0, *cuts.tolist(), len(slot)]
+        cuts = np.flatnonzero(np.any([p[1:] != p[:-1] for p in parts], axis=0)) + 1
+        at = [0, *cuts.tolist(), len(fp)]
         for a, b in zip(at, at[1:], strict=False):
-            k = (int(slot[a]), int(part[a]))
+            k = tuple(int(p[a]) for p in parts)
             if k != key:
-                if (out := flush()) is not None:
-                    yield out
+                yield from flush()
                 key, fps, reps = k, [], []
             fps.append(fp[a:b])
             reps.append(rep[a:b])
-    if (out := flush()) is not None:
-        yield out
+    yield from flush()
+
+
+def _bytes_at(positions: tuple[int, ...]) -> Column:
+    """The positional bytes of ``fp`` as one number."""
+    return sum(((F.shiftrightunsigned("fp", 8 * p).bitwiseAND(F.lit(255))) * (256**n) for n, p in enumerate(positions)), F.lit(0)).cast("int")
 
 
 def fingerprint_links(distinct: DataFrame) -> DataFrame:
     """(a, b) between representatives of ``distinct`` (fp, rep): enough links to connect all near ones."""
-    parts = [
-        F.struct(
-            F.lit(k).alias("slot"),
-            sum(((F.shiftrightunsigned("fp", 8 * p).bitwiseAND(F.lit(255))) * (256**n) for n, p in enumerate(pos)), F.lit(0)).cast("int").alias("part"),
-        )
-        for k, pos in enumerate(KEYS)
-    ]
+    parts = [F.struct(F.lit(k).alias("slot"), _bytes_at(pos).alias("part")) for k, pos in enumerate(KEYS)]
     posted = distinct.withColumn("_k", F.explode(F.array(*parts))).select("_k.slot", "_k.part", "fp", "rep")
     # A posting of one can't link: leave it out before rows go to Python.
-    n = F.count(F.lit(1)).over(_window())
-    return posted.withColumn("_n", n).where("_n > 1").drop("_n").mapInArrow(_link_stream, "a long, b long")
-
-
-def _window():
-    from pyspark.sql import Window
-
-    return Window.partitionBy("slot", "part")
+    sizes = posted.groupBy("slot", "part").agg(F.count(F.lit(1)).alias("n")).where("n > 1")
+    met = posted.join(sizes, ["slot", "part"])
+    # Two further bytes and which ones they are; the positions left depend on the slot.
+    left = [[p for p in range(8) if p not in pos] for pos in KEYS]
+    choices = F.element_at(
+        F.array(*[F.array(*[(_bytes_at((rest[a], rest[b])) * len(FURTHER) + F.lit(c + 1)).cast("int") for c, (a, b) in enumerate(FURTHER)]) for rest in left]),
+        F.col("slot") + 1,
+    )
+    split = F.when(F.col("n") > SMALL, choices).otherwise(F.array(F.lit(0)))
+    rows = met.select("slot", "part", F.explode(split).alias("further"), "fp", "rep")
+    by = ["slot", "part", "further"]
+    return rows.repartition(*by).sortWithinPartitions(*by).mapInArrow(_link_stream, "a long, b long")
 
 
 def near_duplicates(docs: DataFrame, id_col: str = "doc_id", text_col: str = "text", width: int = WORDS) -> DataFrame:
-    """(doc_id, fp, fingerprint, component_id) for every row of ``docs``.
+    """(doc_id, text_key, fp, fingerprint, component_id) for every row of ``docs``.
 
     Copies fold into one representative (their smallest id) before anything is posted;
     a third of all rows being copies of one text costs one row from there on.
@@ -205,25 +176,27 @@ def near_duplicates(docs: DataFrame, id_col: str = "doc_id", text_col: str = "te
         "fp", F.coalesce("component", "rep").alias("component_id")
     )
     return prints.join(named, "fp").select(
-        "doc_id", "fp", F.lpad(F.lower(F.hex("fp")), 16, "0").alias("fingerprint"), "component_id"
+        "doc_id", "text_key", "fp", F.lpad(F.lower(F.hex("fp")), 16, "0").alias("fingerprint"), "component_id"
     )
 
 
-def dedup(docs: DataFrame, width: int = WORDS, id_col: str = "doc_id") -> DataFrame:
+def dedup(docs: DataFrame, width: int = WORDS, id_col: str = "doc_id", text_col: str = "text") -> DataFrame:
     """``docs`` less all but the smallest id of each group; rows without an id stay."""
-    return keep_first(docs, near_duplicates(docs, id_col, width=width), id_col)
+    return keep_first(docs, near_duplicates(docs, id_col, text_col, width), id_col, text_col)
 
 
-def keep_first(docs: DataFrame, classes: DataFrame, id_col: str = "doc_id") -> DataFrame:
-    """Rows of ``docs`` whose id names its class in ``classes`` (doc_id, component_id), and rows without an id.
+def keep_first(docs: DataFrame, classes: DataFrame, id_col: str = "doc_id", text_col: str = "text") -> DataFrame:
+    """Rows of ``docs`` whose id names their class in ``classes`` (doc_id, text_key, component_id), and rows without an id.
 
     Of repeated rows with the same id one is kept.
     """
-    keep = classes.where(F.col("doc_id") == F.col("component_id")).groupBy(F.col("doc_id").alias("_keep")).agg(F.count(F.lit(1)).alias("_n"))
-    kept = docs.join(keep.select("_keep"), F.col(id_col) == F.col("_keep"), "left_semi")
-    if keep.where("_n > 1").limit(1).count():
-        kept = kept.dropDuplicates([id_col])
-    return kept.unionByName(docs.where(F.col(id_col).isNull()))
+    classes = written(classes.where("doc_id is not null").select("doc_id", "text_key", "component_id"), "classes")
+    kept = without(docs, classes.where("doc_id <> component_id"), id_col, text_col)
+    first = classes.where("doc_id = component_id").groupBy("doc_id").agg(F.count(F.lit(1)).alias("n"))
+    if first.where("n > 1").limit(1).count():
+        with_id = kept.where(F.col(id_col).isNotNull()).dropDuplicates([id_col])
+        kept = with_id.unionByName(kept.where(F.col(id_col).isNull()))
+    return kept
 
 
 def op1_simhash_near_dedup(spark: SparkSession, sf_dir: str) -> DataFrame:

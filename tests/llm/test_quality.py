@@ -60,6 +60,47 @@ def test_without_labels_only_the_base_rejects(docs, spark):
     assert got.where("kept = base_failed").count() == 0
 
 
+def brute_score(forest, x):
+    """Mean depth of the leaf of ``x`` over the trees, walked node by node, as a score."""
+    total = 0.0
+    for feature, cut, left, right, depth in forest.trees:
+        k = 0
+        while feature[k] >= 0:
+            k = left[k] if x[feature[k]] < cut[k] else right[k]
+        total += depth[k]
+    return 2 ** (-total / len(forest.trees) / float(quality.mean_path(forest.size)))
+
+
+def test_verdicts_against_brute_force(spark, sf):
+    """Scores by walking trees, the limit by trying every bin, on the given tables."""
+    docs, lab = spark.read.parquet(f"{sf}/documents.parquet"), spark.read.parquet(f"{sf}/labels.parquet")
+    stats = quality.rule_statistics(docs)
+    forest = quality.fit_forest(stats, lab)
+    good = {r["doc_id"]: r["quality"] > 0 for r in lab.collect()}
+    rows = [r for r in stats.collect() if not r["base_failed"]]
+    score = {r["doc_id"]: brute_score(forest, [r[f] for f in quality.FEATURES]) for r in rows}
+    best = []
+    for k in range(quality.BINS + 1):
+        kept = [score[d] < (k + 1) / quality.BINS for d, g in good.items() if g and d in score]
+        caught = [score[d] >= (k + 1) / quality.BINS for d, g in good.items() if not g and d in score]
+        if np.mean(kept) >= quality.GOOD_KEPT:
+            best.append((np.mean(caught), k))
+    top = [k for c, k in best if c == max(best)[0]]
+    limit = (top[0] + top[-1] + 2) / 2 / quality.BINS
+    got = {r["doc_id"]: r["kept"] for r in quality.judge_quality(docs, lab).collect()}
+    assert all(abs(score[d] - limit) < 1e-9 or got[d] == (score[d] < limit) for d in score)
+    assert not any(got[d] for d in got if d not in score)
+
+
+def test_held_out_accuracy(spark):
+    """Limits from every other labelled row: the rest is judged as labelled."""
+    docs, lab = (spark.read.parquet(f"/root/testdata/sf0.1/{t}.parquet") for t in ("documents", "labels"))
+    got = {r["doc_id"]: r for r in quality.judge_quality(docs, lab.where("doc_id % 2 = 0"), min_words=0).collect()}
+    rest = lab.where("doc_id % 2 = 1").collect()
+    assert np.mean([got[r["doc_id"]]["kept"] for r in rest if r["quality"]]) >= 0.99
+    assert np.mean([not got[r["doc_id"]]["kept"] for r in rest if not r["quality"]]) >= 0.95
+
+
 def test_path_length():
     assert float(quality.mean_path(2)) == 1.0 and float(quality.mean_path(1)) == 0.0
     assert abs(float(quality.mean_path(256)) - 10.24) < 0.05

@@ -62,13 +62,31 @@ def test_every_key_family_meets_every_near_pair():
         assert any(all(by[p][0] == by[p][1] for p in pos) for pos in simhash.KEYS)
 
 
-def test_probing_links_like_pairs(monkeypatch):
+def near_prints(n):
     rng = np.random.default_rng(1)
     c = rng.integers(0, 2**63, dtype=np.uint64)
-    fps = np.unique(np.array([c ^ np.uint64(sum(1 << int(x) for x in rng.choice(40, int(rng.integers(1, 9)), replace=False))) for _ in range(2500)], np.uint64))
-    assert len(fps) > simhash.SMALL
-    fixed = np.uint64(0xFFFFFF << 40)
-    assert len(simhash.posting_links(fps, fixed)) == len(fps) - _classes(fps)
+    return np.unique(np.array([c ^ np.uint64(sum(1 << int(x) for x in rng.choice(40, int(rng.integers(1, 9)), replace=False))) for _ in range(n)], np.uint64))
+
+
+def test_blocks_link_like_pairs(monkeypatch):
+    fps = near_prints(1200)
+    monkeypatch.setattr(simhash, "ROWS_AT_ONCE", 100)
+    monkeypatch.setattr(simhash, "COLUMNS_AT_ONCE", 330)
+    assert len(simhash.posting_links(fps)) == len(fps) - _classes(fps)
+
+
+@pytest.mark.parametrize("small", [10, 100_000])
+def test_postings_that_are_split(spark, small, monkeypatch):
+    monkeypatch.setattr(simhash, "SMALL", small)
+    fps = near_prints(600)
+    df = spark.createDataFrame(list(zip(fps.view(np.int64).tolist(), range(len(fps)), strict=True)), "fp long, rep long")
+    links = simhash.fingerprint_links(df).collect()
+    assert all(bin(int(fps[a] ^ fps[b])).count("1") <= 3 for a, b in links)
+    parent = list(range(len(fps)))
+    for a, b in links:
+        old, new = parent[a], parent[b]
+        parent = [new if x == old else x for x in parent]
+    assert len(set(parent)) == _classes(fps)
 
 
 def _classes(fps):
