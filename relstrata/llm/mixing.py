@@ -2,8 +2,10 @@
 
 Each document is repeated a Poisson number of times whose mean is its source's
 target repetition rate. The number comes from inverting the distribution at a
-uniform that only depends on (seed, doc_id, text), so a retry on another executor
-gives the same copies; the copies are then ordered by a hash of their own.
+uniform that only depends on the seed and the row's key: its doc_id, or a hash of its text
+where it has none. A retry on another executor
+gives the same copies; the copies are then ordered by a hash of their own, whose uniform
+leading digits name a copy's partition, so no pass is needed to find the bounds.
 Built-in functions only.
 
 Defined results: rows with a null source form a source of their own; a source
@@ -93,9 +95,9 @@ def replicate(
     base = docs.drop("copy_no", "order_key")
     # Null source is its own group: compare by a key that never is null.
     key = lambda c: F.coalesce(F.concat(F.lit("="), F.col(c)), F.lit("null"))
-    text_id = lambda c: F.coalesce(F.col(c).cast("string"), F.lit("null"))
     # Rows travel as one struct, so that their columns can't clash with the ones used here.
-    rows = base.select(key("source").alias("k"), text_id("doc_id").alias("id"), F.struct(*[F.col(f"`{c}`") for c in base.columns]).alias("row"))
+    own = F.coalesce(F.col("doc_id").cast("string"), F.concat(F.lit("null"), F.md5(F.coalesce(F.col("text"), F.lit("")))))
+    rows = base.select(key("source").alias("k"), own.alias("id"), F.struct(*[F.col(f"`{c}`") for c in base.columns]).alias("row"))
     rates = rates.select(key("source").alias("k"), "rate")
     # A row a source: broadcast while there are few, so that texts aren't dealt out by a key that a hot source fills.
     few = rates.limit(MAX_BROADCAST + 1).count() <= MAX_BROADCAST
@@ -104,7 +106,10 @@ def replicate(
     copies = drawn.select("id", "row", F.explode(F.sequence(F.lit(0), F.col("n") - 1)).alias("copy_no"))
     order = F.md5(F.concat_ws("|", F.lit(f"order{seed}"), "id", F.col("copy_no").cast("string")))
     ranked = copies.select("row", "copy_no", order.alias("order_key"))
-    return ranked.orderBy("order_key", "row.doc_id", "copy_no").select("row.*", "copy_no", "order_key")
+    n = int(docs.sparkSession.conf.get("spark.sql.shuffle.partitions"))
+    part = F.floor(F.conv(F.substring("order_key", 1, 8), 16, 10).cast("long") * n / 2**32).cast("int")
+    dealt = ranked.repartitionById(n, part).sortWithinPartitions("order_key", "row.doc_id", "copy_no")
+    return dealt.select("row.*", "copy_no", "order_key")
 
 
 def op5_mixing(spark: SparkSession, sf_dir: str) -> DataFrame:
@@ -118,7 +123,7 @@ WITH s AS (SELECT source, count(*) AS n, sqrt(count(*)::DOUBLE) AS w FROM docume
 r AS (SELECT source, w / (SELECT sum(w) FROM s) * (SELECT sum(n) FROM s) / n AS rate FROM s),
 u AS (
   SELECT d.*, rate,
-    ('0x' || substr(md5('20|' || coalesce(doc_id::VARCHAR, 'null')), 1, 13))::BIGINT::DOUBLE / 4503599627370496.0 AS u
+    ('0x' || substr(md5('20|' || coalesce(doc_id::VARCHAR, 'null' || md5(coalesce(text, '')))), 1, 13))::BIGINT::DOUBLE / 4503599627370496.0 AS u
   FROM documents d JOIN r ON d.source IS NOT DISTINCT FROM r.source),
 k AS (
   SELECT u.*, (SELECT count(*) FROM range(0, 60) t(i)
@@ -126,6 +131,6 @@ k AS (
       lambda j: exp(-rate) * pow(rate, j) / gamma(j + 1.0))), lambda a, b: a + b)) AS c
   FROM u)
 SELECT doc_id, source, copy_no::INTEGER AS copy_no,
-  md5('order20|' || coalesce(doc_id::VARCHAR, 'null') || '|' || copy_no::VARCHAR) AS order_key, text
+  md5('order20|' || coalesce(doc_id::VARCHAR, 'null' || md5(coalesce(text, ''))) || '|' || copy_no::VARCHAR) AS order_key, text
 FROM k, unnest(range(0, c)) x(copy_no)
 """
