@@ -8,8 +8,9 @@ substitutions. Either mask alone meets every window of 13 tokens with up to two
 substitutions, so no such overlap is missed. Built-in functions only; from the split
 to the hash lookup it is one generated loop over the positions.
 
-Tokens are runs of letters and digits, lower-cased. Items of 8 to 12 tokens must occur
-whole and unchanged; shorter ones identify nothing and are left out.
+Tokens are runs of letters and digits, lower-cased. Items of 4 to 12 tokens must occur
+whole and unchanged, those of up to 7 by a hash of the whole item; items of fewer than 4
+tokens are in any prose, so a document must consist of one to hold it.
 
 Defined results: null texts have no tokens; repeated documents are reported each under
 its id (one row per id and item); repeated items are reported each; of several overlaps
@@ -22,12 +23,14 @@ from __future__ import annotations
 from pyspark.sql import Column, DataFrame, SparkSession
 from pyspark.sql import functions as F
 
-from .common import keyed, load
+from .common import MAX_BROADCAST, keyed, load, text_key, written
 
 #: Token positions that each mask keeps (out of SPAN).
 MASKS = [(0, 1, 3, 6, 7), (0, 1, 4, 6, 7)]
 SPAN = 8
 WINDOW, MISMATCHES = 13, 2
+#: Items of fewer tokens are compared with whole documents.
+SHORT = 4
 #: Seed tables up to this many rows are broadcast (16 to 24 bytes a row); larger ones meet by shuffle.
 BROADCAST_SEEDS = 2_000_000
 
@@ -36,15 +39,35 @@ def tokens(text: Column) -> Column:
     return F.array_remove(F.split(F.lower(text), r"[^\p{L}\p{N}]+"), "")
 
 
-def seed_rows(df: DataFrame, id_name: str) -> DataFrame:
-    """(id, pos, seed, words) for each position with a whole span; pos is 1-based."""
+def seed_rows(df: DataFrame, *ids: str, carry: tuple[str, ...] = ()) -> DataFrame:
+    """(ids, carried columns, pos, seed) for each position of ``words`` with a whole span; pos is 1-based."""
     long_enough = df.where(F.size("words") >= SPAN)
     at = long_enough.withColumn("pos", F.explode(F.sequence(F.lit(1), F.size("words") - (SPAN - 1))))
     hashes = [
         F.xxhash64(F.lit(k), *(F.element_at("words", F.col("pos") + F.lit(p)) for p in mask))
         for k, mask in enumerate(MASKS)
     ]
-    return at.select(id_name, "pos", "words", F.explode(F.array(*hashes)).alias("seed"))
+    return at.select(*ids, *carry, "pos", F.explode(F.array(*hashes)).alias("seed"))
+
+
+def short_overlaps(base: DataFrame, items: DataFrame) -> DataFrame | None:
+    """(doc_id, item_id, n_equal, start) of items below SPAN tokens, by hashes of whole items; None if there are none."""
+    short = items.where(F.size("words").between(1, SPAN - 1)).select("item_id", F.col("words").alias("item_words"), F.xxhash64("words").alias("seed"))
+    lengths = sorted(r["n"] for r in short.select(F.size("item_words").alias("n")).distinct().collect())  # below SPAN rows
+    if not lengths:
+        return None
+    size = F.size("words")
+
+    def runs(n: int) -> Column:
+        enough = (size == n) if n < SHORT else (size >= n)
+        one = lambda i: F.struct(i.alias("pos"), F.xxhash64(F.slice("words", i, n)).alias("seed"), F.lit(n).alias("n"))
+        return F.when(enough, F.transform(F.sequence(F.lit(1), size - (n - 1)), one)).otherwise(F.array().cast("array<struct<pos:int,seed:bigint,n:int>>"))
+
+    at = base.select("doc_id", "words", F.explode(F.concat(*[runs(n) for n in lengths])).alias("r"))
+    at = at.select("doc_id", F.col("r.pos").alias("pos"), F.col("r.seed").alias("seed"), F.slice("words", F.col("r.pos"), F.col("r.n")).alias("run"))
+    small = short.limit(BROADCAST_SEEDS + 1).count() <= BROADCAST_SEEDS
+    met = at.join(F.broadcast(short) if small else short, "seed").where(F.col("run") == F.col("item_words"))
+    return met.select("doc_id", "item_id", F.size("run").alias("n_equal"), F.col("pos").alias("start"))
 
 
 def overlaps(docs: DataFrame, benchmark: DataFrame, id_col: str = "doc_id", text_col: str = "text") -> DataFrame:
@@ -53,21 +76,28 @@ def overlaps(docs: DataFrame, benchmark: DataFrame, id_col: str = "doc_id", text
     ``start`` is the 1-based token of the document that stands beside the item's first
     (it can be below 1 when the document begins inside the item).
     """
-    items = (
+    all_items = (
         benchmark.select(F.col("item_id").cast("long").alias("item_id"), F.col("text").alias("item_text"))
         .withColumn("words", tokens(F.col("item_text")))
-        .where(F.size("words") >= SPAN)
         .select("item_id", "words")
     )
-    seeds = seed_rows(items, "item_id").select("seed", "item_id", F.col("pos").alias("item_pos"), F.size("words").alias("n_item")).distinct()
+    items = all_items.where(F.size("words") >= SPAN)
+    seeds = seed_rows(items, "item_id", carry=("words",)).select("seed", "item_id", F.col("pos").alias("item_pos"), F.size("words").alias("n_item")).distinct()
     small = seeds.limit(BROADCAST_SEEDS + 1).count() <= BROADCAST_SEEDS
     # Tokens are split once per document, before the explode that would repeat the split.
-    base = keyed(docs, id_col, text_col).where("text is not null").select("doc_id", tokens(F.col("text")).alias("words"))
-    met = seed_rows(base, "doc_id").join(F.broadcast(seeds) if small else seeds, "seed")
+    keys = keyed(docs, id_col, text_col).where("text is not null")
+    base = keys.select("doc_id", tokens(F.col("text")).alias("words"))
     diag = F.col("pos") - F.col("item_pos")
     # Only what stands beside the item leaves with a hit, not the whole document.
-    beside = F.slice("words", F.greatest(diag + 1, F.lit(1)), F.least(F.col("n_item") + F.least(diag, F.lit(0)), F.lit(1_000_000_000)))
-    hits = met.select("doc_id", "item_id", diag.alias("diag"), beside.alias("beside")).dropDuplicates(["doc_id", "item_id", "diag"])
+    beside = F.slice("words", F.greatest(F.col("diag") + 1, F.lit(1)), F.least(F.col("n_item") + F.least("diag", F.lit(0)), F.lit(1_000_000_000)))
+    if small:
+        met = seed_rows(base, "doc_id", carry=("words",)).join(F.broadcast(seeds), "seed").withColumn("diag", diag)
+    else:  # positions travel without their documents, which meet the hits again by id and text
+        named = keys.select("doc_id", text_key().alias("text_key"), tokens(F.col("text")).alias("words"))
+        hits = seed_rows(named, "doc_id", "text_key").join(seeds, "seed").select("doc_id", "text_key", "item_id", "n_item", diag.alias("diag")).distinct()
+        hits = hits.withColumnsRenamed({"doc_id": "_d", "text_key": "_t"})
+        met = hits.join(named, F.col("_d").eqNullSafe(F.col("doc_id")) & (F.col("_t") == F.col("text_key")))
+    hits = met.select("doc_id", "item_id", "diag", beside.alias("beside")).dropDuplicates(["doc_id", "item_id", "diag", "beside"])
     items = items.withColumnRenamed("words", "item_words")
     laid = hits.join(F.broadcast(items) if small else items, "item_id")
     skip = -F.least(F.col("diag"), F.lit(0))
@@ -84,16 +114,21 @@ def overlaps(docs: DataFrame, benchmark: DataFrame, id_col: str = "doc_id", text
         .where(F.exists(starts, lambda i: total(F.slice("equal", i, F.col("width"))) >= need))
         .select("doc_id", "item_id", total(F.col("equal")).alias("n_equal"), (F.col("diag") + 1).alias("start"))
     )
+    if (short := short_overlaps(base, all_items)) is not None:
+        judged = judged.unionByName(short)
     best = F.max(F.struct("n_equal", (-F.col("start")).alias("m")))
     return judged.groupBy("doc_id", "item_id").agg(best.alias("b")).select(
         "doc_id", "item_id", F.col("b.n_equal").cast("long").alias("n_equal"), (-F.col("b.m")).cast("long").alias("start")
     )
 
 
-def decontaminated(docs: DataFrame, benchmark: DataFrame, id_col: str = "doc_id") -> DataFrame:
-    """``docs`` without the contaminated ones; rows without an id stay."""
-    bad = overlaps(docs.where(F.col(id_col).isNotNull()), benchmark, id_col).select(F.col("doc_id").alias("_bad")).distinct()
-    return docs.join(bad, F.col(id_col) == F.col("_bad"), "left_anti")
+def decontaminated(docs: DataFrame, benchmark: DataFrame, id_col: str = "doc_id", text_col: str = "text") -> DataFrame:
+    """``docs`` without the contaminated rows, each judged by its own text whatever its id."""
+    one = F.xxhash64(F.col(id_col).cast("long"), F.col(text_col).cast("string"))
+    rows = docs.select(one.alias("doc_id"), F.col(text_col).alias("text"))
+    bad = written(overlaps(rows, benchmark).select(F.col("doc_id").alias("_bad")).distinct(), "contaminated")
+    few = bad.limit(MAX_BROADCAST + 1).count() <= MAX_BROADCAST
+    return docs.join(F.broadcast(bad) if few else bad, one == F.col("_bad"), "left_anti")
 
 
 def op6_decontamination(spark: SparkSession, sf_dir: str) -> DataFrame:
@@ -114,7 +149,11 @@ eq AS (SELECT doc_id, item_id, diag, n, list_transform(range(a, b + 1), lambda k
 ok AS (SELECT doc_id, item_id, diag, e FROM eq
        WHERE len(e) >= least(13, n) AND len(list_filter(range(1, len(e) - least(13, n) + 2),
          lambda s: list_sum(e[s:s + least(13, n) - 1]) >= least(13, n) - CASE WHEN n >= 13 THEN 2 ELSE 0 END)) > 0),
-pick AS (SELECT doc_id, item_id, list_sum(e)::BIGINT AS n_equal, (diag + 1)::BIGINT AS start,
-           row_number() OVER (PARTITION BY doc_id, item_id ORDER BY list_sum(e) DESC, diag) AS k FROM ok)
+short AS (SELECT doc_id, item_id, len(iw.w) AS n, p, dw.w[p:p + len(iw.w) - 1] = iw.w AS same, len(dw.w) AS m
+          FROM (SELECT doc_id, w, unnest(range(1, len(w) + 1)) AS p FROM dw) dw JOIN iw ON len(iw.w) BETWEEN 1 AND 7 AND dw.w[p] = iw.w[1]),
+hits AS (SELECT doc_id, item_id, list_sum(e) AS n_equal, diag + 1 AS start FROM ok
+         UNION ALL SELECT doc_id, item_id, n, p FROM short WHERE same AND (n >= 4 OR n = m)),
+pick AS (SELECT doc_id, item_id, n_equal::BIGINT AS n_equal, start::BIGINT AS start,
+           row_number() OVER (PARTITION BY doc_id, item_id ORDER BY n_equal DESC, start) AS k FROM hits)
 SELECT doc_id, item_id, n_equal, start FROM pick WHERE k = 1
 """

@@ -75,7 +75,9 @@ def brute_overlaps(docs, items):
         a = tok(text)
         for i, item in items:
             b = tok(item)
-            if len(b) < decontaminate.SPAN:
+            if len(b) < 8:  # held whole; in fewer than 4 tokens only a document of nothing else
+                if b and (b == a if len(b) < 4 else any(a[k : k + len(b)] == b for k in range(len(a)))):
+                    out.add((d, i))
                 continue
             width = min(13, len(b))
             for diag in range(-len(b), len(a)):
@@ -89,7 +91,7 @@ def test_overlaps_against_brute_force(spark, corpus):
     import random
 
     rng = random.Random(5)
-    items = [(k, " ".join(corpus[k].split(" ")[10 : 10 + n])) for k, n in ((0, 40), (1, 13), (2, 20), (3, 9), (4, 5))] + [(9, None), (10, "")]
+    items = [(k, " ".join(corpus[k].split(" ")[10 : 10 + n])) for k, n in ((0, 40), (1, 13), (2, 20), (3, 9), (4, 5))] + [(9, None), (10, ""), (11, "a b"), (12, "the"), (13, "the the the the")]
     rows = [(i, t) for i, t in enumerate(corpus) if t is None or len(t) < 3000]
     for k, w in ((100, 30), (101, 13), (102, 18)):
         words = items[k - 100][1].split(" ")
@@ -100,6 +102,16 @@ def test_overlaps_against_brute_force(spark, corpus):
         spark.createDataFrame(rows, "doc_id long, text string"), spark.createDataFrame(items, "item_id long, text string")
     ).collect()
     assert {(r["doc_id"], r["item_id"]) for r in got} == brute_overlaps(rows, items)
+    assert {11, 13} <= {r["item_id"] for r in got} and 12 not in {r["item_id"] for r in got}
+
+
+def test_seeds_that_are_not_broadcast(spark, corpus, odd_docs, monkeypatch):
+    items = spark.createDataFrame([(k, " ".join((corpus[k] or "").split(" ")[10:40])) for k in range(5)] + [(7, "a b")], "item_id long, text string")
+    for df in (odd_docs, spark.createDataFrame(list(enumerate(corpus)), "doc_id long, text string")):
+        want = sorted(map(str, decontaminate.overlaps(df, items).collect()))
+        with monkeypatch.context() as m:
+            m.setattr(decontaminate, "BROADCAST_SEEDS", 3)
+            assert sorted(map(str, decontaminate.overlaps(df, items).collect())) == want and want
 
 
 def test_one_mask_meets_every_window():
@@ -111,7 +123,7 @@ def test_one_mask_meets_every_window():
 
 
 def test_decontamination_edges(spark, odd_docs, no_docs, docs):
-    bench = spark.createDataFrame([(1, None), (2, "short"), (None, "a b c d e f g h i")], "item_id long, text string")
+    bench = spark.createDataFrame([(1, None), (2, "short"), (3, "  "), (None, "a b c d e f g h i")], "item_id long, text string")
     for df in (odd_docs, no_docs, docs):
         assert decontaminate.decontaminated(df, bench).count() == df.count()
     assert decontaminate.overlaps(docs, bench.limit(0)).count() == 0
