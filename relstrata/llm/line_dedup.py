@@ -10,8 +10,8 @@ what stands before and after) and one for each of its gaps, where another line m
 
 All lines of a key are near each other, so each line's earliest near line is a minimum
 over equal keys: no pairs are made. Halves and keys are made of distinct lines, so a line that a
-third of all documents repeat is one row there; its verdict is sent to its many places, while other
-verdicts meet their places by hash.
+third of all documents repeat is one row there; verdicts meet their places by hash, and those of a
+frequent line are repeated to meet its places in many tasks.
 Before variants are emitted, lines are dropped that share neither half with another
 one: a single edit leaves one half untouched, so no near pair is lost.
 
@@ -55,11 +55,8 @@ def line_rows(docs: DataFrame) -> DataFrame:
     )
 
 
-HALVES = ["half_a", "half_b", "half_c", "half_d"]
-
-
-def half_keys(words: Column, n: Column) -> list[Column]:
-    """Keys of the halves that a near line can share (null: none); the length of the shorter line is part of each."""
+def half_keys(words: Column, n: Column) -> Column:
+    """Keys of the halves that a near line can share; the length of the shorter line is part of each."""
 
     def of(m: Column) -> list[Column]:
         p = F.floor(m / 2).cast("int")
@@ -68,24 +65,28 @@ def half_keys(words: Column, n: Column) -> list[Column]:
             F.xxhash64(F.lit(1), m, F.slice(words, n - (m - p) + 1, m - p)),
         ]
 
-    return [*(F.when(n >= MIN_WORDS, k) for k in of(n)), *(F.when(n > MIN_WORDS, k) for k in of(n - 1))]
+    shorter = F.when(n > MIN_WORDS, F.array(*of(n - 1))).otherwise(F.array().cast("array<bigint>"))
+    return F.concat(F.array(*of(n)), shorter)
 
 
 def sharing_a_half(distinct: DataFrame) -> DataFrame:
     """Hashes of lines that share a half with a different line: one shuffle of narrow rows."""
-    half = distinct.select("h", F.explode(F.array(*HALVES)).alias("k")).where("k is not null")
+    half = distinct.select("h", F.explode("halves").alias("k"))
     group = Window.partitionBy("k")
     alone = (F.min("h.x").over(group) == F.max("h.x").over(group)) & (F.min("h.y").over(group) == F.max("h.y").over(group))
     return half.withColumn("alone", alone).where("not alone").select("h").distinct()
 
 
-def near_lines(docs: DataFrame) -> tuple[DataFrame, DataFrame]:
-    """(lines, verdicts): all line places with their hash, and (h, first, n, near) per distinct line; n: its places."""
+def near_lines(docs: DataFrame) -> tuple[DataFrame, DataFrame, DataFrame]:
+    """(lines, distinct, verdicts): all line places with their hash, and (h, first, n) and near per distinct line; n: its places."""
     rows = line_rows(docs)
-    halves = [k.alias(c) for c, k in zip(HALVES, half_keys(F.col("words"), F.size("words")), strict=True)]
-    lines = written(rows.select("at", two_hashes(F.col("words")).alias("h"), *halves), "lines")
-    firsts = [F.min("at").alias("first"), F.count(F.lit(1)).alias("n"), *(F.max(c).alias(c) for c in HALVES)]
-    distinct = written(lines.groupBy("h").agg(*firsts), "distinct-lines")
+    n = F.size("words")
+    lines = written(
+        rows.select("at", two_hashes(F.col("words")).alias("h"), F.when(n >= MIN_WORDS, half_keys(F.col("words"), n)).alias("halves")),
+        "lines",
+    )
+    firsts = lines.groupBy("h").agg(F.min(F.struct("at", "halves")).alias("f"), F.count(F.lit(1)).alias("n"))
+    distinct = written(firsts.select("h", F.col("f.at").alias("first"), F.col("f.halves").alias("halves"), "n"), "distinct-lines")
     # The candidates' first places go to their documents; only those lines' words are kept.
     places = distinct.join(sharing_a_half(distinct), "h").select(F.col("first.doc_id").alias("doc_id"), F.struct("first.line_no", "h", "first").alias("w"))
     places = places.groupBy("doc_id").agg(F.collect_list("w").alias("wanted"))
@@ -110,7 +111,7 @@ def near_lines(docs: DataFrame) -> tuple[DataFrame, DataFrame]:
     other = cand.select(F.col("first").alias("e"), F.col("words").alias("b"))
     near = best.join(own, "first").join(other, "e").where(within_one_edit(F.col("a"), F.col("b"))).select("h", F.lit(True).alias("near"))
     verdicts = distinct.join(near, "h", "left").select("h", "first", "n", F.coalesce("near", F.lit(False)).alias("near"))
-    return lines.select("at", "h"), verdicts.where("near or n > 1")
+    return lines.select("at", "h"), distinct, verdicts
 
 
 def running_hashes(words: Column) -> Column:
@@ -147,13 +148,14 @@ def within_one_edit(a: Column, b: Column) -> Column:
 
 def dedup_lines(docs: DataFrame) -> DataFrame:
     """``docs`` with ``text`` less repeated and near-repeated lines, ``n_lines`` and ``removed`` (line numbers)."""
-    lines, verdicts = near_lines(docs)
-    verdicts = written(verdicts, "line-verdicts")
-    places = verdicts.agg(F.sum("n")).first()[0] or 0
+    lines, distinct, verdicts = near_lines(docs)
     parts = int(docs.sparkSession.conf.get("spark.sql.shuffle.partitions"))
-    often = F.col("n") > max(FREQUENT, places // (4 * parts))  # at most four lines a partition
-    hot = verdicts.where(often)
-    met = lines.join(F.broadcast(hot), "h").unionByName(lines.join(F.broadcast(hot.select("h")), "h", "left_anti").join(verdicts.where(~often), "h"))
+    often = F.col("n") > max(FREQUENT, lines.count() // (4 * parts))  # at most four lines a partition
+    frequent = F.broadcast(distinct.where(often).select("h", F.lit(True).alias("often")))
+    salt = F.when(F.col("often"), F.pmod(F.xxhash64("at"), F.lit(parts)).cast("int")).otherwise(0)
+    salts = F.when(often, F.sequence(F.lit(0), F.lit(parts - 1))).otherwise(F.array(F.lit(0)))
+    places = lines.join(frequent, "h", "left").select("at", "h", salt.alias("salt"))
+    met = places.join(verdicts.where("near or n > 1").withColumn("salt", F.explode(salts)), ["h", "salt"])
     gone = (
         met.where(F.col("near") | (F.col("at") > F.col("first")))
         .groupBy(F.col("at.doc_id").alias("_d"))

@@ -223,3 +223,13 @@ def test_url_without_rules(spark):
     none = spark.createDataFrame([], "verdict string, rule string")
     assert url_filter.judge(df, none).first()["verdict"] == "allow"
     assert url_filter.judge(df.limit(0), none).count() == 0
+
+
+def test_frequent_lines_in_many_tasks(spark, monkeypatch):
+    common, near = "one two three four five six seven eight nine ten", "one two three four five six seven eight nine TEN"
+    rows = [(d, "\n".join([f"own words of {d}", common, near if d % 2 else "short"])) for d in range(60)]
+    df = spark.createDataFrame(rows, "doc_id long, text string").repartition(4)
+    want = sorted(map(str, line_dedup.dedup_lines(df).collect()))
+    monkeypatch.setattr(line_dedup, "FREQUENT", 3)
+    assert sorted(map(str, line_dedup.dedup_lines(df).collect())) == want
+    assert sum("own words" in r["text"] and common not in r["text"] for r in line_dedup.dedup_lines(df).collect()) == 59
