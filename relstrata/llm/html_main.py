@@ -2,10 +2,13 @@
 
 A page is a sequence of tokens: words and tags. A word's score is the log odds of
 standing in the main text given where it stands (its nearest block element with
-class or id, and whether a boilerplate element is open around it); a tag costs a
-fixed amount. Both come from labelled pages: pages whose author marked the article
-element serve as labels, and the marks themselves are not scored. One linear
-scan finds the contiguous region of the highest total; its blocks are the text.
+class or id, and whether a boilerplate element is open around it), or nothing where these
+speak against it: such a stretch of words then counts as one more tag. A tag costs a fixed amount,
+a stretch of boilerplate another. Word scores and both costs come from labelled pages: pages whose
+author marked the article element serve as labels, and the marks themselves are not scored. One linear
+scan finds the contiguous region of the highest total; its words that have a score are the text.
+As all words between two block tags have one score, a region never ends inside a block, and
+the scan goes from block to block.
 
 Defined results: null or empty html gives an empty text; a page without any positive
 word gives an empty text; unclosed tags and a cut-off end are read as browsers do;
@@ -20,6 +23,7 @@ import re
 from collections import Counter
 from collections.abc import Iterator
 
+import numpy as np
 import pyarrow as pa
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
@@ -30,8 +34,10 @@ from .common import column, hash_sample, load, slices, with_fields
 FIT_PAGES = 2_000
 #: Contexts whose weights are kept; a rarer one falls back to its element, then to the default.
 FIT_CONTEXTS = 1_000
-BOILER_COST = 1.0
+#: Costs that are tried on the labelled pages: of a tag, and of a stretch of words without a score.
 TAG_COSTS = (0.05, 0.1, 0.2, 0.4, 0.8, 1.6)
+BOILER_COSTS = (0.5, 1.0, 2.0, 4.0)
+Model = tuple[dict[str, float], float, float]
 
 # Element names by their role in HTML, and words that name boilerplate in class and id.
 RAW = {"script", "style", "noscript", "template", "textarea", "iframe", "svg", "title"}
@@ -163,20 +169,25 @@ def word_weight(weights: dict[str, float], context: str) -> float:
     return weights.get(context.split(".")[0], -1.0 if context.startswith("!") else 1.0)
 
 
-def block_score(weights: dict[str, float], context: str, words: int) -> float:
-    """Summed word scores; a boilerplate element costs at most BOILER_COST, so that one inside an article doesn't cut it."""
-    total = word_weight(weights, context) * words
-    return max(total, -BOILER_COST) if context.startswith("!") else total
+def parsed(page: str) -> list[tuple[Block, str, int]]:
+    """(block, text, words) of the blocks with words."""
+    return [(b, t, t.count(" ") + 1) for b in blocks(page)[0] if (t := b.text())]
 
 
-def main_text(page: str | None, weights: dict[str, float], tag_cost: float) -> str:
-    """The main text of one page: blocks of the best region, boilerplate inside it left out."""
-    if not page:
-        return ""
-    found = [(b, t) for b in blocks(page)[0] if (t := b.text())]
-    scored = [(tag_cost * b.tags, block_score(weights, b.context, t.count(" ") + 1)) for b, t in found]
+def region_text(found: list[tuple[Block, str, int]], model: Model) -> str:
+    """Text of the best region: the words with a score, block by block."""
+    weights, tag_cost, boiler_cost = model
+    scored = []
+    for b, _, n in found:
+        w = word_weight(weights, b.context)
+        scored.append((tag_cost * b.tags, w * n if w > 0 else -boiler_cost))
     lo, hi = best_region(scored)
-    return "\n".join(t for (b, t), (_, gain) in zip(found[lo:hi], scored[lo:hi], strict=True) if gain > 0)
+    return "\n".join(t for (_, t, _), (_, gain) in zip(found[lo:hi], scored[lo:hi], strict=True) if gain > 0)
+
+
+def main_text(page: str | None, model: Model) -> str:
+    """The main text of one page."""
+    return region_text(parsed(page), model) if page else ""
 
 
 def labelled_text(page: str) -> str | None:
@@ -187,8 +198,8 @@ def labelled_text(page: str) -> str | None:
     return "\n".join(t for b in found if b.marked and not b.context.startswith("!") and (t := b.text()))
 
 
-def fit(pages: DataFrame, html_col: str = "html") -> tuple[dict[str, float], float]:
-    """Weights per context and the tag cost, from at most FIT_PAGES labelled pages."""
+def fit(pages: DataFrame, html_col: str = "html") -> Model:
+    """Weights per context and both costs, from at most FIT_PAGES labelled pages."""
     marked = pages.select(F.col(html_col).alias("html")).where(F.col("html").contains("<article"))
     sample = hash_sample(marked, F.col("html"), FIT_PAGES, 5, pages.count()).repartition(6)
 
@@ -214,29 +225,29 @@ def fit(pages: DataFrame, html_col: str = "html") -> tuple[dict[str, float], flo
     )
     weights = {r["context"]: max(-4.0, min(4.0, math.log((r["i"] + 0.5) / (r["o"] + 0.5)))) for r in rows}
 
+    costs = [(t, b) for t in TAG_COSTS for b in BOILER_COSTS]
+
     def hits(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        right = dict.fromkeys(TAG_COSTS, 0)
+        right = np.zeros(len(costs), np.int64)
         for b in batches:
             for page in column(b, "html").to_pylist():
-                want = labelled_text(page)
-                for cost in TAG_COSTS:
-                    right[cost] += main_text(page, weights, cost) == want
-        yield pa.RecordBatch.from_pydict({"cost": list(right), "right": pa.array(list(right.values()), pa.int64())})
+                want, found = labelled_text(page), parsed(page)
+                right += [region_text(found, (weights, *c)) == want for c in costs]
+        yield pa.RecordBatch.from_pydict({"k": pa.array(range(len(costs)), pa.int32()), "right": pa.array(right)})
 
-    tally = {r["cost"]: r["r"] for r in sample.mapInArrow(hits, "cost double, right long").groupBy("cost").agg(F.sum("right").alias("r")).collect()}
-    cost = max(TAG_COSTS, key=lambda c: (tally.get(c, 0), -abs(c - 0.2)))
-    return weights, cost
+    tally = {r["k"]: r["r"] for r in sample.mapInArrow(hits, "k int, right long").groupBy("k").agg(F.sum("right").alias("r")).collect()}
+    best = max(range(len(costs)), key=lambda k: (tally.get(k, 0), -abs(costs[k][0] - 0.2) - abs(costs[k][1] - 1.0)))
+    return (weights, *costs[best])
 
 
-def extract(pages: DataFrame, model: tuple[dict[str, float], float], html_col: str = "html") -> DataFrame:
+def extract(pages: DataFrame, model: Model, html_col: str = "html") -> DataFrame:
     """``pages`` with ``text`` and ``n_chars`` (code points); every page, whole."""
-    weights, cost = model
     kept = [c for c in pages.columns if c not in ("text", "n_chars", html_col)]
     schema = with_fields(pages.select(*kept), "text string, n_chars long")
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         for b in slices(batches, 256):
-            texts = [main_text(p, weights, cost) for p in column(b, "_html").to_pylist()]
+            texts = [main_text(p, model) for p in column(b, "_html").to_pylist()]
             cols = [column(b, c) for c in kept] + [pa.array(texts, pa.string()), pa.array(map(len, texts), pa.int64())]
             yield pa.RecordBatch.from_arrays(cols, [*kept, "text", "n_chars"])
 

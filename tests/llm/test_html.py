@@ -1,3 +1,5 @@
+from html.parser import HTMLParser
+
 import pytest
 
 from relstrata.llm import html_main as h
@@ -10,11 +12,11 @@ WANT = "Head line & more\nFirst para.\nSecond para with inline.\nThird."
 
 
 def weights():
-    return {"p": 4.0, "h1": 4.0, "!footer": -4.0, "!li": -4.0, "!div": -4.0, "!p": -4.0}, 0.2
+    return {"p": 4.0, "h1": 4.0, "!footer": -4.0, "!li": -4.0, "!div": -4.0, "!p": -4.0}, 0.2, 1.0
 
 
 def test_page():
-    assert h.main_text(PAGE, *weights()) == WANT
+    assert h.main_text(PAGE, weights()) == WANT
     assert h.labelled_text(PAGE) == WANT
 
 
@@ -33,6 +35,75 @@ def test_best_region_is_the_maximum():
         assert abs((total(a, b) if b > a else 0.0) - max(best, 0.0)) < 1e-9
 
 
+def test_region_is_the_best_of_all_token_runs():
+    """Word by word and tag by tag, over all runs of tokens: the best one holds the same words."""
+    import random
+
+    rng = random.Random(2)
+    for _ in range(60):
+        page = "".join(f"<{(t := rng.choice(['p', 'h1', 'footer', 'li']))}>" + " ".join(["w"] * rng.randrange(5)) + f"</{t}>" for _ in range(rng.randrange(1, 9)))
+        model = {k: rng.uniform(-2, 3) for k in ("p", "h1", "!footer", "li")}, rng.choice([0.2, 0.9, 2.1]), rng.choice([0.5, 2.0])
+        tokens = []  # (score, block or None)
+        for k, (b, _, n) in enumerate(h.parsed(page)):
+            w = model[0][b.context]
+            tokens += [(-model[1], None)] * b.tags + ([(w, k)] * n if w > 0 else [(-model[2], None)])
+        best, words = 0.0, 0
+        for a in range(len(tokens)):
+            total = 0.0
+            for z in range(a, len(tokens)):
+                total += tokens[z][0]
+                if total > best + 1e-9:
+                    best, words = total, sum(k is not None for _, k in tokens[a : z + 1])
+        assert len(h.main_text(page, model).split()) == words
+
+
+class Outline(HTMLParser):
+    """Another reading of a page: the article's blocks by the standard library's parser, without its boilerplate."""
+
+    BLOCK = {"p", "h1", "h2", "h3", "div", "li", "ul", "ol", "article", "nav", "footer", "aside", "section", "form", "table", "tr", "td", "blockquote", "pre", "header", "main", "body"}
+    SKIP = {"script", "style", "nav", "footer", "aside", "form", "header", "noscript"}
+
+    def __init__(self, page):
+        super().__init__(convert_charrefs=True)
+        self.open, self.out, self.now = [], [], []
+        self.feed(page)
+        self.close()
+        self.cut()
+
+    def cut(self):
+        if text := " ".join("".join(self.now).split()):
+            self.out.append(text)
+        self.now = []
+
+    def handle_starttag(self, tag, attrs):
+        if tag in self.BLOCK:
+            self.cut()
+        if tag == "p" and self.open and self.open[-1][0] == "p":
+            self.open.pop()
+        names = " ".join(v or "" for k, v in attrs if k in ("class", "id")).split()
+        if tag not in ("br", "img", "meta", "link", "hr", "input"):
+            self.open.append((tag, tag in self.SKIP or bool({"ad", "comments", "sidebar", "notice", "cookie", "comment", "share", "related", "newsletter"} & set(names))))
+
+    def handle_endtag(self, tag):
+        if tag in self.BLOCK:
+            self.cut()
+        if any(t == tag for t, _ in self.open):
+            while self.open.pop()[0] != tag:
+                pass
+
+    def handle_data(self, data):
+        if any(t == "article" for t, _ in self.open) and not any(bad for _, bad in self.open):
+            self.now.append(data)
+
+
+def test_pages_against_another_parser(spark):
+    pages = spark.read.parquet("/root/testdata/sf0.01/pages.parquet")
+    got = {r["page_id"]: r["text"] for r in h.extract(pages, h.fit(pages)).collect()}
+    rows = [r for r in pages.collect() if "<article" in (r["html"] or "")]
+    wrong = [r["page_id"] for r in rows if "\n".join(Outline(r["html"]).out) != got[r["page_id"]]]
+    assert rows and len(wrong) <= 0.02 * len(rows), wrong[:10]
+
+
 def test_held_out_accuracy(spark, sf):
     pages = spark.read.parquet("/root/testdata/sf0.01/pages.parquet")
     fit, rest = pages.where("page_id % 2 = 0"), pages.where("page_id % 2 = 1")
@@ -45,7 +116,7 @@ def test_held_out_accuracy(spark, sf):
 
 @pytest.mark.parametrize("page", [None, "", "plain words", "<p>", "<div><p>a<p>b", "</p></div>text", "<script>x", "<a href='>'>q</a>", "&lt;p&gt; &#x41; &bad;", "<!-- open", "< b", "a" * 200_000])
 def test_odd_pages(page):
-    assert isinstance(h.main_text(page, *weights()), str)
+    assert isinstance(h.main_text(page, weights()), str)
 
 
 def test_edges(spark):
