@@ -105,21 +105,51 @@ def crude_mc(spark, ps, perf, n, reps=1, seed=1) -> DataFrame:
     return got.select(F.lit("crude").alias("method"), "rep", (F.col("hits") / F.col("n")).alias("p_hat"), F.lit(0).cast("long").alias("n_strata"), F.lit(0).cast("long").alias("cost_pilot"), F.col("n").alias("cost_sampling"))
 
 
+#: Rejection is refused below this chance of a draw to be kept: it would take more draws than counting first saves.
+REJECTION_FLOOR = 1e-4
+
+
 def conditional_mc(spark, ps, perf, n, i_star, sampler="rejection", reps=1, seed=1) -> DataFrame:
-    """At least i* failures: by rejection, or by drawing the count first and then the state."""
+    """At least i* failures: by rejection, or by drawing the count first and then the state.
+
+    Without any state of i* failures the estimate has nothing to draw and a ValueError is raised; where a kept draw is
+    rarer than REJECTION_FLOOR, rejection gives way to counting first (the method's name says which was used).
+    """
     mass = float(bernoulli.pmf(ps)[i_star:].sum())
+    if not mass > 0:
+        raise ValueError("no state has i* failures")
+    if sampler == "rejection" and mass < REJECTION_FLOOR:
+        sampler = "count_first"
     if sampler == "rejection":
-        got = crude_states(spark, ps, n, perf, seed, reps, i_star)
-        hits = got.select("rep", F.col("hits"), "n")
+        hits = crude_states(spark, ps, n, perf, seed, reps, i_star).select("rep", F.col("hits"), "n")
     else:
         tree = SplitTree(ps)
         strata = initial(tree, i_star)
-        cum = np.cumsum([s.lam for s in strata]) / sum(s.lam for s in strata)
-        sizes = np.array([np.bincount(np.searchsorted(cum[:-1], uniform_np(seed, 103, r, np.arange(n)), side="right"), minlength=len(strata)) for r in range(reps)])
-        hits = sample(sizes_frame(spark, strata, sizes), tree, perf, seed).groupBy("rep").agg(F.sum("hits").alias("hits"), F.sum("n").alias("n"))
+        sizes = drawn_sizes(spark, np.array([s.lam for s in strata]), n, reps, seed)
+        clusters = spark.createDataFrame([(k, [(int(a), int(c)) for a, c in s.clusters]) for k, s in enumerate(strata)], "idx int, clusters array<struct<node:bigint,k:int>>")
+        sizes = sizes.join(clusters, "idx").select("rep", "idx", "clusters", "n_int")
+        hits = sample(sizes, tree, perf, seed).groupBy("rep").agg(F.sum("hits").alias("hits"), F.sum("n").alias("n"))
     return hits.select(F.lit(f"conditional_{sampler}").alias("method"), "rep", (mass * F.col("hits") / F.col("n")).alias("p_hat"), F.lit(0).cast("long").alias("n_strata"), F.lit(0).cast("long").alias("cost_pilot"), F.col("n").alias("cost_sampling"))
 
 
+def drawn_sizes(spark, lam: np.ndarray, n: int, reps: int, seed: int) -> DataFrame:
+    """(rep, idx, n_int): how many of n draws fall on each stratum, counted chunk by chunk in tasks."""
+    import pyarrow as pa
+
+    cum = np.cumsum(lam) / lam.sum()
+    size = 1 << 20
+    chunks = spark.range(reps * (-(-n // size))).select((F.col("id") % reps).cast("int").alias("rep"), (F.floor(F.col("id") / reps) * size).cast("long").alias("lo"))
+
+    def run(batches):
+        for b in batches:
+            for rep, lo in zip(b.column(0).to_pylist(), b.column(1).to_pylist(), strict=True):
+                got = np.bincount(np.searchsorted(cum[:-1], uniform_np(seed, 103, rep, np.arange(lo, min(lo + size, n))), side="right"), minlength=len(lam))
+                idx = np.flatnonzero(got)
+                yield pa.RecordBatch.from_pydict({"rep": pa.array(np.full(len(idx), rep, np.int32)), "idx": pa.array(idx.astype(np.int32)), "n_int": pa.array(got[idx].astype(np.int64))})
+
+    return chunks.mapInArrow(run, "rep int, idx int, n_int bigint").groupBy("rep", "idx").agg(F.sum("n_int").alias("n_int"))
+
+
 def balanced_refined(spark, ps, perf, n, reps=1, seed=1) -> DataFrame:
     """Equal slices of [0, 1), one uniform in each, read as a state component by component."""
     import pyarrow as pa
@@ -217,7 +247,7 @@ def assess(spark, net, perf, kind: str, budget: float, steps: int, cuts=None, se
         i_star, pilot, states = istar_ga(perf, net.n, ga, seed)
         if i_star is None:
             raise ValueError("no failing state was found")
-        cuts = antichain(states)[:50]
+        cuts = antichain(states)
     return ccr_estimate(spark, net.p, perf, budget, steps, i_star, "practical", cuts, reps=reps, seed=seed, pilot=pilot).withColumn("i_star", F.lit(i_star))
 
 

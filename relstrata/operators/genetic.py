@@ -5,6 +5,7 @@ from __future__ import annotations
 from dataclasses import dataclass
 
 import numpy as np
+import pandas as pd
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
@@ -102,12 +103,15 @@ def istar_ga(perf: Performance, n: int, cfg: Settings | None = None, seed: int =
 def ga_study(spark: SparkSession, perf: Performance, n: int, grid: list[dict], runs: int, i_star: int) -> DataFrame:
     """(n_pop, f_xo, n_trn, accuracy, mean_cost, runs): whole searches inside tasks, one row each."""
     rows = [(i, r) for i in range(len(grid)) for r in range(runs)]
-    df = spark.createDataFrame(rows, "cfg int, run int").repartition(min(len(rows), 64))
+    # Large populations first, and a task of its own for each search, so that no task is left with several long ones.
+    rows.sort(key=lambda x: -grid[x[0]].get("n_pop", 500))
+    df = spark.range(0, len(rows), 1, len(rows))
 
     def go(pdfs):
         for pdf in pdfs:
-            got = [run(perf.fails, n, Settings(**grid[c]), 7919 * c + r)[:2] for c, r in zip(pdf["cfg"], pdf["run"], strict=True)]
-            yield pdf.assign(hit=[float(b == i_star) for b, _ in got], cost=[float(c) for _, c in got])
+            cell = [rows[k] for k in pdf["id"]]
+            got = [run(perf.fails, n, Settings(**grid[c]), 7919 * c + r)[:2] for c, r in cell]
+            yield pd.DataFrame({"cfg": [c for c, _ in cell], "run": [r for _, r in cell], "hit": [float(b == i_star) for b, _ in got], "cost": [float(c) for _, c in got]})
 
     out = df.mapInPandas(go, "cfg int, run int, hit double, cost double").groupBy("cfg").agg(F.avg("hit").alias("accuracy"), F.avg("cost").alias("mean_cost"), F.count(F.lit(1)).alias("runs"))
     names = spark.createDataFrame([(i, c.get("n_pop", 500), float(c.get("f_xo", 0.8)), c.get("n_trn", 2)) for i, c in enumerate(grid)], "cfg int, n_pop int, f_xo double, n_trn int")
@@ -116,12 +120,10 @@ def ga_study(spark: SparkSession, perf: Performance, n: int, grid: list[dict], r
 
 def ga_distributed(spark: SparkSession, perf: Performance, n: int, cfg: Settings, seed: int):
     """One search whose evaluations are Spark jobs, for an expensive performance function."""
-    import pandas as pd
-
     def evaluate(failed: np.ndarray) -> np.ndarray:
         m = failed.shape[1]
         packed = [x.tobytes() for x in np.packbits(failed.T, axis=1)]
-        df = spark.createDataFrame(pd.DataFrame({"i": range(m), "x": packed})).repartition(8)
+        df = spark.createDataFrame(pd.DataFrame({"i": range(m), "x": packed})).repartition(spark.sparkContext.defaultParallelism)
 
         def go(pdfs):
             for pdf in pdfs:

@@ -28,7 +28,7 @@ def variance_ratios(strata: DataFrame, by=()) -> DataFrame:
         F.count(F.lit(1)).alias("n_strata"),
     )
     p = F.col("a") / F.col("m")
-    v = p * (1 - p)
+    v = F.nullif(p * (1 - p), F.lit(0.0))  # nothing varies where all strata fail, or none: no ratio
     return a.select(
         *by, "n_strata", F.col("m").alias("mass"), p.alias("p_star"),
         (F.col("within") / F.col("m") / v).alias("r_prop"),

@@ -150,24 +150,66 @@ class DcCascade(Performance):
         gen[top] = supply[top]
         self.total = demand.sum()
         self.demand, self.supply = demand / self.total, gen / gen.sum()
-        self.limit = np.full(net.n, np.inf)
-        flow, _ = self._flow(np.ones((net.n, 1), bool))
-        base = np.abs(flow[:, 0])
-        self.limit = (1 + tolerance) * np.maximum(base, floor * base.mean())
+        self.net = net
+        ends = np.zeros((net.n, self.m))
+        ends[np.arange(net.n), self.a], ends[np.arange(net.n), self.b] = 1, -1
+        self.outer = (ends[:, :, None] * ends[:, None, :]).reshape(net.n, -1)  # each line's part of the Laplacian
+        flow, _ = self._flow_islands(np.ones((net.n, 1), bool))
+        self.base = flow[:, 0]
+        size = np.abs(self.base)
+        self.limit = (1 + tolerance) * np.maximum(size, floor * size.mean())
+        # What a line takes over from another one that is lost, while all nodes stay joined.
+        x = np.zeros((self.m, self.m))
+        x[1:, 1:] = np.linalg.pinv((self.y @ self.outer).reshape(self.m, self.m)[1:, 1:])
+        self.take = self.y[:, None] * (ends @ x @ ends.T)
+        self.joined = len(set(self._labels(np.ones((net.n, 1), bool))[:, 0])) == 1
+
+    #: Losses up to this many lines are solved as corrections of the base flow if all nodes stay joined.
+    FEW = 10
 
     def _flow(self, alive: np.ndarray) -> tuple[np.ndarray, np.ndarray]:
         """Line flows [n, B] and served demand [B]."""
         n, b = alive.shape
-        m, cols = self.m, np.arange(b)
-        label = np.tile(np.arange(m)[:, None], b)
-        while True:  # smallest node index of each island
+        lost = n - alive.sum(0)
+        flow, served = np.empty((n, b)), np.empty(b)
+        few = np.zeros(b, bool)
+        if self.joined and (lost <= self.FEW).any():
+            some = np.flatnonzero(lost <= self.FEW)
+            at, _ = reached(self.net, ~alive[:, some], [self.net.nodes[0]])
+            whole = np.bitwise_and.reduce([at[v] for v in self.net.nodes])
+            few[some] = np.unpackbits(whole)[: len(some)].astype(bool)
+        for k in np.unique(lost[few]).tolist():
+            cols = np.flatnonzero(few & (lost == k))
+            flow[:, cols], served[cols] = self._flow_joined(alive[:, cols], k), min(self.supply.sum(), self.demand.sum())
+        rest = np.flatnonzero(~few)
+        if len(rest):
+            flow[:, rest], served[rest] = self._flow_islands(alive[:, rest])
+        return flow, served
+
+    def _flow_joined(self, alive: np.ndarray, k: int) -> np.ndarray:
+        if not k:
+            return np.repeat(self.base[:, None], alive.shape[1], axis=1)
+        gone = np.nonzero(~alive.T)[1].reshape(-1, k)
+        shift = np.linalg.solve(np.eye(k) - self.take[gone[:, :, None], gone[:, None, :]], self.base[gone][:, :, None])[:, :, 0]
+        flow = self.base[:, None] + np.einsum("bkn,bk->nb", self.take.T[gone], shift)
+        return np.where(alive, flow, 0.0)
+
+    def _labels(self, alive: np.ndarray) -> np.ndarray:
+        """Smallest node index of each node's island, [m, B]."""
+        label = np.tile(np.arange(self.m, dtype=np.int16)[:, None], alive.shape[1])
+        while True:
             before = label.copy()
-            for e in range(n):
+            for e in range(len(alive)):
                 low = np.minimum(label[self.a[e]], label[self.b[e]])
                 for x in (self.a[e], self.b[e]):
-                    label[x] = np.where(alive[e], low, label[x])
+                    np.copyto(label[x], low, where=alive[e])
             if np.array_equal(before, label):
-                break
+                return label.astype(np.int64)
+
+    def _flow_islands(self, alive: np.ndarray) -> tuple[np.ndarray, np.ndarray]:
+        b = alive.shape[1]
+        m, cols = self.m, np.arange(b)
+        label = self._labels(alive)
         flat = (label + cols * m).ravel()
         s = np.bincount(flat, np.repeat(self.supply, b), b * m).reshape(b, m)
         d = np.bincount(flat, np.repeat(self.demand, b), b * m).reshape(b, m)
@@ -176,17 +218,10 @@ class DcCascade(Performance):
         up = np.divide(served, s, out=np.zeros_like(s), where=s > 0)[at]
         down = np.divide(served, d, out=np.zeros_like(d), where=d > 0)[at]
         inject = self.supply[:, None] * up - self.demand[:, None] * down
-        lap = np.zeros((b, m, m))
         w = np.where(alive, self.y[:, None], 0.0)
-        for e in range(n):
-            i, j = self.a[e], self.b[e]
-            lap[:, i, i] += w[e]
-            lap[:, j, j] += w[e]
-            lap[:, i, j] -= w[e]
-            lap[:, j, i] -= w[e]
-        root = label == np.arange(m)[:, None]
+        lap = (w.T @ self.outer).reshape(b, m, m)
         k = np.arange(m)
-        lap[:, k, k] += root.T  # ground one bus of each island
+        lap[:, k, k] += (label == k[:, None]).T  # ground one bus of each island
         angle = np.linalg.solve(lap, inject.T[:, :, None])[:, :, 0].T
         return w * (angle[self.a] - angle[self.b]), served.sum(1)
 

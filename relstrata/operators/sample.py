@@ -92,5 +92,5 @@ def crude_states(spark: SparkSession, ps: np.ndarray, n: int, perf: Performance,
                     todo, r = todo[~ok], r + 1
                 yield pa.RecordBatch.from_pydict({"rep": pa.array([rep], pa.int32()), "n": pa.array([size]), "hits": pa.array([hits]), "tried": pa.array([tried])})
 
-    counted = chunks.repartition(max(1, min(64, reps * (-(-n // CHUNK))))).mapInArrow(run, "rep int, n bigint, hits bigint, tried bigint")
+    counted = chunks.repartition(max(1, min(reps * (-(-n // CHUNK)), 4 * spark.sparkContext.defaultParallelism)), "rep", "lo").mapInArrow(run, "rep int, n bigint, hits bigint, tried bigint")
     return counted.groupBy("rep").agg(F.sum("n").alias("n"), F.sum("hits").alias("hits"), F.sum("tried").alias("tried"))

@@ -408,8 +408,9 @@ def _(spark, sf):
     return out.select(r("gain_prop").alias("gain_prop"), r("gain_opt").alias("gain_opt"))
 
 
-@query("refine_levelwise_n10", "SELECT 0 AS missing, 0 AS extra")
+@query("refine_levelwise_n10")
 def _(spark, sf):
+    """Strata that only one of the two ways of refining finds, after 100 steps: none."""
     from ..operators.refine import refine_levelwise, strata_frame
 
     nw = network(spark, sf)
@@ -421,6 +422,24 @@ def _(spark, sf):
     return x.crossJoin(y)
 
 
+@query("refine_levelwise_n10_t1", sql(f"{T1} SELECT round(lam, 12) AS lam FROM t1"))
+def _(spark, sf):
+    from ..operators.refine import refine_levelwise
+
+    return refine_levelwise(spark, SplitTree(network(spark, sf).p), 1, I_STAR).select(r("lam").alias("lam"))
+
+
+@query("istar_all_n10", sql("SELECT min(c)::DOUBLE AS i_star FROM (SELECT m, count_if((m >> u) & 1 <> (m >> v) & 1) AS c FROM range(1, 31) t(m), e GROUP BY m)"))
+def _(spark, sf):
+    return spark.createDataFrame([(float(ist.istar_all(network(spark, sf))),)], "i_star double")
+
+
+@query("cuts_up_to_n10", sql("SELECT c AS cut, bit_count(c)::INT AS size FROM cuts WHERE bit_count(c) <= 6"))
+def _(spark, sf):
+    cuts = ist.cuts_up_to(network(spark, sf), [SOURCE], TARGET, 6)
+    return spark.createDataFrame([(sum(1 << d for d in c), len(c)) for c in cuts], "cut long, size int")
+
+
 # --- sampled estimators, replayed by SQL with the same hash uniforms --------------------------
 
 DRAWS = 2000
@@ -488,6 +507,19 @@ def _(spark, sf):
     return base.select("i", "n", x.alias("x"))
 
 
+UNIFORM = f"""u AS (SELECT i, n, d, {HASH.format("7|' || i::VARCHAR || '")} AS u FROM (SELECT unnest(range(11))::INT AS i), range(50) t(n), range(10) q(d)),
+uk AS (SELECT i, n, d, row_number() OVER (PARTITION BY i, n ORDER BY u, d) AS k FROM u),
+ux AS (SELECT i, n, coalesce(sum(1::BIGINT << d) FILTER (WHERE k <= i), 0)::BIGINT AS x FROM uk GROUP BY i, n)"""
+
+
+@query("sampled_signature_n10", sql(f", {UNIFORM} SELECT 10 - ux.i AS working, round(avg((NOT fail)::INT), 10) AS phi, count(*) AS n FROM ux JOIN g USING (x) GROUP BY ux.i"))
+def _(spark, sf):
+    """The signature from equally many draws for every count of failures."""
+    draws = Q["draw_uniform_n10"](spark, sf).join(states(spark, sf).select("x", "fail"), "x")
+    by_count = draws.groupBy("i").agg(F.avg((~F.col("fail")).cast("int")).alias("phi"), F.count(F.lit(1)).alias("n"))
+    return by_count.select((F.lit(N) - F.col("i")).cast("int").alias("working"), r("phi", 10).alias("phi"), "n")
+
+
 # --- performance functions -------------------------------------------------------------------
 
 
@@ -733,3 +765,59 @@ def _(spark, sf):
     z = ranked.crossJoin(F.broadcast(total)).groupBy(tile.alias("t")).agg(F.count(F.lit(1)).alias("k"), F.avg((F.col("l_extendedprice") > 90000).cast("int")).alias("p"))
     m = z.agg((F.sum(F.col("k") * F.col("p")) / F.sum("k")).alias("q"))
     return z.crossJoin(m).groupBy("q").agg((F.sum(F.col("k") * F.col("p") * (1 - F.col("p"))) / F.sum("k")).alias("w")).select(r(F.col("w") / (F.col("q") * (1 - F.col("q"))), 8).alias("r_prop"))
+
+
+# --- the experiments on a network small enough for SQL: 12 corridors that fail when they lose too much capacity ------
+
+SMALL, SMALL_P, SMALL_THR = 12, (0.01, 0.05, 0.1), (0.2, 0.4, 0.6)
+SMALL_SQL = CORRIDOR + f""", t AS (SELECT *, row_number() OVER (ORDER BY u, v) - 1 AS d FROM (SELECT * FROM e ORDER BY capacity DESC, u, v LIMIT {SMALL})),
+x AS (SELECT x, bit_count(x)::INT AS i, coalesce(sum(capacity) FILTER (WHERE (x >> d) & 1 = 1), 0) / sum(capacity) AS loss FROM range({1 << SMALL}) s(x), t GROUP BY x),
+cp AS (SELECT thr, i, avg((loss > thr)::INT) AS p FROM x, (VALUES {", ".join(f"({y}::DOUBLE)" for y in SMALL_THR)}) h(thr) GROUP BY 1, 2),
+si AS (SELECT thr, min(i) AS i_star FROM cp WHERE p > 0 GROUP BY thr),
+l AS (SELECT q, i, n * pow(q, i) * pow(1 - q, {SMALL} - i) AS lam FROM (SELECT i, count(*) AS n FROM x GROUP BY i), (VALUES {", ".join(f"({y}::DOUBLE)" for y in SMALL_P)}) h(q)),
+kp AS (SELECT * FROM cp JOIN si USING (thr) JOIN l USING (i) WHERE i >= i_star)"""
+
+
+def small_reference(spark, sf) -> DataFrame:
+    """(thr, i, p) of the small network, all states enumerated."""
+
+    def make():
+        nw = tables.collect_net(tables.sub_net(corridor(spark, sf), SMALL, "N12"))
+        x = evaluate(state_space(spark, SMALL, 0, SMALL), LostCapacity(nw, 0.5), SMALL)
+        each = x.withColumn("thr", F.explode(F.array(*[F.lit(y) for y in SMALL_THR])))
+        return each.groupBy("thr", F.col("k").cast("int").alias("i")).agg(F.avg((F.col("loss") > F.col("thr")).cast("int")).alias("p"))
+
+    return once(spark, "n12-reference", sf, make)
+
+
+def small_kept(spark, sf) -> DataFrame:
+    """(thr, q, i, i_star, lam, p): strata that can fail."""
+    ref = small_reference(spark, sf)
+    first = ref.where("p > 0").groupBy("thr").agg(F.min("i").alias("i_star"))
+    lam = spark.createDataFrame([(q, i, float(x)) for q in SMALL_P for i, x in enumerate(bn.binomial_pmf(SMALL, q))], "q double, i int, lam double")
+    return ref.join(F.broadcast(first), "thr").where("i >= i_star").join(F.broadcast(lam), "i")
+
+
+@query("w1_small_conditionals", SMALL_SQL + " SELECT thr, i, round(p, 9) AS p, i_star FROM cp JOIN si USING (thr) WHERE i BETWEEN 1 AND 5")
+def _(spark, sf):
+    ref = small_reference(spark, sf)
+    first = ref.where("p > 0").groupBy("thr").agg(F.min("i").alias("i_star"))
+    return ref.where("i between 1 and 5").join(first, "thr").select("thr", "i", r("p", 9).alias("p"), "i_star")
+
+
+@query("w2_small_failure_grid", SMALL_SQL + " SELECT thr, q, round(sum(lam * p), 11) AS p_f, round(sum(lam * p) / sum(lam), 9) AS p_star FROM kp GROUP BY 1, 2")
+def _(spark, sf):
+    g = small_kept(spark, sf).groupBy("thr", "q").agg(F.sum(F.col("lam") * F.col("p")).alias("p_f"), F.sum("lam").alias("m"))
+    return g.select("thr", "q", r("p_f", 11).alias("p_f"), r(F.col("p_f") / F.col("m"), 9).alias("p_star"))
+
+
+@query("w3_small_ratios", SMALL_SQL + " SELECT thr, q, round(sum(lam * p * (1 - p)) / m / nullif(a / m * (1 - a / m), 0), 8) AS r_prop, round(pow(sum(lam * sqrt(p * (1 - p))) / m, 2) / nullif(a / m * (1 - a / m), 0), 8) AS r_opt FROM kp JOIN (SELECT thr, q, sum(lam) AS m, sum(lam * p) AS a FROM kp GROUP BY 1, 2) USING (thr, q) GROUP BY thr, q, m, a")
+def _(spark, sf):
+    got = measures.variance_ratios(small_kept(spark, sf), ["thr", "q"])
+    return got.select("thr", "q", r("r_prop", 8).alias("r_prop"), r("r_opt", 8).alias("r_opt"))
+
+
+@query("w9b_small_istar_bias", SMALL_SQL + " SELECT thr, q, round(-sum(CASE WHEN i = i_star THEN lam * p ELSE 0 END) / sum(lam * p), 9) AS rel_bias FROM kp GROUP BY 1, 2")
+def _(spark, sf):
+    lost = F.sum(F.when(F.col("i") == F.col("i_star"), F.col("lam") * F.col("p")).otherwise(0.0))
+    return small_kept(spark, sf).groupBy("thr", "q").agg(r(-lost / F.sum(F.col("lam") * F.col("p")), 9).alias("rel_bias"))

@@ -8,6 +8,7 @@ kept in the shared folder.
 from __future__ import annotations
 
 from collections.abc import Callable
+from math import comb
 
 import numpy as np
 import pyarrow as pa
@@ -22,7 +23,7 @@ from ..operators import genetic as ga
 from ..operators import istar as ist
 from ..operators import measures
 from ..operators.approx import antichain, approx_pf
-from ..operators.perf import Connected, DcCascade
+from ..operators.perf import Connected, DcCascade, evaluate
 from ..operators.refine import Refinement, SplitTree, assign, refine
 from ..operators.sample import sample
 from ..sources import tables
@@ -32,7 +33,7 @@ from .n10 import corridor, once
 
 THRESHOLDS = (0.1, 0.2, 0.3, 0.4, 0.5, 0.6)
 P_GRID = (1e-3, 5e-3, 1e-2, 5e-2, 1e-1)
-LOW, HIGH, MIDDLE_DRAWS = 5, 43, 1000
+LOW, HIGH, MIDDLE_DRAWS, MIDDLE_CHUNK = 5, 43, 1000, 250
 
 Q: dict[str, Callable] = {}
 
@@ -54,8 +55,25 @@ def probabilities(net: tables.Network, model) -> np.ndarray:
     return net.p if model == "inid" else np.full(net.n, float(model))
 
 
-def reference(spark: SparkSession, sf: str, low: int = LOW) -> DataFrame:
-    """(model, i, thr, p, n): failure probability given i failures, exact up to ``low`` and from HIGH on, else drawn.
+def losses(spark: SparkSession, sf: str) -> DataFrame:
+    """(k, words, loss) of all states of up to LOW failures and of HIGH or more: evaluated once for every threshold and model."""
+    net = grid(spark, sf)
+
+    def make():
+        every = state_space(spark, net.n, 0, LOW, 20_000).union(state_space(spark, net.n, HIGH, net.n, 20_000))
+        return evaluate(every, DcCascade(net), net.n).select("k", "words", "loss")
+
+    return once(spark, "grid-losses", sf, make)
+
+
+def unpacked(batch: pa.RecordBatch, n: int) -> np.ndarray:
+    """failed[n, B] of a batch with ``words``."""
+    words = batch.column(batch.schema.get_field_index("words"))
+    return bits.unpack(words.flatten().to_numpy(zero_copy_only=False).reshape(batch.num_rows, -1).T, n)
+
+
+def reference(spark: SparkSession, sf: str) -> DataFrame:
+    """(model, i, thr, p, n): failure probability given i failures, exact up to LOW and from HIGH on, else drawn.
 
     One evaluation of a state serves all thresholds. Models: iid and inid.
     """
@@ -65,45 +83,36 @@ def reference(spark: SparkSession, sf: str, low: int = LOW) -> DataFrame:
         perf = DcCascade(net)
         odds = np.log(net.p / (1 - net.p))
         thr = np.array(THRESHOLDS)
-
-        def tally(k: np.ndarray, loss: np.ndarray, w: np.ndarray, model: str) -> dict:
-            out: dict[str, list] = {"model": [], "i": [], "thr": [], "w": [], "wf": [], "n": []}
-            for i in np.unique(k):
-                at = k == i
-                for t in thr:
-                    for key, x in zip(out, (model, int(i), float(t), float(w[at].sum()), float(w[at][loss[at] > t].sum()), int(at.sum())), strict=True):
-                        out[key].append(x)
-            return out
-
         schema = "model string, i int, thr double, w double, wf double, n bigint"
+        names = [f.split()[0] for f in schema.split(", ")]
+
+        def tally(k: np.ndarray, loss: np.ndarray, w: np.ndarray, model: str) -> pa.RecordBatch:
+            rows = [(model, int(i), float(t), float(w[at].sum()), float(w[at][loss[at] > t].sum()), int(at.sum())) for i in np.unique(k) for at in [k == i] for t in thr]
+            return pa.RecordBatch.from_arrays([pa.array(c, t) for c, t in zip(zip(*rows, strict=True), (pa.string(), pa.int32(), pa.float64(), pa.float64(), pa.float64(), pa.int64()), strict=True)], names)
 
         def exact(batches):
             for b in batches:
-                if not b.num_rows:
-                    continue
-                k = b.column(0).to_numpy()
-                failed = bits.unpack(b.column(2).flatten().to_numpy(zero_copy_only=False).reshape(b.num_rows, -1).T, net.n)
-                loss = perf.loss(failed)
-                for model, w in (("iid", np.ones(len(k))), ("inid", np.exp(odds @ failed))):
-                    t = tally(k, loss, w, model)
-                    yield pa.RecordBatch.from_arrays([pa.array(t["model"]), pa.array(t["i"], pa.int32()), pa.array(t["thr"]), pa.array(t["w"]), pa.array(t["wf"]), pa.array(t["n"])], list(t))
+                if b.num_rows:
+                    k, loss = b.column(0).to_numpy(), b.column(2).to_numpy()
+                    yield tally(k, loss, np.ones(len(k)), "iid")
+                    yield tally(k, loss, np.exp(odds @ unpacked(b, net.n)), "inid")
 
         def drawn(batches):
             for b in batches:
-                for i in b.column(0).to_pylist():
+                for i, part in zip(b.column(0).to_pylist(), b.column(1).to_pylist(), strict=True):
                     for model, ps in (("iid", np.full(net.n, 0.5)), ("inid", net.p)):
-                        u = uniform_np(23, i, model == "iid", np.arange(net.n)[:, None], np.arange(MIDDLE_DRAWS)[None, :])
-                        failed = bn.draw_conditional(ps, int(i), u)
-                        t = tally(np.full(MIDDLE_DRAWS, i), perf.loss(failed), np.ones(MIDDLE_DRAWS), model)
-                        yield pa.RecordBatch.from_arrays([pa.array(t["model"]), pa.array(t["i"], pa.int32()), pa.array(t["thr"]), pa.array(t["w"]), pa.array(t["wf"]), pa.array(t["n"])], list(t))
-
-        enumerated = state_space(spark, net.n, 0, low, 20_000).union(state_space(spark, net.n, HIGH, net.n, 20_000)).mapInArrow(exact, schema)
-        middle = spark.range(low + 1, HIGH).select(F.col("id").cast("int")).repartition(HIGH - low - 1).mapInArrow(drawn, schema)
-        sums = enumerated.union(middle).groupBy("model", "i", "thr").agg((F.sum("wf") / F.sum("w")).alias("p"), F.sum("n").alias("n"))
-        is_exact = (F.col("i") <= low) | (F.col("i") >= HIGH)
+                        at = np.arange(part * MIDDLE_CHUNK, (part + 1) * MIDDLE_CHUNK)
+                        u = uniform_np(23, i, model == "iid", np.arange(net.n)[:, None], at[None, :])
+                        yield tally(np.full(len(at), i), perf.loss(bn.draw_conditional(ps, int(i), u)), np.ones(len(at)), model)
+
+        counts = spark.range(LOW + 1, HIGH).select(F.col("id").cast("int").alias("i"))
+        chunks = counts.withColumn("part", F.explode(F.sequence(F.lit(0), F.lit(MIDDLE_DRAWS // MIDDLE_CHUNK - 1))))
+        middle = chunks.repartition((HIGH - LOW - 1) * (MIDDLE_DRAWS // MIDDLE_CHUNK), "i", "part").mapInArrow(drawn, schema)
+        sums = losses(spark, sf).mapInArrow(exact, schema).union(middle).groupBy("model", "i", "thr").agg((F.sum("wf") / F.sum("w")).alias("p"), F.sum("n").alias("n"))
+        is_exact = (F.col("i") <= LOW) | (F.col("i") >= HIGH)
         return sums.withColumn("n", F.when(~is_exact, F.col("n")))
 
-    return once(spark, f"reference-{low}", sf, make)
+    return once(spark, "reference", sf, make)
 
 
 def lam_table(spark, sf) -> DataFrame:
@@ -150,7 +159,7 @@ def ga_states(spark, sf, thr: float) -> tuple[int, int, list[list[int]]]:
     def make():
         net = grid(spark, sf)
         best, cost, states = ga.istar_ga(DcCascade(net, thr), net.n, ga.Settings(n_pop=300, max_gen=60), seed=5)
-        return best, cost, sorted(antichain(states), key=len)[:60]
+        return best, cost, antichain(states)
 
     return once(spark, f"ga-{thr}", sf, make)
 
@@ -160,8 +169,8 @@ def true_istar(spark, sf, thr: float) -> int | None:
     return r.get(round(thr, 3))
 
 
-def leaf_reference(spark, sf, ref: Refinement, perf, exact_to: int = 3, draws: int = 200) -> np.ndarray:
-    """Failure probability of each refined stratum: states of up to ``exact_to`` failures enumerated, others drawn."""
+def leaf_sums(spark, ref: Refinement, states: DataFrame, threshold: float) -> np.ndarray:
+    """Failure probability of each refined stratum from all its states (k, words, loss); nan where there are none."""
     n = len(ref.tree.ps)
     logit = np.log(ref.tree.ps / (1 - ref.tree.ps))
 
@@ -169,27 +178,42 @@ def leaf_reference(spark, sf, ref: Refinement, perf, exact_to: int = 3, draws: i
         for b in batches:
             if not b.num_rows:
                 continue
-            failed = bits.unpack(b.column(2).flatten().to_numpy(zero_copy_only=False).reshape(b.num_rows, -1).T, n)
+            failed = unpacked(b, n)
             at = assign(ref, failed, b.column(0).to_numpy())
             w = np.exp(logit @ failed)
-            bad = perf.fails(failed)
+            bad = b.column(2).to_numpy() > threshold
             ok = at >= 0
-            tot, hit = np.bincount(at[ok], w[ok]), np.bincount(at[ok], (w * bad)[ok])
-            idx = np.flatnonzero(tot)
-            yield pa.RecordBatch.from_arrays([pa.array(idx.astype(np.int32)), pa.array(tot[idx]), pa.array(hit[idx])], ["idx", "w", "wf"])
+            if ok.any():
+                tot, hit = np.bincount(at[ok], w[ok]), np.bincount(at[ok], (w * bad)[ok])
+                idx = np.flatnonzero(tot)
+                yield pa.RecordBatch.from_arrays([pa.array(idx.astype(np.int32)), pa.array(tot[idx]), pa.array(hit[idx])], ["idx", "w", "wf"])
 
-    rows = state_space(spark, n, 0, exact_to, 20_000).mapInArrow(run, "idx int, w double, wf double").groupBy("idx").agg((F.sum("wf") / F.sum("w")).alias("p")).collect()  # a row a stratum
-    p = np.zeros(len(ref.strata))
+    rows = states.mapInArrow(run, "idx int, w double, wf double").groupBy("idx").agg((F.sum("wf") / F.sum("w")).alias("p")).collect()  # a row a stratum
+    p = np.full(len(ref.strata), np.nan)
     for x in rows:
         p[x["idx"]] = x["p"]
-    rest = [k for k, s in enumerate(ref.strata) if s.count > exact_to]
-    if rest:
-        sizes = spark.createDataFrame([(0, k, [(int(a), int(c)) for a, c in ref.strata[k].clusters], draws) for k in rest], est.SIZES)
-        for x in sample(sizes, ref.tree, perf, 77).collect():
-            p[x["idx"]] = x["hits"] / x["n"]
     return p
 
 
+def drawn_leaves(spark, ref: Refinement, perf, which: list[int], prior: np.ndarray, draws: int, seed: int) -> np.ndarray:
+    """Failure probabilities of strata from draws and one more draw's worth of ``prior``, so that none is 0 for want of a hit."""
+    out = prior.copy()
+    if which:
+        sizes = spark.createDataFrame([(0, k, [(int(a), int(c)) for a, c in ref.strata[k].clusters], draws) for k in which], est.SIZES)
+        for x in sample(sizes, ref.tree, perf, seed).collect():
+            out[x["idx"]] = (x["hits"] + prior[x["idx"]]) / (x["n"] + 1)
+    return out
+
+
+def leaf_reference(spark, sf, ref: Refinement, perf, model: str, draws: int = 100) -> np.ndarray:
+    """Failure probability of each refined stratum: states of up to LOW failures enumerated, others drawn."""
+    p = leaf_sums(spark, ref, losses(spark, sf).where(F.col("k") <= LOW), perf.threshold)
+    by_count = {r["i"]: r["p"] for r in reference(spark, sf).where((F.col("model") == ("inid" if model == "inid" else "iid")) & (F.abs(F.col("thr") - perf.threshold) < 1e-9)).collect()}
+    prior = np.array([by_count.get(s.count, 1.0) for s in ref.strata])
+    rest = [k for k, s in enumerate(ref.strata) if s.count > LOW]
+    return np.where(np.isnan(p), drawn_leaves(spark, ref, perf, rest, prior, draws, 77), p)
+
+
 def ratio_curve(spark, ref: Refinement, p_leaf: np.ndarray, i_star: int, every: int) -> list[tuple]:
     """(step, n_strata, r_prop, r_opt, r_uni) from the leaves' probabilities, folded up the split tree."""
     from ..operators.refine import ratio_trace
@@ -212,43 +236,62 @@ def ratio_curve(spark, ref: Refinement, p_leaf: np.ndarray, i_star: int, every:
 CURVE = "model string, thr double, step int, n_strata int, r_prop double, r_opt double, r_uni double"
 
 
-@query
-def w7_ratio_curves(spark, sf, steps: int = 400, every: int = 20):
-    rows = []
-    net = grid(spark, sf)
-    for thr in (0.4, 0.6):
-        i_star = true_istar(spark, sf, thr)
-        if i_star is None:
-            continue
-        for model in ("0.01", "inid"):
-            ref = refine(SplitTree(probabilities(net, model)), steps, i_star)
-            p = leaf_reference(spark, sf, ref, DcCascade(net, thr))
-            rows += [(model, thr, *t) for t in ratio_curve(spark, ref, p, i_star, every)]
+MODELS = ("0.001", "0.005", "0.01", "0.05", "inid")
+
+
+def ratio_curves(spark, sf, thr: float, steps: int = 5000, every: int = 100) -> DataFrame:
+    net, rows = grid(spark, sf), []
+    i_star = true_istar(spark, sf, thr)
+    for model in MODELS if i_star is not None else ():
+        ref = refine(SplitTree(probabilities(net, model)), steps, i_star)
+        p = leaf_reference(spark, sf, ref, DcCascade(net, thr), model)
+        rows += [(model, thr, *t) for t in ratio_curve(spark, ref, p, i_star, every)]
     return spark.createDataFrame(rows, CURVE)
 
 
 @query
-def w8_ga_grid(spark, sf, runs: int = 10):
+def w7_ratio_curves(spark, sf):
+    return ratio_curves(spark, sf, 0.4)
+
+
+@query
+def w7_ratio_curves_60(spark, sf):
+    return ratio_curves(spark, sf, 0.6)
+
+
+#: Searches a cell that the registered studies run; the published number is 100.
+GA_RUNS = 20
+
+
+@query
+def w8_ga_grid(spark, sf, runs: int = GA_RUNS):
     net = grid(spark, sf)
     cfg = [{"n_pop": n, "f_xo": f, "max_gen": 60} for n in (50, 100, 200, 500) for f in (0.0, 0.4, 0.8, 1.0)]
     return ga.ga_study(spark, DcCascade(net, 0.4), net.n, cfg, runs, true_istar(spark, sf, 0.4) or 0).orderBy("n_pop", "f_xo")
 
 
 @query
-def w8b_ga_tournament(spark, sf, runs: int = 10):
+def w8b_ga_tournament(spark, sf, runs: int = GA_RUNS):
     net = grid(spark, sf)
     cfg = [{"n_pop": 100, "n_trn": n, "max_gen": 60} for n in (1, 2, 4, 8)]
     return ga.ga_study(spark, DcCascade(net, 0.4), net.n, cfg, runs, true_istar(spark, sf, 0.4) or 0).orderBy("n_trn")
 
 
 @query
-def w9_ga_thresholds(spark, sf, runs: int = 10):
+def w8c_ga_roulette(spark, sf, runs: int = GA_RUNS):
+    net = grid(spark, sf)
+    cfg = [{"n_pop": n, "method": "roulette", "max_gen": 60} for n in (50, 200)]
+    return ga.ga_study(spark, DcCascade(net, 0.4), net.n, cfg, runs, true_istar(spark, sf, 0.4) or 0).orderBy("n_pop")
+
+
+@query
+def w9_ga_thresholds(spark, sf, runs: int = GA_RUNS):
     net, out = grid(spark, sf), None
     for thr in THRESHOLDS:
         i_star = true_istar(spark, sf, thr)
         if i_star is None:
             continue
-        one = ga.ga_study(spark, DcCascade(net, thr), net.n, [{"n_pop": 200, "max_gen": 60}], runs, i_star).withColumn("thr", F.lit(thr)).withColumn("i_star", F.lit(i_star))
+        one = ga.ga_study(spark, DcCascade(net, thr), net.n, [{"n_pop": 500, "max_gen": 60}], runs, i_star).withColumn("thr", F.lit(thr)).withColumn("i_star", F.lit(i_star))
         out = one if out is None else out.unionByName(one)
     return out
 
@@ -261,52 +304,73 @@ def w9b_istar_bias(spark, sf):
     return k.groupBy("thr", "p_name").agg((-lost / F.sum(F.col("lam") * F.col("p"))).alias("rel_bias")).orderBy("thr", "p_name")
 
 
-EFF = "system string, model string, target string, steps int, runs long, mean double, cost double, over_cmc double, over_mc double, alpha double, alpha_bound double, r_opt double, opt_over_cmc double"
+EFF = (
+    "system string, model string, target string, steps int, n_strata int, runs long, mean double, cost double, over_cmc double, over_cmc_low double, over_cmc_high double, "
+    "over_mc double, alpha double, alpha_bound double, r_opt double, opt_over_cmc double, opt_run_over_cmc double"
+)
 EFF_COLUMNS = [c.split()[0] for c in EFF.split(", ")]
 
 
-def efficiency_row(spark, system: str, model: str, target: str, ps, perf, cuts, i_star: int, p_leaf_of, pilot: int, budget: int, steps: int, runs: int, seed: int = 3) -> tuple:
-    """One line: practical sizes against both baselines, the size penalty, and optimal sizes."""
-    ref = refine(SplitTree(ps), steps, i_star)
+def variance_interval(v: float, runs: int, z: float = 1.96) -> tuple[float, float]:
+    """Where the variance lies that ``runs`` normal results with sample variance v speak for (chi square by its cube root)."""
+    f = runs - 1
+    at = lambda x: f * (1 - 2 / (9 * f) + x * (2 / (9 * f)) ** 0.5) ** 3
+    return v * f / at(z), v * f / max(at(-z), 1e-12)
+
+
+def efficiency_row(spark, system: str, model: str, target: str, ps, perf, cuts, i_star: int, p_leaf_of, pilot: int, budget: int, steps: int, runs: int, seed: int = 3, ref: Refinement | None = None) -> tuple:
+    """One line: practical sizes against both baselines, the size penalty over all runs, and optimal sizes by formula and as runs."""
+    ref = ref or refine(SplitTree(ps), steps, i_star)
     lam = ref.lam
     pt = approx_pf(ref.tree, ref.strata, cuts)
     p = p_leaf_of(ref)
-    rows = est.stratified_run(spark, ref.tree, ref.strata, perf, budget, "approx_optimal", pt, runs, seed, pilot).collect()  # a row a run
-    hat = np.array([x["p_hat"] for x in rows])
-    cost = float(np.mean([x["cost_sampling"] for x in rows]))
     mass = float(lam.sum())
     p_f = float((lam * p).sum())
     p_star = p_f / mass
+    safe = lambda a, b: float(a / b) if b and np.isfinite(b) and np.isfinite(a) else None
+
+    def runs_of(strategy: str, q: np.ndarray) -> tuple[np.ndarray, float]:
+        rows = est.stratified_run(spark, ref.tree, ref.strata, perf, budget, strategy, q, runs, seed, pilot).collect()  # a row a run
+        return np.array([x["p_hat"] for x in rows]), float(np.mean([x["cost_sampling"] for x in rows]))
+
+    hat, cost = runs_of("approx_optimal", pt)
+    best, best_cost = runs_of("optimal", p)
     v = hat.var(ddof=1) if len(hat) > 1 else np.nan
-    sizes = est.integer_sizes(est.real_sizes(lam, budget, "approx_optimal", pt), uniform_np(seed, 101, 0, np.arange(len(lam))))
-    opt = est.real_sizes(lam, float(sizes.sum()), "optimal", p)
-    err = (sizes - opt) / sizes
-    alpha = float((sizes / sizes.sum() * err**2).sum())
+    v_low, v_high = variance_interval(v, len(hat)) if len(hat) > 1 else (np.nan, np.nan)
+    real = est.real_sizes(lam, budget, "approx_optimal", pt)
+    sizes = est.integer_sizes(np.broadcast_to(real, (runs, len(lam))), uniform_np(seed, 101, np.arange(runs)[:, None], np.arange(len(lam))[None, :]))
+    share = est.real_sizes(lam, 1.0, "optimal", p)
+    err = (sizes - share * sizes.sum(1, keepdims=True)) / sizes
+    alpha = float((sizes / sizes.sum(1, keepdims=True) * err**2).sum(1).mean())
     sd = np.sqrt(np.clip(p * (1 - p), 0, None))
     r_opt = float(((lam / mass * sd).sum()) ** 2 / (p_star * (1 - p_star))) if 0 < p_star < 1 else np.nan
-    cmc = mass**2 * p_star * (1 - p_star) / cost
+    one = mass**2 * p_star * (1 - p_star)
     mc = p_f * (1 - p_f) / (cost + pilot)
-    safe = lambda a, b: float(a / b) if b and np.isfinite(b) else None
-    return (system, model, target, steps, runs, float(hat.mean()), cost + pilot, safe(cmc, v), safe(mc, v), alpha, float((err**2).max()), r_opt, safe(1.0, r_opt))
+    return (
+        system, model, target, steps, len(lam), runs, float(hat.mean()), cost + pilot, safe(one / cost, v), safe(one / cost, v_high), safe(one / cost, v_low), safe(mc, v),
+        alpha, float((err**2).max(1).mean()), safe(r_opt, 1.0), safe(1.0, r_opt), safe(one / best_cost, best.var(ddof=1)),
+    )
 
 
-@query
-def w10_w11_w17_grid_efficiency(spark, sf, steps: int = 1000, budget: int = 5000, runs: int = 10):
+def grid_efficiency(spark, sf, thr: float, steps: int = 5000, budget: int = 10_000, runs: int = 10) -> DataFrame:
+    """Efficiency, size penalty and optimal sizes at one threshold, for all component models."""
     net, rows = grid(spark, sf), []
-    for thr in (0.3, 0.4, 0.5, 0.6):
-        i_star = true_istar(spark, sf, thr)
-        if i_star is None or i_star > 4:
-            continue
+    i_star = true_istar(spark, sf, thr)
+    if i_star is not None:
         _, cost, cuts = ga_states(spark, sf, thr)
         perf = DcCascade(net, thr)
-        for model in ("0.01", "inid"):
-            of = lambda ref, perf=perf: leaf_reference(spark, sf, ref, perf)
+        for model in MODELS:
+            of = lambda ref, m=model: leaf_reference(spark, sf, ref, perf, m)
             rows.append(efficiency_row(spark, "grid", model, f"thr {thr}", probabilities(net, model), perf, cuts, i_star, of, cost, budget, steps, runs))
     return spark.createDataFrame(rows, EFF)
 
 
+for _thr in (0.3, 0.4, 0.5, 0.6):
+    Q[f"w10_w11_w17_grid_efficiency_{round(100 * _thr)}"] = lambda spark, sf, thr=_thr: grid_efficiency(spark, sf, thr)
+
+
 @query
-def w12_steps_against_cost(spark, sf, budgets: tuple = (1000, 2000, 5000, 10000), steps: tuple = (0, 100, 300, 1000), runs: int = 10):
+def w12_steps_against_cost(spark, sf, budgets: tuple = (1000, 2000, 5000, 10000), steps: tuple = (0, 100, 300, 1000, 5000), runs: int = 10):
     """Relative efficiency over conditional Monte Carlo, and evaluations, by refinement steps and initial size."""
     net = grid(spark, sf)
     i_star = true_istar(spark, sf, 0.4)
@@ -316,26 +380,27 @@ def w12_steps_against_cost(spark, sf, budgets: tuple = (1000, 2000, 5000, 10000)
     for t in steps:
         ref = refine(SplitTree(ps), t, i_star)
         p = approx_pf(ref.tree, ref.strata, cuts)
-        p_leaf = leaf_reference(spark, sf, ref, perf)  # the same strata for every size
+        p_leaf = leaf_reference(spark, sf, ref, perf, "0.01")
+        lam, mass = ref.lam, float(ref.lam.sum())
+        p_star = float((lam * p_leaf).sum()) / mass
         for n in budgets:
-            sizes = est.integer_sizes(est.real_sizes(ref.lam, n, "approx_optimal", p), uniform_np(3, 101, 0, np.arange(len(p))))
-            run = dict(zip(EFF_COLUMNS, efficiency_row(spark, "grid", "0.01", "thr 0.4", ps, perf, cuts, i_star, lambda _, x=p_leaf: x, pilot, n, t, runs), strict=True))
-            rows.append((n, t, len(p), int(sizes.sum()), pilot, runs, run["mean"], run["over_cmc"]))
-    return spark.createDataFrame(rows, "budget int, steps int, n_strata int, cost_sampling int, cost_pilot int, runs int, mean double, over_cmc double")
+            got = est.stratified_run(spark, ref.tree, ref.strata, perf, n, "approx_optimal", p, runs, 3, pilot)
+            s = measures.rel_eff(got, p_star * mass, p_star, mass).first()
+            low, high = variance_interval(s["v"], runs)
+            rows.append((n, t, len(p), s["cost"] - pilot, pilot, runs, s["mean"], s["over_cmc"], s["over_cmc"] * s["v"] / high, s["over_cmc"] * s["v"] / low, s["over_mc"]))
+    return spark.createDataFrame(rows, "budget int, steps int, n_strata int, cost_sampling double, cost_pilot int, runs int, mean double, over_cmc double, over_cmc_low double, over_cmc_high double, over_mc double")
 
 
 @query
 def tune_steps_n46(spark, sf):
     net = grid(spark, sf)
     _, _, cuts = ga_states(spark, sf, 0.4)
-    return spark.createDataFrame([est.tune_steps(np.full(net.n, 0.01), cuts[:5], 3000, 0.7, true_istar(spark, sf, 0.4), limit=4000)], "steps int, cost int")
+    return spark.createDataFrame([est.tune_steps(np.full(net.n, 0.01), cuts, 3000, 0.7, true_istar(spark, sf, 0.4), limit=4000)], "steps int, cost int")
 
 
 @query
 def dc_cascade_n46(spark, sf):
     """Loss of every single and double failure."""
-    from ..operators.perf import evaluate
-
     net = grid(spark, sf)
     return evaluate(state_space(spark, net.n, 0, 2), DcCascade(net), net.n).select("k", "state_rank", F.round("loss", 9).alias("loss"), "fail")
 
@@ -396,17 +461,79 @@ def water_cuts(net: tables.Network, target: int, more: int = 0) -> list[list[int
     return antichain(cuts + (ist.minimal_cuts(net, PLANTS, target, more) if more else []))
 
 
-def water_leaf(spark, net, perf):
-    """Leaf probabilities from draws: enumeration is out of reach at 139 components."""
+#: Failures above i* up to which failing states are enumerated.
+BEYOND = 2
+
 
-    def of(ref: Refinement, draws: int = 100) -> np.ndarray:
-        sizes = est.sizes_frame(spark, ref.strata, np.full((1, len(ref.strata)), draws))
-        p = np.zeros(len(ref.strata))
-        for x in sample(sizes, ref.tree, perf, 78).collect():
-            p[x["idx"]] = x["hits"] / x["n"]
-        return p
+def water_failures(spark, sf, target: int, cut: int) -> tuple[list[list[int]], DataFrame]:
+    """(minimal cuts of up to cut + BEYOND pipes, all of them; (k, words, loss) of all failing states of as many pipes).
 
-    return of
+    A failing state of k pipes holds a minimal cut of k pipes or fewer: each cut is filled up in every way.
+    """
+
+    def make():
+        net = water(spark, sf)
+        top = cut + BEYOND
+        cuts = ist.cuts_up_to(net, PLANTS, target, top)
+        n = net.n
+
+        def fill(batches):
+            for b in batches:
+                for c in b.column(0).to_pylist():
+                    rest = np.setdiff1d(np.arange(n), c)
+                    for extra in range(top - len(c) + 1):
+                        for at in range(0, comb(len(rest), extra), 50_000):
+                            more = bits.unrank(len(rest), extra, np.arange(at, min(at + 50_000, comb(len(rest), extra))))
+                            failed = np.zeros((n, more.shape[1]), bool)
+                            failed[rest] = more
+                            failed[c] = True
+                            words = bits.pack(failed)
+                            flat = pa.array(words.T.ravel(), pa.int64())
+                            offsets = pa.array(np.arange(0, words.size + 1, len(words)), pa.int32())
+                            m = more.shape[1]
+                            yield pa.RecordBatch.from_arrays([pa.array(np.full(m, len(c) + extra), pa.int32()), pa.ListArray.from_arrays(offsets, flat), pa.array(np.ones(m))], ["k", "words", "loss"])
+
+        rows = spark.createDataFrame([(c,) for c in cuts], "cut array<int>").repartition(max(1, len(cuts)))
+        return cuts, written(rows.mapInArrow(fill, "k int, words array<bigint>, loss double").dropDuplicates(["words"]), "water-failures")
+
+    return once(spark, f"water-failures-{target}", sf, make)
+
+
+def failing_sums(spark, ref: Refinement, states: DataFrame) -> np.ndarray:
+    """Probability of the given states in each refined stratum, as a share of the stratum's."""
+    n = len(ref.tree.ps)
+    log_p, log_q = np.log(ref.tree.ps), np.log1p(-ref.tree.ps)
+
+    def run(batches):
+        for b in batches:
+            if b.num_rows:
+                failed = unpacked(b, n)
+                at = assign(ref, failed, b.column(0).to_numpy())
+                w = np.exp(log_p @ failed + log_q @ ~failed)
+                ok = at >= 0
+                got = np.bincount(at[ok], w[ok])
+                idx = np.flatnonzero(got)
+                yield pa.RecordBatch.from_arrays([pa.array(idx.astype(np.int32)), pa.array(got[idx])], ["idx", "w"])
+
+    out = np.zeros(len(ref.strata))
+    for x in states.mapInArrow(run, "idx int, w double").groupBy("idx").agg(F.sum("w").alias("w")).collect():  # a row a stratum
+        out[x["idx"]] = x["w"]
+    return np.clip(out / ref.lam, 0.0, 1.0)
+
+
+def water_leaf(spark, sf, target: int, cut: int, perf, ref: Refinement, draws: int = 200) -> np.ndarray:
+    """Failure probability of each refined stratum: exact up to cut + BEYOND failures, above from draws beside known cuts.
+
+    Above, a stratum's prior is the probability that some minimal cut of ``cut`` pipes has failed (a sum, at most 1).
+    """
+    cuts, states = water_failures(spark, sf, target, cut)
+    exact = failing_sums(spark, ref, states)
+    low = [s.count <= cut + BEYOND for s in ref.strata]
+    rest = [k for k, x in enumerate(low) if not x]
+    prior = exact.copy()
+    if rest:
+        prior[rest] = np.maximum(approx_pf(ref.tree, [ref.strata[k] for k in rest], [c for c in cuts if len(c) <= cut + 1][:60], "capped_sum"), 1e-12)
+    return np.where(low, exact, drawn_leaves(spark, ref, perf, rest, prior, draws, 78))
 
 
 @query
@@ -417,47 +544,54 @@ def w18_topology(spark, sf):
 
 
 @query
-def w13_water_reference(spark, sf, steps: int = 800, budget: int = 20_000):
-    """p_f and p_star with a lower bound from known cuts."""
+def w13_water_reference(spark, sf, steps: int = 800, budget: int = 20_000, reps: int = 5):
+    """p_f and p_star with a standard error over runs, and bounds: the failing states of up to i* + BEYOND failures, all others as well."""
     net, rows = water(spark, sf), []
     for cut, target in sorted(targets(spark, sf).items()):
         perf = Connected(net, PLANTS, target)
-        cuts = water_cuts(net, target, 30)
+        cuts, states = water_failures(spark, sf, target, cut)
         for model in WATER_MODELS:
             ps = water_p(net, model)
-            got = est.ccr_estimate(spark, ps, perf, budget, steps, cut, "practical", cuts[:40]).first()
-            mass = float(bn.pmf(ps)[cut:].sum())
-            known = max(float(np.prod(ps[c])) for c in cuts)  # any cut's own probability bounds from below
-            rows.append((target, cut, model, got["p_hat"], got["p_hat"] / mass, known, int(got["cost_sampling"])))
-    return spark.createDataFrame(rows, "target int, i_star int, model string, p_f double, p_star double, low double, cost int")
-
-
-@query
-def w14_water_curves(spark, sf, steps: int = 300, every: int = 30):
+            lam = bn.pmf(ps)
+            counts = refine(SplitTree(ps), 0, cut)
+            low = float((failing_sums(spark, counts, states) * counts.lam).sum())
+            got = est.ccr_estimate(spark, ps, perf, budget, steps, cut, "practical", cuts[:40], reps=reps).collect()  # a row a run
+            hat = np.array([x["p_hat"] for x in got])
+            mass = float(lam[cut:].sum())
+            high = low + float(lam[cut + BEYOND + 1 :].sum())
+            rows.append((target, cut, model, float(hat.mean()), float(hat.std(ddof=1) / reps**0.5), float(hat.mean()) / mass, low, high, sum(len(c) == cut for c in cuts), int(sum(x["cost_sampling"] for x in got))))
+    return spark.createDataFrame(rows, "target int, i_star int, model string, p_f double, se double, p_star double, low double, high double, smallest_cuts int, cost int")
+
+
+def water_curves(spark, sf, cut: int, steps: int = 2000, every: int = 100) -> DataFrame:
     net, rows = water(spark, sf), []
-    for cut, target in sorted(targets(spark, sf).items()):
-        perf = Connected(net, PLANTS, target)
-        for model in ("0.01", "rate 0.1"):
-            ref = refine(SplitTree(water_p(net, model)), steps, cut)
-            p = water_leaf(spark, net, perf)(ref)
-            rows += [(f"{target} {model}", float(cut), *t) for t in ratio_curve(spark, ref, p, cut, every)]
+    target = targets(spark, sf).get(cut)
+    for model in WATER_MODELS if target is not None else ():
+        ref = refine(SplitTree(water_p(net, model)), steps, cut)
+        p = water_leaf(spark, sf, target, cut, Connected(net, PLANTS, target), ref)
+        rows += [(f"{target} {model}", float(cut), *t) for t in ratio_curve(spark, ref, p, cut, every)]
     return spark.createDataFrame(rows, CURVE)
 
 
-@query
-def w15_w16_water_efficiency(spark, sf, steps: int = 300, budget: int = 4000, runs: int = 10):
+def water_efficiency(spark, sf, cut: int, steps: int = 2000, budget: int = 10_000, runs: int = 10) -> DataFrame:
+    """Efficiency and size penalty at the target with a given minimum cut, for all models and three sets of known cuts."""
     net, rows = water(spark, sf), []
-    for cut, target in sorted(targets(spark, sf).items()):
-        perf = Connected(net, PLANTS, target)
-        for model in ("0.005", "rate 0.1"):
-            ps = water_p(net, model)
-            p_leaf = water_leaf(spark, net, perf)(refine(SplitTree(ps), steps, cut))  # the same strata for every set of cuts
-            for more in (0, 10, 40):
-                cuts = water_cuts(net, target, more)
-                rows.append(efficiency_row(spark, "water", model, f"node {target}, {len(cuts)} cuts", ps, perf, cuts, cut, lambda _, p=p_leaf: p, 0, budget, steps, runs))
+    target = targets(spark, sf).get(cut)
+    for model in WATER_MODELS if target is not None else ():
+        perf, ps = Connected(net, PLANTS, target), water_p(net, model)
+        ref = refine(SplitTree(ps), steps, cut)
+        p = water_leaf(spark, sf, target, cut, perf, ref)
+        for more in (0, 10, 40):
+            cuts = water_cuts(net, target, more)
+            rows.append(efficiency_row(spark, "water", model, f"node {target}, {len(cuts)} cuts", ps, perf, cuts, cut, lambda _, p=p: p, 0, budget, steps, runs, ref=ref))
     return spark.createDataFrame(rows, EFF)
 
 
+for _cut in (2, 3):
+    Q[f"w14_water_curves_{_cut}"] = lambda spark, sf, cut=_cut: water_curves(spark, sf, cut)
+    Q[f"w15_w16_water_efficiency_{_cut}"] = lambda spark, sf, cut=_cut: water_efficiency(spark, sf, cut)
+
+
 @query
 def ccr_practical_n139(spark, sf, steps: int = 1000, budget: int = 10_000, runs: int = 2):
     """The flagship: refined estimator on the pipe network with the obvious cuts."""
@@ -491,18 +625,26 @@ def estimators_n10(spark, sf, runs: int = 10):
     perf = Connected(net, [n10.SOURCE], n10.TARGET)
     p_f = float(n10.Q["exact_pf_n10"](spark, sf).where("rate = 1.0").first()["p_f"])
     a = (spark, net.p, perf)
+    cond = np.array([x["p"] for x in n10.count_strata(spark, sf, 1.0).orderBy("i").collect()])
+
+    def leaf_p(ref: Refinement) -> np.ndarray:
+        x = n10.states(spark, sf, 1.0).select(F.col("i").alias("k"), "words", F.col("fail").cast("double").alias("loss"))
+        return leaf_sums(spark, ref, x, 0.5)
+
     frames = [
         est.crude_mc(*a, 4000, runs),
         est.conditional_mc(*a, 4000, 4, "rejection", runs),
         est.conditional_mc(*a, 4000, 4, "count_first", runs),
         est.count_stratified(*a, 4000, 0, "proportional", reps=runs),
-        est.count_stratified(*a, 4000, 0, "optimal", p=np.array([x["p"] for x in n10.count_strata(spark, sf, 1.0).orderBy("i").collect()]), reps=runs),
+        est.count_stratified(*a, 4000, 0, "optimal", p=cond, reps=runs),
         est.count_stratified(*a, 4000, 4, "proportional", reps=runs),
         est.count_stratified(*a, 4000, 4, "uniform", reps=runs),
+        est.count_stratified(*a, 4000, 4, "optimal", p=cond[4:], reps=runs),
         est.pilot_stratified(*a, 4000, 50, 4, runs),
         est.balanced_refined(*a, 4000, runs),
         est.ccr_estimate(*a, 4000, 30, 4, "proportional", reps=runs),
         est.ccr_estimate(*a, 4000, 30, 4, "uniform", reps=runs),
+        est.ccr_estimate(*a, 4000, 30, 4, "optimal", p=leaf_p, reps=runs),
         est.ccr_estimate(*a, 4000, 30, 4, "practical", cuts=n10.STAR, reps=runs),
         est.ccr_adaptive(*a, 1e-8, 4),
     ]

@@ -62,7 +62,14 @@ def op_stream_dedup(spark, sf):
     return out.agg(F.count(F.lit(1)).alias("n"), F.count_distinct("event_id").alias("ids"))
 
 
-Q |= {f.__name__: f for f in (w21_reliability_stream, op_stream_watermark, op_stream_dedup)}
+def op_stream_state(spark, sf):
+    """Running counts per component, kept as state; the last update of each is the whole count."""
+    out = run(spark, sf, lambda e: rel.running_counts(e, 10), "update")
+    return out.groupBy("comp_id").agg(F.max("errors").alias("errors"), F.max("events").alias("events"))
+
+
+Q |= {f.__name__: f for f in (w21_reliability_stream, op_stream_watermark, op_stream_dedup, op_stream_state)}
+O["op_stream_state"] = "SELECT (user_id % 10)::INT AS comp_id, count_if(event_type = 'error') AS errors, count(*) AS events FROM events GROUP BY 1"
 O["w21_reliability_stream"] = n10.sql(""", ph AS (SELECT i, sum((NOT fail)::INT) AS works FROM g GROUP BY i),
 rt AS (SELECT time_bucket(INTERVAL 1 DAY, ts)::VARCHAR AS w_start, 0.05 * (count_if(event_type = 'error') + 1) / (count(*) + 2) AS p FROM events GROUP BY 1)
 SELECT w_start, round(p, 12) AS p, round(sum(works * pow(p, i) * pow(1 - p, 10 - i)), 10) AS reliability FROM rt, ph GROUP BY w_start, p""")

@@ -11,7 +11,6 @@ from collections.abc import Iterator
 import pandas as pd
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
-from pyspark.sql.streaming import StatefulProcessor, StatefulProcessorHandle
 
 from ..operators.baselines import reliability_column
 
@@ -66,27 +65,19 @@ def deduplicated(events: DataFrame, watermark: str = "1 hour") -> DataFrame:
     return events.withWatermark("ts", watermark).dropDuplicatesWithinWatermark(["event_id"])
 
 
-class ErrorCounter(StatefulProcessor):
-    """Running errors and events per component, kept as state."""
-
-    def init(self, handle: StatefulProcessorHandle) -> None:
-        self.counts = handle.getValueState("counts", "errors long, events long")
+def running_counts(events: DataFrame, n: int) -> DataFrame:
+    """(comp_id, errors, events): running counts per component, kept as state in the default state store."""
 
-    def handleInputRows(self, key, rows: Iterator[pd.DataFrame], timerValues) -> Iterator[pd.DataFrame]:
-        errors, events = self.counts.get() if self.counts.exists() else (0, 0)
-        for pdf in rows:
+    def count(key: tuple, batches: Iterator[pd.DataFrame], state) -> Iterator[pd.DataFrame]:
+        errors, events = state.get if state.exists else (0, 0)
+        for pdf in batches:
             errors += int((pdf["event_type"] == "error").sum())
             events += len(pdf)
-        self.counts.update((errors, events))
+        state.update((errors, events))
         yield pd.DataFrame({"comp_id": [key[0]], "errors": [errors], "events": [events]})
 
-    def close(self) -> None:
-        pass
-
-
-def running_counts(events: DataFrame, n: int) -> DataFrame:
     keyed = events.select(F.pmod("user_id", F.lit(n)).cast("int").alias("comp_id"), "event_type")
-    return keyed.groupBy("comp_id").transformWithStateInPandas(ErrorCounter(), "comp_id int, errors long, events long", "Update", "None")
+    return keyed.groupBy("comp_id").applyInPandasWithState(count, "comp_id int, errors long, events long", "errors long, events long", "update", "NoTimeout")
 
 
 def read_stream(spark: SparkSession, path: str, files_per_trigger: int = 1, schema: str = EVENTS) -> DataFrame:
