@@ -44,26 +44,29 @@ def sample(sizes: DataFrame, tree: SplitTree, perf: Performance, seed: int) -> D
 
     def run(batches):
         for b in batches:
-            rep, idx, lo, m = (b.column(i).to_pylist() for i in (0, 1, 3, 4))
-            clusters = b.column(2).to_pylist()
+            rep, idx, lo, m = (b.column(i).to_numpy() for i in (0, 1, 3, 4))
+            clusters = b.column(2)
             hits = np.zeros(b.num_rows, np.int64)
+            order = np.argsort(idx, kind="stable")  # replicates of a stratum are drawn together
             at = 0
             while at < b.num_rows:  # small strata are evaluated together
-                upto, total = at, 0
-                while upto < b.num_rows and (upto == at or total + m[upto] <= CHUNK):
-                    total += m[upto]
-                    upto += 1
-                states = [
-                    draw_refined(tree, [(c["node"], c["k"]) for c in clusters[j]], m[j], (seed, rep[j], idx[j], np.arange(lo[j], lo[j] + m[j])))
-                    for j in range(at, upto)
-                ]
+                total = np.cumsum(m[order[at:]])
+                upto = at + max(1, int(np.searchsorted(total, CHUNK, side="right")))
+                now = order[at:upto]
+                cuts = np.flatnonzero(np.append(True, idx[now][1:] != idx[now][:-1])).tolist()
+                states = []
+                for x, y in zip(cuts, [*cuts[1:], len(now)], strict=True):
+                    j = now[x:y]
+                    draws = np.concatenate([np.arange(lo[k], lo[k] + m[k]) for k in j])
+                    own = [(c["node"], c["k"]) for c in clusters[int(j[0])].as_py()]
+                    states.append(draw_refined(tree, own, len(draws), (seed, np.repeat(rep[j], m[j]), int(idx[j[0]]), draws)))
                 bad = perf.fails(np.concatenate(states, axis=1))
-                ends = np.cumsum(m[at:upto])
-                hits[at:upto] = np.diff(np.concatenate(([0], np.concatenate(([0], np.cumsum(bad)))[ends])))
+                ends = np.cumsum(m[now])
+                hits[now] = np.diff(np.concatenate(([0], np.concatenate(([0], np.cumsum(bad)))[ends])))
                 at = upto
             yield pa.RecordBatch.from_arrays([b.column(0), b.column(1), b.column(4), pa.array(hits)], ["rep", "idx", "n", "hits"])
 
-    counted = chunks.repartition(n, F.xxhash64("rep", "idx", "lo")).mapInArrow(run, "rep int, idx int, n bigint, hits bigint")
+    counted = chunks.repartition(n, F.xxhash64("idx", "lo")).mapInArrow(run, "rep int, idx int, n bigint, hits bigint")
     return counted.groupBy("rep", "idx").agg(F.sum("n").alias("n"), F.sum("hits").alias("hits"))
 
 

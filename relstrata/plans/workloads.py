@@ -318,12 +318,15 @@ def variance_interval(v: float, runs: int, z: float = 1.96) -> tuple[float, floa
     return v * f / at(z), v * f / max(at(-z), 1e-12)
 
 
-def efficiency_row(spark, system: str, model: str, target: str, ps, perf, cuts, i_star: int, p_leaf_of, pilot: int, budget: int, steps: int, runs: int, seed: int = 3, ref: Refinement | None = None) -> tuple:
-    """One line: practical sizes against both baselines, the size penalty over all runs, and optimal sizes by formula and as runs."""
+def efficiency_row(spark, system: str, model: str, target: str, ps, perf, cuts, i_star: int, p_leaf_of, pilot: int, budget: int, steps: int, runs: int, seed: int = 3, ref: Refinement | None = None, p_leaf: np.ndarray | None = None, best_runs: dict | None = None) -> tuple:
+    """One line: practical sizes against both baselines, the size penalty over all runs, and optimal sizes by formula and as runs.
+
+    ``best_runs`` keeps the runs with optimal sizes for further lines on the same strata.
+    """
     ref = ref or refine(SplitTree(ps), steps, i_star)
     lam = ref.lam
     pt = approx_pf(ref.tree, ref.strata, cuts)
-    p = p_leaf_of(ref)
+    p = p_leaf_of(ref) if p_leaf is None else p_leaf
     mass = float(lam.sum())
     p_f = float((lam * p).sum())
     p_star = p_f / mass
@@ -334,7 +337,10 @@ def efficiency_row(spark, system: str, model: str, target: str, ps, perf, cuts,
         return np.array([x["p_hat"] for x in rows]), float(np.mean([x["cost_sampling"] for x in rows]))
 
     hat, cost = runs_of("approx_optimal", pt)
-    best, best_cost = runs_of("optimal", p)
+    best_runs = {} if best_runs is None else best_runs
+    if "got" not in best_runs:
+        best_runs["got"] = runs_of("optimal", p)
+    best, best_cost = best_runs["got"]
     v = hat.var(ddof=1) if len(hat) > 1 else np.nan
     v_low, v_high = variance_interval(v, len(hat)) if len(hat) > 1 else (np.nan, np.nan)
     real = est.real_sizes(lam, budget, "approx_optimal", pt)
@@ -580,10 +586,10 @@ def water_efficiency(spark, sf, cut: int, steps: int = 2000, budget: int = 10_00
     for model in WATER_MODELS if target is not None else ():
         perf, ps = Connected(net, PLANTS, target), water_p(net, model)
         ref = refine(SplitTree(ps), steps, cut)
-        p = water_leaf(spark, sf, target, cut, perf, ref)
+        p, best = water_leaf(spark, sf, target, cut, perf, ref), {}
         for more in (0, 10, 40):
             cuts = water_cuts(net, target, more)
-            rows.append(efficiency_row(spark, "water", model, f"node {target}, {len(cuts)} cuts", ps, perf, cuts, cut, lambda _, p=p: p, 0, budget, steps, runs, ref=ref))
+            rows.append(efficiency_row(spark, "water", model, f"node {target}, {len(cuts)} cuts", ps, perf, cuts, cut, None, 0, budget, steps, runs, ref=ref, p_leaf=p, best_runs=best))
     return spark.createDataFrame(rows, EFF)
 
 
