@@ -93,7 +93,9 @@ def stratified_population(df: DataFrame, strata_cols: list, indicator, budget: i
     """One row: size, true share, the share estimated from a seeded stratified sample, its theoretical variance.
 
     One scan gives shares and spreads; the sample is the first n of each stratum in the order of a
-    hash of ``key``. Rounding by the same hash keeps at least one row per stratum.
+    hash of ``key``. Rounding by the same hash keeps at least one row per stratum. Hashes are uniform, so
+    rows beyond a bound well above the n-th hash are dropped before anything is sorted; should a stratum ever
+    be left with fewer than n rows, the query fails rather than use them.
     """
     from ..functions.rng import uniform_md5
 
@@ -103,9 +105,13 @@ def stratified_population(df: DataFrame, strata_cols: list, indicator, budget: i
     alloc = round_sizes(allocate(strata, budget, strategy), uniform_md5(seed, F.col("stratum_id")))
     alloc = alloc.withColumn("n_int", F.least("n_int", "size"))
     order = F.md5(F.concat_ws("|", F.lit(str(seed)), *[F.col(k).cast("string") for k in key]))
+    place = F.conv(F.substring("h", 1, 13), 16, 10).cast("double") / F.lit(float(2**52))
+    n = F.col("n_int").cast("double")
+    likely = rows.withColumn("h", order).join(F.broadcast(alloc.select("stratum_id", "n_int", "size")), "stratum_id").where(place * F.col("size") <= n + 12 * F.sqrt(n) + 50)
     rank = F.row_number().over(Window.partitionBy("stratum_id").orderBy("h", *key))
-    picked = rows.withColumn("h", order).withColumn("r", rank).join(F.broadcast(alloc.select("stratum_id", "n_int")), "stratum_id").where(F.col("r") <= F.col("n_int"))
-    means = picked.groupBy("stratum_id").agg(F.avg("y").alias("p_hat"))
+    picked = likely.withColumn("r", rank).where(F.col("r") <= F.col("n_int"))
+    whole = F.when(F.count(F.lit(1)) == F.max("n_int"), F.avg("y")).otherwise(F.raise_error(F.lit("a stratum's sample is short")))
+    means = picked.groupBy("stratum_id").agg(whole.cast("double").alias("p_hat"))
     joined = alloc.join(means, "stratum_id")
     return joined.agg(
         F.sum("size").alias("population"), F.sum("n_int").alias("cost"),

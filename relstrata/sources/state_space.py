@@ -1,7 +1,8 @@
 """Python data source ``state_space``: all states with k_min..k_max of n components failed.
 
-Partitions are intervals of ranks, so nothing is shuffled and no state is stored. Filters
-on ``k`` are taken over by the source: strata that cannot fail are never made.
+Partitions are intervals of ranks, so nothing is shuffled and no state is stored. The
+range of ``k`` is an option, and filters on ``k`` are taken over by the source where the session
+allows it: strata that cannot fail are never made.
 """
 
 from __future__ import annotations
@@ -29,23 +30,6 @@ class StateSpaceReader(DataSourceReader):
         self.lo, self.hi = int(options.get("k_min", 0)), int(options.get("k_max", self.n))
         self.size = int(options.get("partition_size", 250_000))
 
-    def pushFilters(self, filters):
-        for f in filters:
-            if getattr(f, "attribute", None) != ("k",):
-                yield f
-            elif isinstance(f, EqualTo):
-                self.lo, self.hi = max(self.lo, f.value), min(self.hi, f.value)
-            elif isinstance(f, GreaterThanOrEqual):
-                self.lo = max(self.lo, f.value)
-            elif isinstance(f, GreaterThan):
-                self.lo = max(self.lo, f.value + 1)
-            elif isinstance(f, LessThanOrEqual):
-                self.hi = min(self.hi, f.value)
-            elif isinstance(f, LessThan):
-                self.hi = min(self.hi, f.value - 1)
-            else:
-                yield f
-
     def partitions(self):
         out = []
         for k in range(max(0, self.lo), min(self.n, self.hi) + 1):
@@ -67,6 +51,27 @@ class StateSpaceReader(DataSourceReader):
             )
 
 
+class PushedReader(StateSpaceReader):
+    """Takes over filters on ``k``; Spark accepts such a reader only where Python filter pushdown is on."""
+
+    def pushFilters(self, filters):
+        for f in filters:
+            if getattr(f, "attribute", None) != ("k",):
+                yield f
+            elif isinstance(f, EqualTo):
+                self.lo, self.hi = max(self.lo, f.value), min(self.hi, f.value)
+            elif isinstance(f, GreaterThanOrEqual):
+                self.lo = max(self.lo, f.value)
+            elif isinstance(f, GreaterThan):
+                self.lo = max(self.lo, f.value + 1)
+            elif isinstance(f, LessThanOrEqual):
+                self.hi = min(self.hi, f.value)
+            elif isinstance(f, LessThan):
+                self.hi = min(self.hi, f.value - 1)
+            else:
+                yield f
+
+
 class StateSpace(DataSource):
     @classmethod
     def name(cls):
@@ -79,9 +84,18 @@ class StateSpace(DataSource):
         return StateSpaceReader(dict(self.options))
 
 
+class PushedStateSpace(StateSpace):
+    @classmethod
+    def name(cls):
+        return "state_space_pushed"
+
+    def reader(self, schema):
+        return PushedReader(dict(self.options))
+
+
 def state_space(spark, n: int, k_min: int = 0, k_max: int | None = None, partition_size: int = 250_000):
-    """The states as a DataFrame. Filters on ``k`` need the session's Python filter pushdown, which is turned on."""
-    spark.conf.set("spark.sql.python.filterPushdown.enabled", "true")
-    spark.dataSource.register(StateSpace)
-    reader = spark.read.format("state_space").option("n", n).option("k_min", k_min)
+    """The states as a DataFrame. Filters on ``k`` go to the source where the session has Python filter pushdown on."""
+    source = PushedStateSpace if spark.conf.get("spark.sql.python.filterPushdown.enabled", "false") == "true" else StateSpace
+    spark.dataSource.register(source)
+    reader = spark.read.format(source.name()).option("n", n).option("k_min", k_min)
     return reader.option("k_max", n if k_max is None else k_max).option("partition_size", partition_size).load()
