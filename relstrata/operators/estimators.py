@@ -8,10 +8,12 @@ from pyspark.sql import functions as F
 
 from ..functions import bernoulli
 from ..functions.rng import uniform_np
+from ..sources.scratch import written
 from .approx import approx_pf
 from .perf import Performance
-from .refine import Refinement, SplitTree, Stratum, initial, pick_cluster, refine
+from .refine import Refinement, SplitTree, Stratum, initial, pick_cluster, refine, refine_levelwise, stratum
 from .sample import SIZES, crude_states, sample
+from .strata import round_sizes
 
 
 def real_sizes(lam: np.ndarray, budget: float, strategy: str, p: np.ndarray | None = None) -> np.ndarray:
@@ -60,7 +62,7 @@ def stratified_run(
     u = uniform_np(seed, 101, np.arange(reps)[:, None], np.arange(len(strata))[None, :])
     sizes = integer_sizes(np.broadcast_to(real, (reps, len(strata))), u)
     stats = sample(sizes_frame(spark, strata, sizes), tree, perf, seed)
-    weights = spark.createDataFrame([(k, float(x)) for k, x in enumerate(lam)], "idx int, lam double")
+    weights = spark.createDataFrame([(k, float(x)) for k, x in enumerate(lam)], "idx bigint, lam double")
     got = stats.join(weights, "idx")
     return got.groupBy("rep").agg(F.sum(F.col("lam") * F.col("hits") / F.col("n")).alias("p_hat"), F.count(F.lit(1)).alias("n_strata"), F.sum("n").alias("cost_sampling")).select(
         F.lit(method).alias("method"), "rep", "p_hat", "n_strata", F.lit(pilot).cast("long").alias("cost_pilot"), "cost_sampling"
@@ -82,6 +84,38 @@ def ccr_estimate(spark, ps, perf, budget, steps, i_star=0, alloc="practical", cu
     return stratified_run(spark, ref.tree, ref.strata, perf, budget, strategy, p, reps, seed, pilot, f"ccr_{alloc}")
 
 
+def ccr_levelwise(spark, ps, perf, budget, steps, i_star=0, cuts=None, reps=1, seed=1, pilot=0, by="order", direct: int = 256) -> DataFrame:
+    """The refined estimator with practical sizes and no list of strata on the driver, for very many steps.
+
+    Strata are made level by level on executors, get their approximate probabilities there batch by batch, and their
+    sizes from one sum; draws are keyed by a hash of the stratum's name.
+    """
+    import pyarrow as pa
+
+    tree, known = SplitTree(ps, by), cuts or []
+    strata = refine_levelwise(spark, tree, steps, i_star, direct=direct)
+    schema = "idx bigint, stratum_id string, clusters array<struct<node:bigint,k:int>>, lam double, p double"
+
+    def with_p(batches):
+        for b in batches:
+            if b.num_rows:
+                name, clusters, lam = (b.column(i).to_pylist() for i in range(1, 4))
+                rows = [stratum(x, tuple(map(int, s.split("."))), tuple((c["node"], c["k"]) for c in cl)) for s, cl, x in zip(name, clusters, lam, strict=True)]
+                yield pa.RecordBatch.from_arrays([*b.columns, pa.array(approx_pf(tree, rows, known), pa.float64())], ["idx", "stratum_id", "clusters", "lam", "p"])
+
+    named = written(strata.select(F.xxhash64("stratum_id").alias("idx"), "stratum_id", "clusters", "lam").mapInArrow(with_p, schema), "levelwise-strata")
+    w = F.col("lam") * F.sqrt(F.greatest(F.col("p") * (1 - F.col("p")), F.lit(0.0)))
+    total = named.agg(F.sum(w).alias("w"), F.sum("lam").alias("lam")).first()
+    share = w / F.lit(total["w"]) if total["w"] else F.col("lam") / F.lit(total["lam"])
+    u = F.pmod(F.xxhash64(F.lit(seed), F.lit(101), "rep", "stratum_id"), F.lit(1 << 40)) / F.lit(float(1 << 40))
+    each = named.withColumn("n_real", F.lit(float(budget)) * share).withColumn("rep", F.explode(F.array(*[F.lit(r) for r in range(reps)])))
+    sizes = round_sizes(each, u).select("rep", "idx", "clusters", "n_int")
+    got = sample(sizes, tree, perf, seed).join(named.select("idx", "lam"), "idx")
+    return got.groupBy("rep").agg(F.sum(F.col("lam") * F.col("hits") / F.col("n")).alias("p_hat"), F.count(F.lit(1)).alias("n_strata"), F.sum("n").alias("cost_sampling")).select(
+        F.lit("ccr_levelwise").alias("method"), "rep", "p_hat", "n_strata", F.lit(pilot).cast("long").alias("cost_pilot"), "cost_sampling"
+    )
+
+
 def count_stratified(spark, ps, perf, budget, i_star=0, alloc="proportional", p=None, reps=1, seed=1) -> DataFrame:
     """Strata by the number of failures only; above i* this is the conditional form."""
     tree = SplitTree(ps)
@@ -126,7 +160,7 @@ def conditional_mc(spark, ps, perf, n, i_star, sampler="rejection", reps=1, seed
         tree = SplitTree(ps)
         strata = initial(tree, i_star)
         sizes = drawn_sizes(spark, np.array([s.lam for s in strata]), n, reps, seed)
-        clusters = spark.createDataFrame([(k, [(int(a), int(c)) for a, c in s.clusters]) for k, s in enumerate(strata)], "idx int, clusters array<struct<node:bigint,k:int>>")
+        clusters = spark.createDataFrame([(k, [(int(a), int(c)) for a, c in s.clusters]) for k, s in enumerate(strata)], "idx bigint, clusters array<struct<node:bigint,k:int>>")
         sizes = sizes.join(clusters, "idx").select("rep", "idx", "clusters", "n_int")
         hits = sample(sizes, tree, perf, seed).groupBy("rep").agg(F.sum("hits").alias("hits"), F.sum("n").alias("n"))
     return hits.select(F.lit(f"conditional_{sampler}").alias("method"), "rep", (mass * F.col("hits") / F.col("n")).alias("p_hat"), F.lit(0).cast("long").alias("n_strata"), F.lit(0).cast("long").alias("cost_pilot"), F.col("n").alias("cost_sampling"))
@@ -145,9 +179,9 @@ def drawn_sizes(spark, lam: np.ndarray, n: int, reps: int, seed: int) -> DataFra
             for rep, lo in zip(b.column(0).to_pylist(), b.column(1).to_pylist(), strict=True):
                 got = np.bincount(np.searchsorted(cum[:-1], uniform_np(seed, 103, rep, np.arange(lo, min(lo + size, n))), side="right"), minlength=len(lam))
                 idx = np.flatnonzero(got)
-                yield pa.RecordBatch.from_pydict({"rep": pa.array(np.full(len(idx), rep, np.int32)), "idx": pa.array(idx.astype(np.int32)), "n_int": pa.array(got[idx].astype(np.int64))})
+                yield pa.RecordBatch.from_pydict({"rep": pa.array(np.full(len(idx), rep, np.int32)), "idx": pa.array(idx), "n_int": pa.array(got[idx].astype(np.int64))})
 
-    return chunks.mapInArrow(run, "rep int, idx int, n_int bigint").groupBy("rep", "idx").agg(F.sum("n_int").alias("n_int"))
+    return chunks.mapInArrow(run, "rep int, idx bigint, n_int bigint").groupBy("rep", "idx").agg(F.sum("n_int").alias("n_int"))
 
 
 def balanced_refined(spark, ps, perf, n, reps=1, seed=1) -> DataFrame:

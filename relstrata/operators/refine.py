@@ -187,15 +187,16 @@ def strata_frame(spark: SparkSession, ref: Refinement) -> DataFrame:
     return spark.createDataFrame(rows, STRATA)
 
 
-def refine_levelwise(spark: SparkSession, tree: SplitTree, steps: int, i_star: int = 0, slack: float = 0.5) -> DataFrame:
-    """The same strata on executors, without a queue on the driver.
+def refine_levelwise(spark: SparkSession, tree: SplitTree, steps: int, i_star: int = 0, slack: float = 0.5, direct: int = 256) -> DataFrame:
+    """The same strata on executors, without a queue of their size on the driver.
 
-    Nodes at least as probable as a threshold are expanded level by level; the threshold falls until
-    enough divisible nodes lie above it, and the ``steps`` most probable of them are the ones to split.
+    The first ``direct`` steps are made at once, so that even a single heavy stratum becomes many roots for many tasks.
+    Below these, nodes at least as probable as a threshold are expanded level by level; the threshold falls until
+    enough divisible nodes lie above it, and the most probable of them are the ones to split.
     """
     from ..sources.scratch import written
 
-    schema = "stratum_id string, parent string, path array<int>, lam double, splittable boolean, open boolean"
+    schema = "stratum_id string, parent string, path array<int>, clusters array<struct<node:bigint,k:int>>, lam double, splittable boolean, open boolean"
 
     def expand_rows(rows: list[tuple], tau: float) -> list[tuple]:
         out = []
@@ -211,34 +212,39 @@ def refine_levelwise(spark: SparkSession, tree: SplitTree, steps: int, i_star: i
 
         def run(batches):
             for b in batches:
-                for i in b.column(0).to_pylist():
-                    todo = [(s.path, s.clusters, s.lam, None) for s in initial(tree, i) if s.path == (i,)]
+                for path, clusters, lam in zip(*(b.column(i).to_pylist() for i in range(3)), strict=True):
+                    todo = [(tuple(path), tuple((c["node"], c["k"]) for c in clusters), lam, None)]
                     rows = []
                     while todo:
                         now = todo
                         todo = expand_rows([x[:3] for x in now], tau)
-                        rows += [(x[0], x[3], x[2], pick_cluster(tree, stratum(x[2], x[0], x[1])) is not None) for x in now]
+                        rows += [(x[0], x[3], x[2], pick_cluster(tree, stratum(x[2], x[0], x[1])) is not None, x[1]) for x in now]
                     yield pa.RecordBatch.from_arrays(
                         [
                             pa.array([".".join(map(str, p)) for p, *_ in rows]), pa.array([q for _, q, *_ in rows], pa.string()),
-                            pa.array([list(p) for p, *_ in rows], pa.list_(pa.int32())), pa.array([x for _, _, x, _ in rows], pa.float64()),
-                            pa.array([z for *_, z in rows], pa.bool_()), pa.array([x >= tau for _, _, x, _ in rows], pa.bool_()),
+                            pa.array([list(p) for p, *_ in rows], pa.list_(pa.int32())),
+                            pa.array([[{"node": n, "k": k} for n, k in c] for *_, c in rows], pa.list_(pa.struct([("node", pa.int64()), ("k", pa.int32())]))),
+                            pa.array([x for _, _, x, _, _ in rows], pa.float64()), pa.array([z for *_, z, _ in rows], pa.bool_()), pa.array([x >= tau for _, _, x, _, _ in rows], pa.bool_()),
                         ],
-                        ["stratum_id", "parent", "path", "lam", "splittable", "open"],
+                        ["stratum_id", "parent", "path", "clusters", "lam", "splittable", "open"],
                     )
 
         return run
 
-    roots = spark.range(i_star, len(tree.ps) + 1).select(F.col("id").cast("int").alias("i")).repartition(min(len(tree.ps) + 1, 64))
-    tau = max(s.lam for s in initial(tree, i_star))
+    first = refine(tree, min(steps, direct), i_star)
+    left = steps - len(first.popped)
+    made = [(list(s.path), [(n, k) for n, k in s.clusters], s.lam) for s in first.strata]
+    parts = max(1, min(len(made), 4 * spark.sparkContext.defaultParallelism))
+    roots = spark.createDataFrame(made, "path array<int>, clusters array<struct<node:bigint,k:int>>, lam double").repartition(parts, "path")
+    tau = max(s.lam for s in first.strata)
     while True:
-        tau *= slack
+        tau = tau * slack if left > 0 else np.inf
         nodes = written(roots.mapInArrow(subtree(tau), schema), "nodes")
-        if nodes.where("splittable and open").count() >= steps or tau < 1e-300:
+        if left <= 0 or tau < 1e-300 or nodes.where("splittable and open").count() >= left:
             break
-    split = nodes.where("splittable and open").orderBy(F.desc("lam"), "path").limit(steps).select(F.col("stratum_id").alias("s"))
+    split = nodes.where("splittable and open").orderBy(F.desc("lam"), "path").limit(max(left, 0)).select(F.col("stratum_id").alias("s"))
     alive = nodes.join(split, nodes["parent"] == split["s"], "left_semi").union(nodes.where("parent is null"))
-    return alive.join(split, alive["stratum_id"] == split["s"], "left_anti").select("stratum_id", "lam", "splittable")
+    return alive.join(split, alive["stratum_id"] == split["s"], "left_anti").select("stratum_id", "clusters", "lam", "splittable")
 
 
 def ratio_trace(ref_p, tree: SplitTree, steps: int, i_star: int, every: int = 1) -> list[dict]:

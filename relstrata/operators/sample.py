@@ -17,7 +17,7 @@ from .perf import Performance
 from .refine import SplitTree
 
 CHUNK = 20_000
-SIZES = "rep int, idx int, clusters array<struct<node:bigint,k:int>>, n_int bigint"
+SIZES = "rep int, idx bigint, clusters array<struct<node:bigint,k:int>>, n_int bigint"
 
 
 def draw_refined(tree: SplitTree, clusters, n: int, keys) -> np.ndarray:
@@ -66,7 +66,7 @@ def sample(sizes: DataFrame, tree: SplitTree, perf: Performance, seed: int) -> D
                 at = upto
             yield pa.RecordBatch.from_arrays([b.column(0), b.column(1), b.column(4), pa.array(hits)], ["rep", "idx", "n", "hits"])
 
-    counted = chunks.repartition(n, F.xxhash64("idx", "lo")).mapInArrow(run, "rep int, idx int, n bigint, hits bigint")
+    counted = chunks.repartition(n, F.xxhash64("idx", "lo")).mapInArrow(run, "rep int, idx bigint, n bigint, hits bigint")
     return counted.groupBy("rep", "idx").agg(F.sum("n").alias("n"), F.sum("hits").alias("hits"))
 
 

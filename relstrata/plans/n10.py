@@ -415,7 +415,7 @@ def _(spark, sf):
 
     nw = network(spark, sf)
     tree = SplitTree(nw.p)
-    a = refine_levelwise(spark, tree, 100, I_STAR).select("stratum_id")
+    a = refine_levelwise(spark, tree, 100, I_STAR, direct=10).select("stratum_id")
     b = strata_frame(spark, refine(tree, 100, I_STAR)).select("stratum_id")
     x = b.exceptAll(a).agg(F.count(F.lit(1)).cast("int").alias("missing"))
     y = a.exceptAll(b).agg(F.count(F.lit(1)).cast("int").alias("extra"))
@@ -426,7 +426,7 @@ def _(spark, sf):
 def _(spark, sf):
     from ..operators.refine import refine_levelwise
 
-    return refine_levelwise(spark, SplitTree(network(spark, sf).p), 1, I_STAR).select(r("lam").alias("lam"))
+    return refine_levelwise(spark, SplitTree(network(spark, sf).p), 1, I_STAR, direct=0).select(r("lam").alias("lam"))
 
 
 @query("istar_all_n10", sql("SELECT min(c)::DOUBLE AS i_star FROM (SELECT m, count_if((m >> u) & 1 <> (m >> v) & 1) AS c FROM range(1, 31) t(m), e GROUP BY m)"))

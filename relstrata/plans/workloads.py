@@ -607,6 +607,14 @@ def ccr_practical_n139(spark, sf, steps: int = 1000, budget: int = 10_000, runs:
     return est.ccr_estimate(spark, net.p, perf, budget, steps, cut, "practical", water_cuts(net, target), reps=runs)
 
 
+@query
+def ccr_levelwise_n139(spark, sf, steps: int = 20_000, budget: int = 40_000):
+    """The flagship's estimator at twenty times its steps, refined, allocated and drawn on executors."""
+    net = water(spark, sf)
+    cut, target = max(targets(spark, sf).items())
+    return est.ccr_levelwise(spark, net.p, Connected(net, PLANTS, target), budget, steps, cut, water_cuts(net, target))
+
+
 @query
 def assess_connectivity(spark, sf):
     net = water(spark, sf)
@@ -652,6 +660,7 @@ def estimators_n10(spark, sf, runs: int = 10):
         est.ccr_estimate(*a, 4000, 30, 4, "uniform", reps=runs),
         est.ccr_estimate(*a, 4000, 30, 4, "optimal", p=leaf_p, reps=runs),
         est.ccr_estimate(*a, 4000, 30, 4, "practical", cuts=n10.STAR, reps=runs),
+        est.ccr_levelwise(*a, 4000, 30, 4, n10.STAR, reps=runs, direct=5),
         est.ccr_adaptive(*a, 1e-8, 4),
     ]
     out = frames[0]

@@ -107,3 +107,24 @@ def test_replicates_together_or_alone_are_the_same(spark):
 def test_variance_interval():
     low, high = w.variance_interval(1.0, 10)
     assert abs(low - 9 / 19.02) < 0.01 and abs(high - 9 / 2.70) < 0.05
+
+
+def test_levelwise_strata_at_many_steps(spark):
+    from relstrata.operators.refine import refine_levelwise, strata_frame
+
+    ps = np.random.default_rng(4).uniform(0.01, 0.2, 60)
+    tree = SplitTree(ps)
+    a = refine_levelwise(spark, tree, 3000, 2, direct=20).select("stratum_id")
+    b = strata_frame(spark, refine(tree, 3000, 2)).select("stratum_id")
+    assert a.exceptAll(b).count() == 0 and b.exceptAll(a).count() == 0
+
+
+def test_levelwise_estimate(spark):
+    net = random_net(np.random.default_rng(7), 6, 10)
+    perf = Connected(net, [0], 5)
+    x = bits.unpack(np.arange(1 << net.n)[None, :], net.n)
+    exact = float((np.where(x, net.p[:, None], 1 - net.p[:, None]).prod(0) * perf.fails(x)).sum())
+    cuts = istar.cuts_up_to(net, [0], 5, 3)
+    got = estimators.ccr_levelwise(spark, net.p, perf, 3000, 15, 1, cuts, reps=8, direct=4).collect()
+    p = np.array([r["p_hat"] for r in got])
+    assert len(p) == 8 and abs(p.mean() - exact) < 5 * p.std(ddof=1) / 8**0.5 + 1e-4
