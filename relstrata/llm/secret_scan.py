@@ -16,7 +16,9 @@ from __future__ import annotations
 import base64
 import hashlib
 import re
+from bisect import bisect_left
 from collections.abc import Iterator
+from itertools import accumulate
 
 import pyarrow as pa
 from pyspark.sql import DataFrame, SparkSession
@@ -84,12 +86,12 @@ def is_random(run: str, enc) -> bool:
 def random_spans(text: str, taken: list[tuple[int, int, int]], enc, known: frozenset[str]) -> list[tuple[int, int, int]]:
     """(start, 3, end) of runs that the token-efficiency test exposes."""
     out = []
-    k = 0
+    starts = [s for s, _, _ in taken]
+    reach = list(accumulate((e for _, _, e in taken), max))  # how far the spans up to each one go
     for m in RUN.finditer(text):
         a, b = m.span()
-        while k < len(taken) and taken[k][2] <= a and (k + 1 == len(taken) or taken[k + 1][0] < a):
-            k += 1
-        if any(s < b and e > a for s, _, e in taken[max(0, k - 3) : k + 3]) or any(s < b and e > a for s, _, e in taken):
+        before_b = bisect_left(starts, b)
+        if before_b and reach[before_b - 1] > a:
             continue
         run = m[0]
         before = text[max(0, a - 200) : a]

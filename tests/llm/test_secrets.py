@@ -62,3 +62,22 @@ def test_edges(name, request):
 def test_redact(spark):
     df = spark.createDataFrame([(1, "a token = abcdefgh1234 b"), (2, None)], "doc_id long, text string")
     assert {r["doc_id"]: r["text"] for r in s.redact(df).collect()} == {1: "a [secret] b", 2: None}
+
+
+def test_many_spans_and_runs_in_one_text():
+    """Overlap is looked up, not searched: 20,000 spans and as many runs take seconds, and equal a plain search."""
+    import random
+    import time
+
+    rng = random.Random(4)
+    key = lambda n: "".join(rng.choice("abcdefghijklmnopqrstuvwxyzABCDEFGHIJKLMNOPQRSTUVWXYZ0123456789") for _ in range(n))
+    text = " ".join(f"password={key(24)} {key(24)}" for _ in range(20_000))
+    enc = s.encoder(s.vocabulary())
+    t = time.perf_counter()
+    base = s.pattern_spans(text)
+    extra = s.random_spans(text, base, enc, frozenset())
+    assert time.perf_counter() - t < 20 and len(base) == 20_000 and len(extra) > 18_000
+    some = text[:30_000]
+    base = s.pattern_spans(some)
+    extra = s.random_spans(some, base, enc, frozenset())
+    assert not any(a < e and b > x for a, _, b in extra for x, _, e in base)
