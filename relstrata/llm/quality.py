@@ -221,7 +221,7 @@ def calibrate(scored: DataFrame, labels: DataFrame) -> float:
     if not good.sum() or not bad.sum():
         return 1.0 + 1.0 / BINS
     kept, caught = np.cumsum(good) / good.sum(), 1 - np.cumsum(bad) / bad.sum()  # if the limit is after this bin
-    fits = np.flatnonzero(kept >= GOOD_KEPT)
+    fits = np.flatnonzero(kept >= min(GOOD_KEPT, 1 - 1 / good.sum()) - 1e-12)  # a single wrong label never moves the limit
     best = fits[caught[fits] >= caught[fits].max() - 1e-12]
     return (int(best[0]) + int(best[-1]) + 2) / 2 / BINS
 

@@ -36,11 +36,13 @@ def test_rows_without_ids_and_rows_that_share_one(spark, sf, corpus):
     """Each row is judged by its own text: a clean row stays beside a bad one of the same id."""
     item = load(spark, sf, "benchmark").first()["text"]
     junk = " ".join(f"wo{k}$$$ r{k}###" for k in range(80))
-    texts = [(None, corpus[0]), (None, junk), (None, item), (7, corpus[1]), (7, junk), (7, item), (8, None), (9, ""), (9, "")]
+    texts = [(None, corpus[0]), (None, junk), (None, item), (-7, corpus[1]), (-7, junk), (-7, item), (-8, None), (-9, ""), (-9, "")]
     df = spark.createDataFrame([(d, t, None, None, None) for d, t in texts], load(spark, sf, "documents").schema)
-    got = corpus_pipeline.quality_rules(spark, df, sf).collect()
+    given = "/root/testdata/sf0.01"  # the limit needs labelled rows of both kinds
+    others = load(spark, given, "documents")
+    got = corpus_pipeline.quality_rules(spark, others.unionByName(df), given).collect()
     left = {(r["doc_id"], r["text"]) for r in got}
-    assert {(None, corpus[0]), (7, corpus[1]), (None, item), (7, item)} <= left and (None, junk) not in left and (7, junk) not in left
+    assert {(None, corpus[0]), (-7, corpus[1]), (None, item), (-7, item)} <= left and (None, junk) not in left and (-7, junk) not in left
     left = {(r["doc_id"], r["text"]) for r in corpus_pipeline.benchmark_decontamination(spark, df, sf).collect()}
     assert left == {(d, t) for d, t in texts if t != item}
     assert corpus_pipeline.near_dedup(spark, df, sf).where("doc_id is null").count() == 3
