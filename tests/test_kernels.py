@@ -87,13 +87,22 @@ def test_certain_and_impossible_components():
     assert bn.draw_conditional([0.3, 0.4], 2, np.full((2, 3), 0.5)).all()
 
 
-def test_state_space_source(spark):
+@pytest.mark.parametrize("pushdown", ["false", "true"])
+def test_state_space_source(spark, pushdown):
     from relstrata.sources.state_space import state_space
 
-    df = state_space(spark, 9, partition_size=20)
-    assert df.count() == 512 and df.select("words").distinct().count() == 512
-    high = df.where("k >= 7")
-    assert high.count() == comb(9, 7) + comb(9, 8) + 1
-    text = high._jdf.queryExecution().executedPlan().toString()
-    assert "k#" not in text.split("Filter")[1].split("\n")[0].replace("isnotnull(k#", "") if "Filter" in text else True
-    assert df.where("k = 3 and k < 2").count() == 0
+    name = "spark.sql.python.filterPushdown.enabled"
+    before = spark.conf.get(name)
+    spark.conf.set(name, pushdown)
+    try:
+        df = state_space(spark, 9, partition_size=20)
+        assert df.count() == 512 and df.select("words").distinct().count() == 512
+        high = df.where("k >= 7")
+        assert high.count() == comb(9, 7) + comb(9, 8) + 1
+        text = high._jdf.queryExecution().executedPlan().toString()
+        taken = "k#" not in text.split("Filter")[1].split("\n")[0].replace("isnotnull(k#", "") if "Filter" in text else True
+        assert taken == (pushdown == "true")
+        assert df.where("k = 3 and k < 2").count() == 0
+        assert spark.conf.get(name) == pushdown
+    finally:
+        spark.conf.set(name, before)
