@@ -579,7 +579,7 @@ def w13_water_reference(spark, sf, steps: int = 800, budget: int = 4_000, reps:
     return spark.createDataFrame(rows, "target int, i_star int, model string, p_f double, se double, p_star double, low double, high double, smallest_cuts int, cost int")
 
 
-def water_curves(spark, sf, cut: int, steps: int = 2000, every: int = 100) -> DataFrame:
+def water_curves(spark, sf, cut: int, steps: int = 5000, every: int = 100) -> DataFrame:
     net, rows = water(spark, sf), []
     target = targets(spark, sf).get(cut)
     for model in WATER_MODELS if target is not None else ():
@@ -589,7 +589,7 @@ def water_curves(spark, sf, cut: int, steps: int = 2000, every: int = 100) -> Da
     return spark.createDataFrame(rows, CURVE)
 
 
-def water_efficiency(spark, sf, cut: int, steps: int = 2000, budget: int = 10_000, runs: int = 10) -> DataFrame:
+def water_efficiency(spark, sf, cut: int, steps: int = 5000, budget: int = 10_000, runs: int = 10) -> DataFrame:
     """Efficiency and size penalty at the target with a given minimum cut, for all models and three sets of known cuts."""
     net, rows = water(spark, sf), []
     target = targets(spark, sf).get(cut)
