@@ -106,3 +106,18 @@ def test_state_space_source(spark, pushdown):
         assert spark.conf.get(name) == pushdown
     finally:
         spark.conf.set(name, before)
+
+
+def test_uniform_draws_come_from_the_customers(spark, sf, tmp_path):
+    """One draw a row of the table: twice the customers, twice the draws, and the first half stays as it was."""
+    from relstrata.plans import n10
+    from relstrata.sources.tables import load
+
+    cu = load(spark, sf, "customer")
+    top = cu.agg({"c_custkey": "max"}).first()[0] + 1
+    cu.unionByName(cu.withColumn("c_custkey", cu["c_custkey"] + top)).write.parquet(str(tmp_path / "customer.parquet"))
+    once, twice = (sorted(map(tuple, n10.Q["draw_uniform_n10"](spark, d).collect())) for d in (sf, str(tmp_path)))
+    keys = [r[0] for r in cu.select("c_custkey").collect()]
+    assert sorted((i, n) for i, n, _ in once) == sorted((k % 11, k // 11) for k in keys)
+    assert len(twice) == 2 * len(once) and set(once) <= set(twice)
+    assert all(bin(x).count("1") == i and x < 1 << n10.N for i, _, x in twice)
