@@ -84,3 +84,12 @@ def test_instants_do_not_depend_on_the_zone(spark):
             assert df.first()["x"] == "2024-03-10 02:30:00"
     finally:
         spark.conf.set("spark.sql.session.timeZone", before)
+
+
+def test_appended_rows_never_come_to_the_driver(spark, sf):
+    from relstrata.streaming import queries
+
+    out = queries.run(spark, sf, lambda e: rel.deduplicated(e.union(e)).select("event_id"), "append")
+    assert out.inputFiles()  # a table in memory has none
+    want = load(spark, sf, "events").select("event_id").distinct()
+    assert out.exceptAll(want).count() == 0 and out.count() == want.count()
