@@ -161,3 +161,33 @@ def test_many_null_ids(spark, corpus):
     rows = [(None, t) for t in corpus[:8]] + [(1, t) for t in corpus[:8]] + [(1, corpus[0] + "x")]
     df = spark.createDataFrame(rows, "doc_id long, text string").repartition(3)
     assert found(df) == brute([(0, *r) for r in rows])
+
+
+def test_equal_stretches_are_sorted_once(monkeypatch):
+    """Copies of a passage in one shard: the smallest document's is sorted, twins of that document share its fate."""
+    rng = np.random.default_rng(12)
+    word = lambda n: bytes(rng.integers(97, 123, n, np.uint8))
+    passage = word(64)
+    part = passage[:55]
+    # (doc, part, bytes): the passage often, twice in document 3; a longer stretch of document 2 holds its first six windows.
+    rows = [(d, k, passage) for k, d in enumerate([9, 3, 7, 3, *range(20, 120)])] + [(2, 500, part + word(9)), (4, 501, part + word(9))]
+    m = len(rows)
+    place = [(100 * k) << suffix_dedup.START_BIT | 14 << suffix_dedup.TO_BIT | len(raw) - 49 for k, (_, _, raw) in enumerate(rows)]
+    cols = [pa.array([1] * m), pa.array([r[0] for r in rows]), pa.array([r[1] for r in rows]), pa.array(place), pa.array([r[2] for r in rows], pa.binary())]
+    sizes = []
+    whole = suffix_dedup.suffix_blocks
+    monkeypatch.setattr(suffix_dedup, "suffix_blocks", lambda text, n, *rest: (sizes.append(n), whole(text, n, *rest)))
+    got = set()
+    for b in suffix_dedup._shard_stream(iter([pa.RecordBatch.from_arrays(cols, suffix_dedup.TEXTS)])):
+        for d, p, x in zip(*(c.to_pylist() for c in b.columns), strict=True):
+            start, n = x >> suffix_dedup.START_BIT, x & suffix_dedup.LOW
+            new = {(d, p, w) for w in range(start, start + n)}
+            assert not new & got
+            got |= new
+    low = {}
+    for d, _, raw in rows:
+        for i in range(len(raw) - 49):
+            low[raw[i : i + 50]] = min(d, low.get(raw[i : i + 50], d))
+    want = {(d, p, 100 * k + i) for k, (d, p, raw) in enumerate(rows) for i in range(len(raw) - 49) if low[raw[i : i + 50]] < d}
+    assert got == want and {p for d, p, _ in got if d == 3} == {1, 3}
+    assert sizes and sizes[0] < 5 * len(passage)
