@@ -1,15 +1,18 @@
-"""Near-copy groups of the pipeline: verified similarity of five-word shingle sets.
-
-Two texts are near if the Jaccard similarity of their shingle sets is MIN_SIMILARITY or
-more. A text's fingerprint is BANDS x ROWS minima of independent orders of its shingles;
-the minima of a band make one posting key. A pair of similarity s meets in no posting with
-probability (1 - s**ROWS)**BANDS: 1.3e-7 at 0.8, less above. In a posting the exact
-intersections of all its members are tallied over an inverted index of their shingles, so
-what is linked is verified and no estimate decides. Postings with the same members are
-looked at once.
-
-Postings are streams in a sorted partition: one posting's shingles are held at a time, and
-at most one link less than its members leaves it, never all pairs.
+"""Near-copy groups of the pipeline: SimHash postings by positional bytes, verified by shingle sets.
+
+Two texts are near if the Jaccard similarity of their sets of five-word shingles is
+MIN_SIMILARITY or more. A text's fingerprint is the SimHash of its set in BYTES positional
+bytes: at a similarity of 0.8 a bit differs with probability 0.1515 at most, so a byte agrees
+with probability 0.27 and no number of shared bytes is certain. Each two neighbouring bytes, in a ring,
+make a posting key; beside it lie the next TALLIED bytes. In a posting the shared ones of those
+are tallied, and a pair with MIN_SHARED or more (and of sizes that allow 0.8) is a candidate. A pair
+of 0.8 is one in no posting with probability 1.5e-7 (computed over the ring cut open, for independent
+bits), less above. Sets of FINE shingles at most have a second fingerprint of SPREAD hashes a shingle, as sums of few bits tie too often.
+What is linked is verified by exact intersections; no estimate decides.
+
+Of each text's candidates the smallest one is verified first; others only where their ends are
+still in different groups. A posting of more members than HOT (and four times the
+expected number) meets only its first member at first, and then only members of other groups.
 
 Defined results: copies (equal words) fold before anything is posted; texts of fewer than
 WORDS words have one shingle, the whole text; null and empty texts are copies of each
@@ -23,7 +26,7 @@ from collections.abc import Iterator
 
 import numpy as np
 import pyarrow as pa
-from pyspark.sql import DataFrame, Window
+from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
 from .common import column, keyed, slices, text_key, written
@@ -31,7 +34,16 @@ from .components import components
 from .simhash import _root, keep_first
 
 WORDS, MIN_SIMILARITY, SEED = 5, 0.8, 42
-BANDS, ROWS = 40, 5
+#: Bytes of a fingerprint; bytes tallied in a posting, and how many of them a candidate shares.
+BYTES, TALLIED, MIN_SHARED = 288, 16, 2
+#: Sets up to this size have a spread fingerprint; those from FINE * MIN_SIMILARITY on the plain one.
+FINE, SPREAD = 20, 16
+#: Members of a posting that are all compared, and of a group that are verified at once.
+HOT, AT_ONCE = 256, 200
+#: Hashes whose bits are summed 64 at a time, a power of two less one; such groups worked on at once.
+SUMMED = 31
+IN_CACHE = 4096
+_BYTE_ONES = np.uint64(0x0101010101010101)
 #: Similarity in whole numbers: near if DEN * shared >= NUM * united.
 NUM, DEN = 4, 5
 
@@ -49,46 +61,114 @@ def split_words(text: str | None) -> list[bytes]:
     return (text or "").encode().lower().split()  # as in simhash: ASCII case and white space only
 
 
-def _orders() -> np.ndarray:
-    """Odd multipliers: each is another order of the 64-bit hashes."""
-    return np.random.default_rng(SEED).integers(0, 2**63, BANDS * ROWS, dtype=np.uint64) * np.uint64(2) + np.uint64(1)
+def _multipliers(n: int, seed: int) -> np.ndarray:
+    """Odd ones: each makes other bits of a 64-bit hash."""
+    return np.random.default_rng(seed).integers(0, 2**63, n, dtype=np.uint64) * np.uint64(2) + np.uint64(1)
 
 
-def band_keys(hashes: np.ndarray, orders: np.ndarray) -> list[int]:
-    """One signed 64-bit key per band."""
-    import xxhash
+def _add(a: np.ndarray, b: np.ndarray, c: np.ndarray) -> tuple[np.ndarray, np.ndarray]:
+    """Sum and carry of three bits, 64 at a time."""
+    u = a ^ b
+    total = u ^ c
+    u &= c
+    carry = a & b
+    carry |= u
+    return total, carry
+
+
+def _planes(rows: np.ndarray) -> list[np.ndarray]:
+    """Bitwise sums of SUMMED rows, by binary places."""
+    out = []
+    layer = list(rows)
+    while layer:
+        total, carries = layer[0], []
+        for i in range(1, len(layer), 2):
+            total, carry = _add(total, layer[i], layer[i + 1])
+            carries.append(carry)
+        out.append(total)
+        layer = carries
+    return out
 
-    low = np.full(len(orders), np.iinfo(np.uint64).max, np.uint64)
-    for at in range(0, len(hashes), 4096):  # bounded memory for very long texts
-        low = np.minimum(low, np.multiply.outer(orders, hashes[at : at + 4096]).min(1))
-    keys = [xxhash.xxh64_intdigest(low[b * ROWS : (b + 1) * ROWS].tobytes(), b) for b in range(BANDS)]
-    return np.array(keys, np.uint64).view(np.int64).tolist()
+
+def fingerprints(sets: list[np.ndarray]) -> np.ndarray:
+    """SimHash of each set of 64-bit hashes, BYTES wide; a bit is 1 if set in over half of them."""
+    size = np.array([len(s) for s in sets])
+    groups = -(-size // SUMMED)
+    flat = np.zeros(int(groups.sum()) * SUMMED, np.uint64)  # a hash of zero adds no bit
+    for at, s in zip((np.cumsum(groups) - groups) * SUMMED, sets, strict=True):
+        flat[at : at + len(s)] = s
+    # Stretches of one set, of 255 groups at most: counts of a place fit a byte.
+    owner, length = [], []
+    for d, g in enumerate(groups.tolist()):
+        for at in range(0, g, 255):
+            owner.append(d)
+            length.append(min(255, g - at))
+    owner_, ends = np.array(owner), np.cumsum(length)
+    counts = np.zeros((len(sets), BYTES, 8), np.int64)
+    places = SUMMED.bit_length()
+    shift = [np.uint64(j) for j in range(8)]
+    lo = 0
+    while lo < len(owner):
+        before = int(ends[lo - 1]) if lo else 0
+        hi = max(lo + 1, int(np.searchsorted(ends, before + IN_CACHE, side="right")))
+        rows = flat[SUMMED * before : SUMMED * int(ends[hi - 1])].reshape(-1, SUMMED).T.copy()
+        starts = ends[lo:hi] - np.array(length[lo:hi]) - before
+        firsts = np.flatnonzero(np.diff(owner_[lo:hi], prepend=-1))
+        z, high, bits = np.empty_like(rows), np.empty_like(rows), np.empty_like(rows[0])
+        sums = np.empty((places, 8, hi - lo), np.uint64)
+        for k, m in enumerate(_multipliers(BYTES // 8, SEED)):
+            np.multiply(rows, m, out=z)
+            np.right_shift(z, np.uint64(32), out=high)
+            np.bitwise_xor(z, high, out=z)
+            for of_place, plane in zip(sums, _planes(z), strict=True):
+                for j, out in zip(shift, of_place, strict=True):
+                    np.right_shift(plane, j, out=bits)
+                    np.bitwise_and(bits, _BYTE_ONES, out=bits)
+                    np.add.reduceat(bits, starts, out=out)
+            tally = sums.astype("<u8").view(np.uint8).reshape(places, 8, hi - lo, 8)
+            total = sum(t.astype(np.int64) << place for place, t in enumerate(tally))  # by bit, stretch, byte
+            counts[owner_[lo:hi][firsts], 8 * k : 8 * k + 8] += np.add.reduceat(total.transpose(1, 2, 0), firsts)
+        lo = hi
+    return np.packbits(2 * counts > size[:, None, None], axis=2, bitorder="little")[:, :, 0]
+
+
+def spread(hashes: np.ndarray) -> np.ndarray:
+    """SPREAD hashes for each: sums of their bits tie far less often."""
+    return ((hashes ^ (hashes >> np.uint64(29)))[:, None] * _multipliers(SPREAD, SEED + 1)).ravel()
 
 
 def sketches(docs: DataFrame, id_col: str = "doc_id", text_col: str = "text") -> DataFrame:
-    """(doc_id, text_key, x, y, keys) per row of ``docs``: 128 bits of the words, and the posting keys."""
+    """(doc_id, text_key, x, y, n, plain, fine) per row of ``docs``: 128 bits of the words, size of the set, fingerprints."""
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         import xxhash
 
-        orders = _orders()
-        for b in slices(batches, 500):
-            whole, keys = [], []
+        for b in slices(batches, 100):
+            whole, sets = [], []
             for t in column(b, "text").to_pylist():
                 words = split_words(t)
                 whole.append(xxhash.xxh3_128_digest(b" ".join(words)))
-                keys.append(band_keys(shingles(words), orders))
+                sets.append(shingles(words))
             xy = np.frombuffer(b"".join(whole), np.int64).reshape(-1, 2)
+            n = np.array([len(s) for s in sets], np.int32)
+            prints = []
+            for on, made in ((DEN * n >= NUM * FINE, lambda s: s), (n <= FINE, spread)):
+                of = np.flatnonzero(on).tolist()
+                got: list[bytes | None] = [None] * len(n)
+                for i, fp in zip(of, fingerprints([made(sets[i]) for i in of]) if of else [], strict=True):
+                    got[i] = fp.tobytes()
+                prints.append(pa.array(got, pa.binary()))
             yield pa.RecordBatch.from_arrays(
-                [column(b, "doc_id"), column(b, "text_key"), pa.array(xy[:, 0].copy()), pa.array(xy[:, 1].copy()), pa.array(keys, pa.list_(pa.int64()))],
-                ["doc_id", "text_key", "x", "y", "keys"],
+                [column(b, "doc_id"), column(b, "text_key"), pa.array(xy[:, 0].copy()), pa.array(xy[:, 1].copy()), pa.array(n), *prints],
+                ["doc_id", "text_key", "x", "y", "n", "plain", "fine"],
             )
 
-    return keyed(docs, id_col, text_col).withColumn("text_key", text_key()).mapInArrow(run, "doc_id long, text_key long, x long, y long, keys array<long>")
+    schema = "doc_id long, text_key long, x long, y long, n int, plain binary, fine binary"
+    return keyed(docs, id_col, text_col).withColumn("text_key", text_key()).mapInArrow(run, schema)
 
 
 def shingle_sets(docs: DataFrame, id_col: str = "doc_id", text_col: str = "text") -> DataFrame:
-    """(rep, x, y, hashes): the shingles as bytes, eight each."""
+    """(x, y, hashes): the shingles as bytes, eight each."""
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         import xxhash
@@ -97,9 +177,9 @@ def shingle_sets(docs: DataFrame, id_col: str = "doc_id", text_col: str = "text"
             words = [split_words(t) for t in column(b, "text").to_pylist()]
             xy = np.frombuffer(b"".join(xxhash.xxh3_128_digest(b" ".join(w)) for w in words), np.int64).reshape(-1, 2)
             sets = pa.array([shingles(w).tobytes() for w in words], pa.binary())
-            yield pa.RecordBatch.from_arrays([column(b, "doc_id"), pa.array(xy[:, 0].copy()), pa.array(xy[:, 1].copy()), sets], ["rep", "x", "y", "hashes"])
+            yield pa.RecordBatch.from_arrays([pa.array(xy[:, 0].copy()), pa.array(xy[:, 1].copy()), sets], ["x", "y", "hashes"])
 
-    return keyed(docs, id_col, text_col).mapInArrow(run, "rep long, x long, y long, hashes binary")
+    return keyed(docs, id_col, text_col).mapInArrow(run, "x long, y long, hashes binary")
 
 
 def near_links(sets: list[np.ndarray]) -> list[tuple[int, int]]:
@@ -128,52 +208,197 @@ def near_links(sets: list[np.ndarray]) -> list[tuple[int, int]]:
     return links
 
 
+def postings(prints: DataFrame) -> DataFrame:
+    """(k, node, n, w0, w1) out of (node, n, plain, fine): a key for each two neighbouring bytes, and the bytes that follow them."""
+
+    def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        slot = np.arange(BYTES, dtype=np.int64)
+        for b in slices(batches, 40):
+            for family, name in enumerate(("plain", "fine")):
+                of = column(b, name).is_valid()
+                node, n, fp = (column(b, c).filter(of) for c in ("node", "n", name))
+                if not len(fp):
+                    continue
+                ring = np.frombuffer(b"".join(fp.to_pylist()), np.uint8).reshape(len(fp), BYTES)
+                ring = np.concatenate([ring, ring[:, : TALLIED + 1]], axis=1)
+                wide = ring.astype(np.int64)
+                k = ((slot + BYTES * family) << 16) | (wide[:, :BYTES] << 8) | wide[:, 1 : BYTES + 1]
+                words = np.lib.stride_tricks.sliding_window_view(ring[:, 2:], 8, axis=1).copy().view(np.int64)[:, :, 0]
+                cols = [k.ravel(), np.repeat(node.to_numpy(), BYTES), np.repeat(n.to_numpy(), BYTES), words[:, :BYTES].ravel(), words[:, 8 : BYTES + 8].ravel()]
+                yield pa.RecordBatch.from_arrays([pa.array(c) for c in cols], ["k", "node", "n", "w0", "w1"])
+
+    return prints.mapInArrow(run, "k long, node long, n int, w0 long, w1 long")
+
+
+def _candidates(n: list[np.ndarray], w0: list[np.ndarray], w1: list[np.ndarray]) -> np.ndarray:
+    """Which pairs may be near by their sizes and share MIN_SHARED of the tallied bytes."""
+    small, large = np.minimum(*n), np.maximum(*n)
+    fit = np.flatnonzero(DEN * small >= NUM * large)
+    same = sum((((x[fit] ^ y[fit]).view(np.uint8) == 0).reshape(-1, 8).sum(1) for x, y in (w0, w1)), np.zeros(len(fit), np.int64))
+    return fit[same >= MIN_SHARED]
+
+
+#: Candidates (a < b), and members of large postings (b null).
+MET = "a long, b long, k long, n int, w0 long, w1 long"
+
+
+def _meeting(hot: int):
+    """Postings out of rows sorted by key: all pairs of a small one; of a large one the first member's, and its members."""
+
+    def rows(a: np.ndarray, b: np.ndarray | None, rest: list[np.ndarray] | None) -> pa.RecordBatch:
+        kinds = (pa.int64(), pa.int32(), pa.int64(), pa.int64())
+        others = [pa.array(c) for c in rest] if rest else [pa.nulls(len(a), t) for t in kinds]
+        return pa.RecordBatch.from_arrays([pa.array(a), pa.nulls(len(a), pa.int64()) if b is None else pa.array(b), *others], [c.split()[0] for c in MET.split(", ")])
+
+    def pairs(i: np.ndarray, j: np.ndarray, left: list[np.ndarray], right: list[np.ndarray]) -> Iterator[pa.RecordBatch]:
+        ok = _candidates(*([x[i], y[j]] for x, y in zip(left[2:], right[2:], strict=True)))
+        a, b = left[1][i[ok]], right[1][j[ok]]
+        if len(a):
+            yield rows(np.minimum(a, b), np.maximum(a, b), None)
+
+    def large(first: list[np.ndarray], cols: list[np.ndarray]) -> Iterator[pa.RecordBatch]:
+        every = np.arange(len(cols[0]))
+        other = every[cols[1] != first[1][0]]
+        yield from pairs(np.zeros(len(other), np.int64), other, first, cols)
+        yield rows(cols[1], None, [cols[0], *cols[2:]])
+
+    def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        held: list[np.ndarray] | None = None
+        first: list[np.ndarray] | None = None  # of a large posting that goes on
+
+        def done(cols: list[np.ndarray]) -> Iterator[pa.RecordBatch]:
+            """Whole postings."""
+            k = cols[0]
+            at = np.flatnonzero(np.diff(k, prepend=k[0] - 1))
+            size = np.diff(np.append(at, len(k)))
+            for lo, m in zip(at[size > hot].tolist(), size[size > hot].tolist(), strict=True):
+                part = [c[lo : lo + m] for c in cols]
+                yield from large([c[:1] for c in part], part)
+            few = np.flatnonzero(np.repeat((size > 1) & (size <= hot), size))
+            small = [c[few] for c in cols]
+            apart = 1
+            live = np.arange(len(few))
+            while len(live := live[live + apart < len(few)]) and len(live := live[small[0][live] == small[0][live + apart]]):
+                yield from pairs(live, live + apart, small, small)
+                apart += 1
+
+        for b in batches:
+            cols = [column(b, c).to_numpy() for c in ("k", "node", "n", "w0", "w1")]
+            if not len(cols[0]):
+                continue
+            if first is not None:
+                cut = int(np.searchsorted(cols[0], first[0][0], side="right"))
+                if cut:
+                    yield from large(first, [c[:cut] for c in cols])
+                if cut == len(cols[0]):
+                    continue
+                first, cols = None, [c[cut:] for c in cols]
+            if held is not None:
+                cols = [np.concatenate(c) for c in zip(held, cols, strict=True)]
+            last = int(np.searchsorted(cols[0], cols[0][-1], side="left"))
+            if last:
+                yield from done([c[:last] for c in cols])
+            held = [c[last:] for c in cols]
+            if len(held[0]) > hot:
+                first = [c[:1] for c in held]
+                yield from large(first, held)
+                held = None
+        if held is not None:
+            yield from done(held)
+
+    return run
+
+
+def _across(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+    """Candidates between different groups out of members of large postings, sorted by key."""
+    names = ("k", "a", "n", "w0", "w1", "c")
+    held: list[list[np.ndarray]] = []
+
+    def flush() -> Iterator[pa.RecordBatch]:
+        cols = [np.concatenate(c) for c in zip(*held, strict=True)]
+        for i in range(len(cols[0]) - 1):
+            j = np.flatnonzero(cols[5][i + 1 :] != cols[5][i]) + i + 1
+            ok = j[_candidates(*([np.repeat(c[i], len(j)), c[j]] for c in cols[2:5]))]
+            if len(ok):
+                yield pa.RecordBatch.from_arrays([pa.array(np.minimum(cols[1][i], cols[1][ok])), pa.array(np.maximum(cols[1][i], cols[1][ok]))], ["a", "b"])
+
+    for b in batches:
+        cols = [column(b, c).to_numpy() for c in names]
+        at = [0, *(np.flatnonzero(np.diff(cols[0])) + 1).tolist(), len(cols[0])]
+        for lo, hi in zip(at, at[1:], strict=False):
+            if hi > lo:
+                if held and held[0][0][0] != cols[0][lo]:
+                    yield from flush()
+                    held = []
+                held.append([c[lo:hi] for c in cols])
+    if held:
+        yield from flush()
+
+
 def _link_stream(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-    """Postings out of rows sorted by key; links out."""
-    key: int | None = None
-    reps: list[int] = []
+    """Groups of candidates out of rows sorted by (a, part); verified links out."""
+    key: tuple[int, int] | None = None
+    nodes: list[int] = []
     sets: list[np.ndarray] = []
 
     def flush() -> Iterator[pa.RecordBatch]:
-        if len(reps) > 1 and (pairs := near_links(sets)):
+        if len(nodes) > 1 and (pairs := near_links(sets)):
             i, j = np.array(pairs).T
-            r = np.array(reps)
+            r = np.array(nodes)
             yield pa.RecordBatch.from_arrays([pa.array(r[i]), pa.array(r[j])], ["a", "b"])
 
     for batch in batches:
-        cols = [column(batch, c).to_pylist() for c in ("k", "rep", "hashes")]
-        for k, rep, hashes in zip(*cols, strict=True):
-            if k != key:
+        cols = [column(batch, c).to_pylist() for c in ("a", "part", "node", "hashes")]
+        for a, part, node, hashes in zip(*cols, strict=True):
+            if (a, part) != key:
                 yield from flush()
-                key, reps, sets = k, [], []
-            reps.append(rep)
+                key, nodes, sets = (a, part), [], []
+            nodes.append(node)
             sets.append(np.frombuffer(hashes, np.uint64))
     yield from flush()
 
 
-def copy_links(docs: DataFrame, distinct: DataFrame, id_col: str = "doc_id", text_col: str = "text") -> DataFrame:
-    """(a, b) between representatives of ``distinct`` (x, y, rep, keys): enough links to connect all near ones."""
-    posted = distinct.where("rep is not null").select("rep", "x", "y", F.explode("keys").alias("k"))
-    of_key = Window.partitionBy("k")
-    members = F.sum(F.xxhash64("rep").cast("decimal(20,0)")).over(of_key)
-    met = written(posted.withColumn("n", F.count(F.lit(1)).over(of_key)).withColumn("g", members).where("n > 1"), "near-postings")
-    same = Window.partitionBy("n", "g", "rep")
-    once = met.withColumn("least", F.min("k").over(same)).where("k = least").select("k", "rep", "x", "y")
-    wanted = met.select(F.col("rep").alias("_r")).distinct()
-    sets = shingle_sets(docs.join(wanted, F.col(id_col) == F.col("_r"), "left_semi"), id_col, text_col)
+def verified(pairs: DataFrame, docs: DataFrame, distinct: DataFrame, id_col: str = "doc_id", text_col: str = "text") -> DataFrame:
+    """(a, b): links by exact similarity that connect the near ones of ``pairs`` (a, b), a written table without repeats."""
+    many = pairs.groupBy("a").agg(F.ceil(F.count(F.lit(1)) / AT_ONCE).alias("parts"))
+    dealt = pairs.join(many, "a").select("a", F.pmod(F.xxhash64("b"), F.col("parts")).alias("part"), F.col("b").alias("node"))
+    members = written(dealt.union(dealt.select("a", "part", F.col("a").alias("node")).distinct()), "near-members")
+    wanted = members.select("node").distinct().join(distinct.select("node", "rep", "x", "y"), "node")
+    theirs = docs.join(wanted.select(F.col("rep").alias("_r")).distinct(), F.col(id_col).cast("long") == F.col("_r"), "left_semi")
     # Rows that share an id may differ in text: the words' digest says which one is meant.
-    sets = written(sets.dropDuplicates(["rep", "x", "y"]), "near-sets")
-    rows = once.join(sets, ["rep", "x", "y"]).select("k", "rep", "hashes")
-    return rows.repartition("k").sortWithinPartitions("k", "rep").mapInArrow(_link_stream, "a long, b long")
+    sets = written(wanted.join(shingle_sets(theirs, id_col, text_col).dropDuplicates(["x", "y"]), ["x", "y"]).select("node", "hashes"), "near-sets")
+    rows = members.join(sets, "node").select("a", "part", "node", "hashes")
+    return written(rows.repartition("a", "part").sortWithinPartitions("a", "part", "node").mapInArrow(_link_stream, "a long, b long"), "near-links")
+
+
+def copy_links(docs: DataFrame, distinct: DataFrame, id_col: str = "doc_id", text_col: str = "text") -> DataFrame:
+    """(a, b) between nodes of ``distinct`` (x, y, rep, node, n, plain, fine): enough links to connect all near ones."""
+    posted = postings(distinct.where("rep is not null").select("node", "n", "plain", "fine"))
+    hot = max(HOT, 4 * distinct.count() >> 16)
+    met = written(posted.repartition("k").sortWithinPartitions("k", "node").mapInArrow(_meeting(hot), MET), "near-met")
+    pairs = written(met.where("b is not null").select("a", "b").distinct(), "near-pairs")
+    links = verified(written(pairs.groupBy("b").agg(F.min("a").alias("a")).select("a", "b"), "near-first"), docs, distinct, id_col, text_col)
+    grouped = components(links)
+    of = lambda end: grouped.select(F.col("node").alias(end), F.col("component").alias(f"_{end}"))
+    members = met.where("b is null").join(of("a"), "a", "left").withColumn("c", F.coalesce("_a", "a")).select("k", "a", "n", "w0", "w1", "c")
+    mixed = members.groupBy("k").agg(F.min("c").alias("_low"), F.max("c").alias("_high")).where("_low <> _high").select("k")
+    crossing = members.join(mixed, "k").repartition("k").sortWithinPartitions("k", "a").mapInArrow(_across, "a long, b long")
+    rest = pairs.union(crossing).join(of("a"), "a", "left").join(of("b"), "b", "left").where("coalesce(_a, a) <> coalesce(_b, b)")
+    rest = written(rest.select("a", "b").distinct(), "near-rest")
+    return links.union(verified(rest, docs, distinct, id_col, text_col))
 
 
 def near_copies(docs: DataFrame, id_col: str = "doc_id", text_col: str = "text") -> DataFrame:
     """(doc_id, text_key, component_id) for every row of ``docs``."""
     rows = written(sketches(docs, id_col, text_col), "near-sketches")
-    distinct = written(rows.groupBy("x", "y").agg(F.min("doc_id").alias("rep"), F.first("keys").alias("keys")), "near-distinct")
-    linked = components(written(copy_links(docs, distinct, id_col, text_col), "near-links"))
-    named = distinct.join(linked, distinct["rep"] == linked["node"], "left").select("x", "y", F.coalesce("component", "rep").alias("component_id"))
-    return rows.join(named, ["x", "y"]).select("doc_id", "text_key", "component_id")
+    firsts = [F.first(c).alias(c) for c in ("n", "plain", "fine")]
+    distinct = rows.groupBy("x", "y").agg(F.min("doc_id").alias("rep"), *firsts)
+    distinct = written(distinct.withColumn("node", F.monotonically_increasing_id()), "near-distinct")
+    linked = components(written(copy_links(docs, distinct, id_col, text_col), "near-all-links"))
+    named = distinct.join(linked, "node", "left").select("x", "y", "rep", F.coalesce("component", "node").alias("c"))
+    named = written(named, "near-named")
+    least = named.groupBy("c").agg(F.min("rep").alias("component_id"))
+    return rows.join(named.join(least, "c"), ["x", "y"]).select("doc_id", "text_key", "component_id")
 
 
 def dedup(docs: DataFrame, id_col: str = "doc_id", text_col: str = "text") -> DataFrame:
