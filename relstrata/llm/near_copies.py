@@ -8,11 +8,12 @@ make a posting key; beside it lie the next TALLIED bytes. In a posting the share
 are tallied, and a pair with MIN_SHARED or more (and of sizes that allow 0.8) is a candidate. A pair
 of 0.8 is one in no posting with probability 1.5e-7 (computed over the ring cut open, for independent
 bits), less above. Sets of FINE shingles at most have a second fingerprint of SPREAD hashes a shingle, as sums of few bits tie too often.
-What is linked is verified by exact intersections; no estimate decides.
 
-Of each text's candidates the smallest one is verified first; others only where their ends are
-still in different groups. A posting of more members than HOT (and four times the
-expected number) meets only its first member at first, and then only members of other groups.
+Postings travel by segments: SEGMENT keys that follow each other and the bytes after them, WIDTH in all, once for
+each text. A segment's candidates that differ in more than MOST_BITS of its bits are dropped (at 0.8: with
+probability 4e-6 in each segment); the others join groups, and a link to each group's first member leaves the segment, never its pairs.
+Groups joined over all segments are verified: exact intersections link what is near, no estimate does, and at most
+one link less than its members leaves a group. Groups of more than MEMBERS texts are verified part against part.
 
 Defined results: copies (equal words) fold before anything is posted; texts of fewer than
 WORDS words have one shingle, the whole text; null and empty texts are copies of each
@@ -29,17 +30,23 @@ import pyarrow as pa
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from .common import column, keyed, slices, text_key, written
+from .common import MAX_BROADCAST, column, keyed, slices, text_key, written
 from .components import components
-from .simhash import _root, keep_first
+from .simhash import keep_first
 
 WORDS, MIN_SIMILARITY, SEED = 5, 0.8, 42
 #: Bytes of a fingerprint; bytes tallied in a posting, and how many of them a candidate shares.
 BYTES, TALLIED, MIN_SHARED = 288, 16, 2
 #: Sets up to this size have a spread fingerprint; those from FINE * MIN_SIMILARITY on the plain one.
 FINE, SPREAD = 20, 16
-#: Members of a posting that are all compared, and of a group that are verified at once.
-HOT, AT_ONCE = 256, 200
+#: Members of a posting that are all compared; pairs that are looked at together.
+HOT, AT_ONCE = 256, 1 << 17
+#: Keys of a segment and its bytes; bits of them in which a candidate differs, at most.
+SEGMENT = 16
+WIDTH, MOST_BITS = SEGMENT + 1 + TALLIED, 66
+ROW = np.dtype([("node", "<i8"), ("n", "<i4"), ("bytes", "u1", (WIDTH,))])
+#: Texts of a block, of which one or two meet in a task, and members of a group that are verified together.
+BLOCK, MEMBERS = 1_000_000, 10_000
 #: Hashes whose bits are summed 64 at a time, a power of two less one; such groups worked on at once.
 SUMMED = 31
 IN_CACHE = 4096
@@ -167,23 +174,12 @@ def sketches(docs: DataFrame, id_col: str = "doc_id", text_col: str = "text") ->
     return keyed(docs, id_col, text_col).withColumn("text_key", text_key()).mapInArrow(run, schema)
 
 
-def shingle_sets(docs: DataFrame, id_col: str = "doc_id", text_col: str = "text") -> DataFrame:
-    """(x, y, hashes): the shingles as bytes, eight each."""
-
-    def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        import xxhash
-
-        for b in slices(batches, 100):
-            words = [split_words(t) for t in column(b, "text").to_pylist()]
-            xy = np.frombuffer(b"".join(xxhash.xxh3_128_digest(b" ".join(w)) for w in words), np.int64).reshape(-1, 2)
-            sets = pa.array([shingles(w).tobytes() for w in words], pa.binary())
-            yield pa.RecordBatch.from_arrays([pa.array(xy[:, 0].copy()), pa.array(xy[:, 1].copy()), sets], ["x", "y", "hashes"])
-
-    return keyed(docs, id_col, text_col).mapInArrow(run, "x long, y long, hashes binary")
-
-
 def near_links(sets: list[np.ndarray]) -> list[tuple[int, int]]:
-    """Index pairs that connect all sets of MIN_SIMILARITY or more, by exact intersections."""
+    """Index pairs that connect all sets of MIN_SIMILARITY or more, by exact intersections.
+
+    A set is compared with all others unless it is in the largest group when its turn comes: of a pair
+    from two groups one is outside that.
+    """
     m = len(sets)
     size = np.array([len(s) for s in sets])
     ends = np.cumsum(size)
@@ -193,27 +189,35 @@ def near_links(sets: list[np.ndarray]) -> list[tuple[int, int]]:
     member = np.repeat(np.arange(m), size)[order]
     first = np.searchsorted(inverse[order], np.arange(inverse.max() + 1))
     count = np.diff(np.append(first, len(member)))
-    parent = np.arange(m)
+    group = np.arange(m)
     links: list[tuple[int, int]] = []
-    for i in range(1, m):
+    left = np.ones(m, bool)
+    largest = m - 1
+    while (left & (group != largest)).any():
+        i = int(np.argmax(left & (group != largest)))
+        left[i] = False
         mine = inverse[ends[i] - size[i] : ends[i]]
         n = count[mine]
         at = np.repeat(first[mine] - np.cumsum(n) + n, n) + np.arange(n.sum())
-        shared = np.bincount(member[at], minlength=m)[:i]
-        for j in np.flatnonzero(DEN * shared >= NUM * (size[:i] + size[i] - shared)).tolist():
-            a, b = _root(parent, i), _root(parent, j)
-            if a != b:
-                parent[max(a, b)] = min(a, b)
-                links.append((i, j))
+        shared = np.bincount(member[at], minlength=m)
+        near = np.flatnonzero(DEN * shared >= NUM * (size + size[i] - shared))
+        near = near[group[near] != group[i]]
+        if len(near):
+            others, where = np.unique(group[near], return_index=True)
+            links += [(max(i, j), min(i, j)) for j in near[where].tolist()]
+            group[np.isin(group, others)] = group[i]
+            largest = int(np.bincount(group).argmax())
     return links
 
 
-def postings(prints: DataFrame) -> DataFrame:
-    """(k, node, n, w0, w1) out of (node, n, plain, fine): a key for each two neighbouring bytes, and the bytes that follow them."""
+def segments(prints: DataFrame, blocks: int) -> DataFrame:
+    """(family, segment, pair, packed) out of (node, n, plain, fine): stretches of the ring of SEGMENT keys and the bytes after them.
+
+    ``packed`` holds many members of one block, ROW each. Of ``blocks`` blocks each two (or the one) meet under a number of their own.
+    """
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        slot = np.arange(BYTES, dtype=np.int64)
-        for b in slices(batches, 40):
+        for b in slices(batches, 4096):
             for family, name in enumerate(("plain", "fine")):
                 of = column(b, name).is_valid()
                 node, n, fp = (column(b, c).filter(of) for c in ("node", "n", name))
@@ -221,13 +225,32 @@ def postings(prints: DataFrame) -> DataFrame:
                     continue
                 ring = np.frombuffer(b"".join(fp.to_pylist()), np.uint8).reshape(len(fp), BYTES)
                 ring = np.concatenate([ring, ring[:, : TALLIED + 1]], axis=1)
-                wide = ring.astype(np.int64)
-                k = ((slot + BYTES * family) << 16) | (wide[:, :BYTES] << 8) | wide[:, 1 : BYTES + 1]
-                words = np.lib.stride_tricks.sliding_window_view(ring[:, 2:], 8, axis=1).copy().view(np.int64)[:, :, 0]
-                cols = [k.ravel(), np.repeat(node.to_numpy(), BYTES), np.repeat(n.to_numpy(), BYTES), words[:, :BYTES].ravel(), words[:, 8 : BYTES + 8].ravel()]
-                yield pa.RecordBatch.from_arrays([pa.array(c) for c in cols], ["k", "node", "n", "w0", "w1"])
-
-    return prints.mapInArrow(run, "k long, node long, n int, w0 long, w1 long")
+                rows = np.zeros(len(fp), ROW)
+                rows["node"], rows["n"] = node.to_numpy(), n.to_numpy()
+                block = block_of(rows["node"], blocks)
+                for mine in range(blocks):
+                    members = np.flatnonzero(block == mine)
+                    if not len(members):
+                        continue
+                    part = rows[members]
+                    packed = []
+                    for at in range(0, BYTES, SEGMENT):
+                        part["bytes"] = ring[members, at : at + WIDTH]
+                        packed.append(part.tobytes())
+                    for other in range(blocks):
+                        if blocks > 1 and other == mine:
+                            continue
+                        pair = min(mine, other) * blocks + max(mine, other)
+                        m = len(packed)
+                        cols = [pa.array([family] * m, pa.int32()), pa.array(range(m), pa.int32()), pa.array([pair] * m, pa.int32()), pa.array(packed, pa.binary())]
+                        yield pa.RecordBatch.from_arrays(cols, ["family", "segment", "pair", "packed"])
+
+    return prints.mapInArrow(run, "family int, segment int, pair int, packed binary")
+
+
+def block_of(node: np.ndarray, blocks: int) -> np.ndarray:
+    """One of ``blocks`` for each node, by high bits of a product: nodes are no random numbers."""
+    return ((node.astype(np.uint64) * np.uint64(0x9E3779B97F4A7C15)) >> np.uint64(40)) % np.uint64(blocks)
 
 
 def _candidates(n: list[np.ndarray], w0: list[np.ndarray], w1: list[np.ndarray]) -> np.ndarray:
@@ -335,8 +358,109 @@ def _across(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         yield from flush()
 
 
+def join_roots(root: np.ndarray, a: np.ndarray, b: np.ndarray) -> None:
+    """Joins the groups of a[i] and b[i]; ``root`` names the smallest member of each one's group, before and after."""
+    while True:
+        ra, rb = root[a], root[b]
+        apart = ra != rb
+        if not apart.any():
+            return
+        a, b, ra, rb = a[apart], b[apart], ra[apart], rb[apart]
+        np.minimum.at(root, np.maximum(ra, rb), np.minimum(ra, rb))
+        while (further := root[root]).tobytes() != root.tobytes():
+            root[:] = further
+
+
+def segment_groups(rows: np.ndarray, family: int, segment: int, hot: int) -> np.ndarray:
+    """Of each of ``rows`` (of rising node) the first one of its group: groups join candidates of all postings of a segment that differ in few bits there."""
+    every = rows["bytes"]
+    words = np.zeros((len(rows), -(-WIDTH // 8) * 8), np.uint8)
+    words[:, :WIDTH] = every
+    words = words.view(np.uint64)
+    root = np.arange(len(rows))
+    names = ["k", "node", "n", "w0", "w1"]
+    sizes = rows["n"].copy()
+
+    def near(pairs: list[pa.RecordBatch]) -> None:
+        if not pairs:
+            return
+        a, b = (np.concatenate([column(p, c).to_numpy() for p in pairs]) for c in ("a", "b"))
+        apart = root[a] != root[b]
+        a, b = a[apart], b[apart]
+        for at in range(0, len(a), AT_ONCE):
+            i, j = a[at : at + AT_ONCE], b[at : at + AT_ONCE]
+            ok = np.bitwise_count(words[i] ^ words[j]).sum(1, dtype=np.int64) <= MOST_BITS
+            join_roots(root, i[ok], j[ok])
+
+    for slot in range(SEGMENT):
+        key = every[:, slot].astype(np.uint16) << 8 | every[:, slot + 1]
+        order = np.argsort(key, kind="stable")
+        key = key[order]
+        alike = key[1:] == key[:-1]
+        order_ = order[np.append(alike, False) | np.append(False, alike)]  # postings of one meet nobody
+        if not len(order_):
+            continue
+        w = np.ascontiguousarray(every[order_, slot + 2 : slot + 2 + TALLIED]).view(np.int64)
+        k = (np.int64(segment * SEGMENT + slot + BYTES * family) << 16) | (every[order_, slot].astype(np.int64) << 8) | every[order_, slot + 1]
+        posting = pa.RecordBatch.from_arrays([pa.array(c) for c in (k, order_, sizes[order_], w[:, 0].copy(), w[:, 1].copy())], names)
+        held, large, n = [], [], 0
+        for met in _meeting(hot)(iter([posting])):
+            if met.column(1).null_count:
+                large.append(met)
+                continue
+            held.append(met)
+            n += met.num_rows
+            if n >= AT_ONCE:
+                near(held)
+                held, n = [], 0
+        near(held)
+        if large:
+            of = [pa.RecordBatch.from_arrays([*(column(m, c) for c in ("k", "a", "n", "w0", "w1")), pa.array(root[column(m, "a").to_numpy()])], ["k", "a", "n", "w0", "w1", "c"]) for m in large]
+            for met in _across(iter(of)):
+                near([met])
+    return root
+
+
+def _segment_stream(hot: int):
+    """Members of a segment, packed, out of rows sorted by (family, segment, pair); links (a, b) to the first one of each group."""
+
+    def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        key: tuple[int, int, int] | None = None
+        packed: list[bytes] = []
+
+        def flush() -> Iterator[pa.RecordBatch]:
+            if not packed:
+                return
+            rows = np.frombuffer(b"".join(packed), ROW)
+            rows = rows[np.argsort(rows["node"])]
+            root = segment_groups(rows, key[0], key[1], hot)
+            of = np.flatnonzero(root != np.arange(len(root)))
+            if len(of):
+                yield pa.RecordBatch.from_arrays([pa.array(rows["node"][root[of]].copy()), pa.array(rows["node"][of].copy())], ["a", "b"])
+
+        for batch in batches:
+            for *k, data in zip(*(column(batch, c).to_pylist() for c in ("family", "segment", "pair", "packed")), strict=True):
+                if tuple(k) != key:
+                    yield from flush()
+                    key, packed = tuple(k), []
+                packed.append(data)
+        yield from flush()
+
+    return run
+
+
+def candidate_groups(distinct: DataFrame) -> DataFrame:
+    """(node, component) of ``distinct`` (node, n, plain, fine): no near pair lies in two groups; nodes that no candidate has are left out."""
+    total = distinct.count()
+    hot = max(HOT, 4 * total >> 16)
+    packed = segments(distinct.select("node", "n", "plain", "fine"), max(1, -(-total // BLOCK)))
+    by = ["family", "segment", "pair"]
+    met = packed.repartition(*by).sortWithinPartitions(*by).mapInArrow(_segment_stream(hot), "a long, b long")
+    return components(written(met.distinct(), "near-met"))
+
+
 def _link_stream(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-    """Groups of candidates out of rows sorted by (a, part); verified links out."""
+    """Members of groups out of rows sorted by (c, pair, node); verified links out."""
     key: tuple[int, int] | None = None
     nodes: list[int] = []
     sets: list[np.ndarray] = []
@@ -348,53 +472,48 @@ def _link_stream(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
             yield pa.RecordBatch.from_arrays([pa.array(r[i]), pa.array(r[j])], ["a", "b"])
 
     for batch in batches:
-        cols = [column(batch, c).to_pylist() for c in ("a", "part", "node", "hashes")]
-        for a, part, node, hashes in zip(*cols, strict=True):
-            if (a, part) != key:
+        for c, pair, node, hashes in zip(*(column(batch, c).to_pylist() for c in ("c", "pair", "node", "hashes")), strict=True):
+            if (c, pair) != key:
                 yield from flush()
-                key, nodes, sets = (a, part), [], []
-            nodes.append(node)
-            sets.append(np.frombuffer(hashes, np.uint64))
+                key, nodes, sets = (c, pair), [], []
+            if not nodes or nodes[-1] != node:  # rows repeat where a table's rows do
+                nodes.append(node)
+                sets.append(np.frombuffer(hashes, np.uint64))
     yield from flush()
 
 
-def verified(pairs: DataFrame, docs: DataFrame, distinct: DataFrame, id_col: str = "doc_id", text_col: str = "text") -> DataFrame:
-    """(a, b): links by exact similarity that connect the near ones of ``pairs`` (a, b), a written table without repeats."""
-    many = pairs.groupBy("a").agg(F.ceil(F.count(F.lit(1)) / AT_ONCE).alias("parts"))
-    dealt = pairs.join(many, "a").select("a", F.pmod(F.xxhash64("b"), F.col("parts")).alias("part"), F.col("b").alias("node"))
-    members = written(dealt.union(dealt.select("a", "part", F.col("a").alias("node")).distinct()), "near-members")
-    wanted = members.select("node").distinct().join(distinct.select("node", "rep", "x", "y"), "node")
-    theirs = docs.join(wanted.select(F.col("rep").alias("_r")).distinct(), F.col(id_col).cast("long") == F.col("_r"), "left_semi")
-    # Rows that share an id may differ in text: the words' digest says which one is meant.
-    sets = written(wanted.join(shingle_sets(theirs, id_col, text_col).dropDuplicates(["x", "y"]), ["x", "y"]).select("node", "hashes"), "near-sets")
-    rows = members.join(sets, "node").select("a", "part", "node", "hashes")
-    return written(rows.repartition("a", "part").sortWithinPartitions("a", "part", "node").mapInArrow(_link_stream, "a long, b long"), "near-links")
+def copy_links(docs: DataFrame, distinct: DataFrame, id_col: str = "doc_id", text_col: str = "text") -> DataFrame:
+    """(a, b) between nodes of ``distinct`` (rep, rep_key, node, n, plain, fine): enough links to connect all near ones."""
+    named = distinct.where("rep is not null")
+    grouped = named.join(candidate_groups(named), "node").select("rep", "rep_key", "node", F.col("component").alias("c"))
+    sizes = grouped.groupBy("c").agg(F.ceil(F.count(F.lit(1)) / MEMBERS).alias("parts"))
+    grouped = written(grouped.join(sizes, "c"), "near-groups")
+    few = grouped.limit(MAX_BROADCAST + 1).count() <= MAX_BROADCAST
+    # Rows that share an id may differ in text: its key says which one is meant.
+    same = (F.col(id_col).cast("long") == F.col("rep")) & (text_key(text_col) == F.col("rep_key"))
+    theirs = docs.select(id_col, text_col).join(F.broadcast(grouped) if few else grouped, same)
+    theirs = theirs.select(F.col(text_col).cast("string").alias("text"), "node", "c", "parts")
 
+    def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        for b in slices(batches, 100):
+            sets = [shingles(split_words(t)).tobytes() for t in column(b, "text").to_pylist()]
+            yield pa.RecordBatch.from_arrays([*(column(b, c) for c in ("node", "c", "parts")), pa.array(sets, pa.binary())], ["node", "c", "parts", "hashes"])
 
-def copy_links(docs: DataFrame, distinct: DataFrame, id_col: str = "doc_id", text_col: str = "text") -> DataFrame:
-    """(a, b) between nodes of ``distinct`` (x, y, rep, node, n, plain, fine): enough links to connect all near ones."""
-    posted = postings(distinct.where("rep is not null").select("node", "n", "plain", "fine"))
-    hot = max(HOT, 4 * distinct.count() >> 16)
-    met = written(posted.repartition("k").sortWithinPartitions("k", "node").mapInArrow(_meeting(hot), MET), "near-met")
-    pairs = written(met.where("b is not null").select("a", "b").distinct(), "near-pairs")
-    links = verified(written(pairs.groupBy("b").agg(F.min("a").alias("a")).select("a", "b"), "near-first"), docs, distinct, id_col, text_col)
-    grouped = components(links)
-    of = lambda end: grouped.select(F.col("node").alias(end), F.col("component").alias(f"_{end}"))
-    members = met.where("b is null").join(of("a"), "a", "left").withColumn("c", F.coalesce("_a", "a")).select("k", "a", "n", "w0", "w1", "c")
-    mixed = members.groupBy("k").agg(F.min("c").alias("_low"), F.max("c").alias("_high")).where("_low <> _high").select("k")
-    crossing = members.join(mixed, "k").repartition("k").sortWithinPartitions("k", "a").mapInArrow(_across, "a long, b long")
-    rest = pairs.union(crossing).join(of("a"), "a", "left").join(of("b"), "b", "left").where("coalesce(_a, a) <> coalesce(_b, b)")
-    rest = written(rest.select("a", "b").distinct(), "near-rest")
-    return links.union(verified(rest, docs, distinct, id_col, text_col))
+    sets = theirs.mapInArrow(run, "node long, c long, parts long, hashes binary")
+    # Each two parts of a very large group meet.
+    mine = F.pmod(F.xxhash64("node"), F.col("parts"))
+    pairs = F.transform(F.sequence(F.lit(0).cast("long"), F.col("parts") - 1), lambda t: F.least(mine, t) * F.col("parts") + F.greatest(mine, t))
+    rows = sets.select("c", F.explode(pairs).alias("pair"), "node", "hashes")
+    return rows.repartition("c", "pair").sortWithinPartitions("c", "pair", "node").mapInArrow(_link_stream, "a long, b long")
 
 
 def near_copies(docs: DataFrame, id_col: str = "doc_id", text_col: str = "text") -> DataFrame:
     """(doc_id, text_key, component_id) for every row of ``docs``."""
     rows = written(sketches(docs, id_col, text_col), "near-sketches")
     firsts = [F.first(c).alias(c) for c in ("n", "plain", "fine")]
-    distinct = rows.groupBy("x", "y").agg(F.min("doc_id").alias("rep"), *firsts)
+    distinct = rows.groupBy("x", "y").agg(F.min("doc_id").alias("rep"), F.min_by("text_key", "doc_id").alias("rep_key"), *firsts)
     distinct = written(distinct.withColumn("node", F.monotonically_increasing_id()), "near-distinct")
-    linked = components(written(copy_links(docs, distinct, id_col, text_col), "near-all-links"))
+    linked = components(written(copy_links(docs, distinct, id_col, text_col), "near-links"))
     named = distinct.join(linked, "node", "left").select("x", "y", "rep", F.coalesce("component", "node").alias("c"))
     named = written(named, "near-named")
     least = named.groupBy("c").agg(F.min("rep").alias("component_id"))
