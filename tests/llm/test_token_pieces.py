@@ -57,3 +57,29 @@ def test_other_files_take_whole_texts():
     encoder = token_output.PieceCodes(tok)
     assert not encoder.apart
     assert [x.tolist() for x in token_output.encode_all(encoder, ["a b c", ""])] == [[0, 1, 3, 2], [2]]
+
+
+@pytest.mark.parametrize("words", [64, 10**9])
+def test_words_go_to_the_model_without_its_pattern(monkeypatch, words):
+    """Latin letters, and commas and full stops after and beside them; a mark in a text."""
+    monkeypatch.setattr(token_output.PieceCodes, "WORDS", words)
+    rng, tok = random.Random(6), library()
+    counted = Counted()
+    encoder = token_output.PieceCodes(counted)
+    letters = [*"abcdefgthersion", *"ABÀÉéñöüßÿªºµ"]
+    ends = ["", "", "", ",", ".", "...", ",,", " ,", "!.", ".5", "'s,", ",'s", "\n", ".\n", "\n.", ",a", "\x00", "\x00,", "²,", "ā,", "<|endoftext|>."]
+    texts = ["".join(rng.choice(["", " ", "  "]) + "".join(rng.choices(letters, k=rng.randint(1, 9))) + rng.choice(ends[: rng.choice([5, len(ends)])]) for _ in range(rng.randint(0, 9))) for _ in range(20_000)]
+    texts += [",", ".a", " .", "a.", "a. b", "", " ", "a\x00,b"]
+    for at in range(0, len(texts), 3000):
+        some = texts[at : at + 3000]
+        want = [[*e.ids, token_output.END_ID] for e in tok.encode_batch_fast(some, add_special_tokens=False)]
+        assert [x.tolist() for x in token_output.encode_all(encoder, some)] == want
+
+
+def test_slices_of_long_texts():
+    import pyarrow as pa
+
+    texts = ["a" * n for n in (5, 50, 3, 3, 3, 0, 0, 0, 0, 20)] + [None, "b"]
+    batch = pa.RecordBatch.from_arrays([pa.array(texts)], ["text"])
+    got = [b.column(0).to_pylist() for b in token_output.text_slices(iter([batch, batch.slice(0, 0)]), 4, 10)]
+    assert [t for b in got for t in b] == texts and [len(b) for b in got] == [1, 1, 4, 3, 1, 2]
